@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from blockgraph.llm import mixing, ogg, quality, tokens
+from blockgraph.llm import mixing, ogg, quality, substring_dedup, suffix_dedup, tokens
 from blockgraph.llm.shared import table
 
 VOCABULARY = "byte_bpe_50k.json"
@@ -24,6 +24,10 @@ def op2_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op7_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.digest(table(spark, sf_dir, "documents"))
+
+
 def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -32,5 +36,9 @@ def op9_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokens.count_tokens(table(spark, sf_dir, "documents"), vocabulary_path())
 
 
-QUERIES = {f.__name__: f for f in (op1_ogg, op2_mix, op8_quality, op9_tokens)}
+def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup.digest(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {f.__name__: f for f in (op1_ogg, op2_mix, op7_suffix_dedup, op8_quality, op9_tokens, op10_substring_dedup)}
 ORACLE_SQL = {"op2_mix": mixing.MIX_SQL.format(docs="documents")}
