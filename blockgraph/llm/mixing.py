@@ -20,7 +20,7 @@ WORD = r"[^\x20\x09-\x0D]+"
 EPOCHS = 3
 CYCLE = 3
 SEED = "mix-1"
-BIN_BITS = 14
+BIN_BITS = 10
 
 
 def word_count(text: Column) -> Column:
