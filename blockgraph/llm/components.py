@@ -1,0 +1,33 @@
+"""Connected components of an edge table by alternating large and small stars; every step is a grouped minimum and a join."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from blockgraph.llm.shared import cut
+
+
+def _stars(edges: DataFrame, large: bool) -> DataFrame:
+    """edges (a > b). Each node's neighbours (large: the greater ones, from all; small: the smaller ones) meet at its smallest one."""
+    near = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))) if large else edges
+    least = near.groupBy("a").agg(F.min("b").alias("low")).withColumn("low", F.least("a", "low"))
+    moved = near.join(least, "a")
+    if large:
+        moved = moved.where("b > a").select(F.col("b").alias("a"), F.col("low").alias("b"))
+    else:
+        moved = moved.select(F.col("b").alias("a"), F.col("low").alias("b")).unionByName(least.select("a", F.col("low").alias("b")))
+    return moved.where("a <> b").distinct()
+
+
+def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
+    """node, component (its smallest node) for every node with an edge to another one."""
+    now = edges.select(F.greatest(a, b).alias("a"), F.least(a, b).alias("b")).where("a > b").distinct()
+    now, mark = cut(now, "stars"), None
+    while True:
+        said = now.agg(F.count(F.lit(1)), F.sum(F.hash("a", "b").cast("long"))).first()
+        if said == mark:
+            break
+        mark, now = said, cut(_stars(_stars(now, True), False), "stars")
+    leaves = now.select(F.col("a").alias("node"), F.col("b").alias("component"))
+    return leaves.unionByName(leaves.select(F.col("component").alias("node"), "component").distinct())

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from blockgraph.llm import text as tx
-from blockgraph.llm.shared import cut, small
+from blockgraph.llm.shared import cut, fresh, small
 from blockgraph.llm.text import U
 
 HOT = 10_000
@@ -261,7 +261,7 @@ def repeated_runs(docs: DataFrame, rule: Rule, resolve: Callable, hot: int | Non
     verdict = cut(met.select("doc", "s", "n", F.when(F.col("first") & ~F.col("known"), F.col("h")).alias("h"), (F.col("contents") > hot).alias("hot")), "repeats-met")
     want = verdict.where("h is not null").groupBy("doc").agg(F.collect_list(F.struct("s", "n", "h", "hot")).alias("want"))
     want = cut(want, "repeats-want")
-    seg = base.join(small(want, payload="want", width=24), "doc").mapInArrow(_cut_out(rule), "h long, doc long, s int, n int, hot boolean, seg binary")
+    seg = base.join(small(want, payload="want", width=24, each=32), "doc").mapInArrow(_cut_out(rule), "h long, doc long, s int, n int, hot boolean, seg binary")
     seg = cut(seg, "repeats-segments")
     plain = seg.where("not hot").repartition("h").sortWithinPartitions("h", "doc", "s").select("h", "doc", "s", "n", "seg")
     runs = plain.mapInArrow(_resolved(rule, resolve), "doc long, a int, b int")
@@ -278,5 +278,6 @@ def repeated_runs(docs: DataFrame, rule: Rule, resolve: Callable, hot: int | Non
 def with_runs(docs: DataFrame, runs: DataFrame) -> DataFrame:
     """docs with a column ``runs`` (null where nothing repeats); a column of docs of that name is replaced."""
     docs = docs.drop("runs")
-    side = small(runs.select(F.col("doc").alias("__doc"), "runs"), payload="runs", width=24)
-    return docs.join(side, F.coalesce(docs["doc_id"].cast("long"), F.lit(NULL_ID)) == side["__doc"], "left").drop("__doc")
+    key = fresh("doc_key", docs.columns)
+    side = small(runs.select(F.col("doc").alias(key), "runs"), payload="runs", width=24, each=4)
+    return docs.join(side, F.coalesce(docs["doc_id"].cast("long"), F.lit(NULL_ID)) == side[key], "left").drop(key)

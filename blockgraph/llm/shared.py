@@ -39,10 +39,17 @@ def cut(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def small(df: DataFrame, rows: int | None = None, width: int = 16, payload: str | None = None) -> DataFrame:
+def fresh(name: str, taken: list[str]) -> str:
+    """name, or name with as many underscores as make it differ from all taken ones."""
+    while name.lower() in {t.lower() for t in taken}:
+        name += "_"
+    return name
+
+
+def small(df: DataFrame, rows: int | None = None, width: int = 16, payload: str | None = None, each: int = 8) -> DataFrame:
     """df marked for broadcast if its measured size is within bounds, else df as it is (a shuffled join follows).
 
-    df must be cheap to read (a result of cut); payload names an array column whose length counts too."""
+    df must be cheap to read (a result of cut); payload names an array column whose elements count ``each`` bytes too."""
     size = F.count(F.lit(1)).alias("n"), (F.coalesce(F.sum(F.size(payload)), F.lit(0)) if payload else F.lit(0)).alias("m")
     n, m = df.agg(*size).first()
-    return F.broadcast(df) if n <= (rows or BROADCAST_ROWS) and n * width + 8 * m <= BROADCAST_BYTES else df
+    return F.broadcast(df) if n <= (rows or BROADCAST_ROWS) and n * width + each * m <= BROADCAST_BYTES else df

@@ -1,7 +1,7 @@
 """Token counts of whole texts by a map-side two-tier lookup; no pre-token is ever shuffled.
 
 Tier one is a table of frequent pre-tokens and their token counts, taken from a bounded sample of texts (``SAMPLE_ROWS``
-rows, ``TABLE_SIZE`` entries; it only saves time, counts never depend on it) and broadcast. Tier two is each Python worker's
+rows, ``SAMPLE_CHARS`` characters of each, ``TABLE_SIZE`` entries; it only saves time, counts never depend on it) and broadcast. Tier two is each Python worker's
 own cache, filled by encoding what tier one lacks and emptied at ``CACHE_SIZE`` entries. The vocabulary travels as a
 broadcast of its file's text, so executors need no copy of the file.
 """
@@ -15,11 +15,13 @@ from collections.abc import Callable, Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from blockgraph.llm.text import blocks, buffers
 
 LIMIT = 512
 SAMPLE_ROWS = 800
+SAMPLE_CHARS = 8_000
 TABLE_SIZE = 40_000
 CACHE_SIZE = 400_000
 LONGEST_CACHED = 48
@@ -71,15 +73,14 @@ class Counting:
         return sum(map(self.cache.__getitem__, self.find(text)))
 
 
-def _sample(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def frequent_pieces(texts: list[str]) -> list[str]:
+    """The most frequent pre-tokens of a few texts."""
     import regex
 
     find, seen = regex.compile(PRE_TOKEN).findall, Counter()
-    for b in batches:
-        for x in b.column("text").to_pylist():
-            seen.update(p for p in find(x or "") if len(p) <= LONGEST_CACHED)
-    top = seen.most_common(TABLE_SIZE)
-    yield pa.RecordBatch.from_arrays([pa.array([p for p, _ in top], pa.string())], ["piece"])
+    for x in texts:
+        seen.update(p for p in find(x) if len(p) <= LONGEST_CACHED)
+    return [p for p, _ in seen.most_common(TABLE_SIZE)]
 
 
 def count_tokens(docs: DataFrame, path: str, limit: int = LIMIT, sample_rows: int = SAMPLE_ROWS) -> DataFrame:
@@ -90,9 +91,9 @@ def count_tokens(docs: DataFrame, path: str, limit: int = LIMIT, sample_rows: in
     texts = docs.select("doc_id", docs["text"].cast("string").alias("text"))
     with open(path, encoding="utf-8") as f:
         vocabulary = f.read()
-    pieces = texts.select("text").limit(sample_rows).mapInArrow(_sample, "piece string").toPandas()["piece"].tolist()
+    pieces = frequent_pieces([r[0] for r in texts.select(F.substring("text", 1, SAMPLE_CHARS)).take(sample_rows) if r[0]])
     plain = Counting(vocabulary, {})
-    shared, key = sc.broadcast((vocabulary, {p: plain.cache[p] for p in pieces[:TABLE_SIZE]})), uuid.uuid4().hex
+    shared, key = sc.broadcast((vocabulary, {p: plain.cache[p] for p in pieces})), uuid.uuid4().hex
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         count = _worker.get(key)

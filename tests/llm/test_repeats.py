@@ -6,7 +6,7 @@ from blockgraph.llm import repeats, substring_dedup, suffix_dedup
 from tests.llm import brute
 from tests.llm.data import corpus, frame, odd
 
-CLASH = ("runs", "doc", "h", "s", "n", "want", "seg", "__doc")
+CLASH = ("runs", "doc", "h", "s", "n", "want", "seg", "doc_key")
 
 
 @pytest.mark.parametrize("hot", [None, 0])
