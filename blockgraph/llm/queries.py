@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from blockgraph.llm import decontaminate, html_text, jaccard, mixing, ogg, quality, substring_dedup, suffix_dedup, tokens
+from blockgraph.llm import bloom_lm, decontaminate, html_text, jaccard, mixing, ogg, quality, substring_dedup, suffix_dedup, tokens
 from blockgraph.llm.shared import table
 
 VOCABULARY = "byte_bpe_50k.json"
@@ -24,6 +24,10 @@ def op2_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op3_bloom_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bloom_lm.score(table(spark, sf_dir, "documents"))
+
+
 def op4_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard.join(table(spark, sf_dir, "documents"))
 
@@ -52,5 +56,5 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring_dedup.digest(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_ogg, op2_mix, op4_jaccard, op5_decontaminate, op6_html_text, op7_suffix_dedup, op8_quality, op9_tokens, op10_substring_dedup)}
+QUERIES = {f.__name__: f for f in (op1_ogg, op2_mix, op3_bloom_lm, op4_jaccard, op5_decontaminate, op6_html_text, op7_suffix_dedup, op8_quality, op9_tokens, op10_substring_dedup)}
 ORACLE_SQL = {"op2_mix": mixing.MIX_SQL.format(docs="documents")}

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
@@ -26,17 +27,23 @@ def shared_dir(spark: SparkSession) -> str:
     return set_to.rstrip("/")
 
 
-def cut(df: DataFrame, name: str) -> DataFrame:
+def cut(df: DataFrame, name: str, free: bool = False) -> DataFrame:
     """Writes df into the shared folder and reads it back: lineage ends there, so lost executors cost one read.
 
-    The folder goes when the Spark application ends."""
+    The folder goes when the Spark application ends. free: df was made by a large shuffle, whose files nobody needs any more;
+    they go with the driver's next garbage collection, which is asked for here (as spark.cleaner.periodicGC does)."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
     jvm, jsc = spark.sparkContext._jvm, spark.sparkContext._jsc
     where = jvm.org.apache.hadoop.fs.Path(path)
     where.getFileSystem(jsc.hadoopConfiguration()).deleteOnExit(where)
-    return spark.read.schema(df.schema).parquet(path)
+    back = spark.read.schema(df.schema).parquet(path)
+    if free:
+        del df
+        gc.collect()
+        jvm.System.gc()
+    return back
 
 
 def fresh(name: str, taken: list[str]) -> str:

@@ -4,14 +4,29 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from blockgraph.llm import mixing, quality
+from blockgraph.llm import decontaminate, jaccard, mixing, quality, suffix_dedup
 from blockgraph.llm.shared import cut, table
 
 
 def classified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps the documents that the quality classifier (operator 8) does not reject."""
-    kept = quality.score(docs, quality.fit(docs, table(spark, sf_dir, "labels"))).where("predicted = 1")
-    return kept.select(*docs.columns)
+    weights = quality.fit(docs, table(spark, sf_dir, "labels"))
+    return quality.score(docs, weights).where("predicted = 1").select(*docs.columns)
+
+
+def without_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Keeps the smallest doc_id of each group of near duplicates (operator 4)."""
+    return jaccard.keep_one(docs)
+
+
+def without_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Cuts out of the texts what 100-byte strings repeat (operator 7); every document stays, n_chars is counted anew."""
+    return suffix_dedup.remove(docs)
+
+
+def without_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Drops documents that hold a benchmark item (operator 5)."""
+    return decontaminate.remove(docs, table(spark, sf_dir, "benchmark"))
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -19,7 +34,8 @@ def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return mixing.mix(docs)
 
 
-STAGES = [("quality", classified), ("mix", mixed)]
+STAGES = [("quality", classified), ("near-duplicates", without_near_duplicates), ("repeats", without_repeats), ("leaks", without_leaks), ("mix", mixed)]
+#: The classifier is trained, so SQL cannot give the rows; tests/llm holds every stage against a plain version.
 ORACLE_SQL = None
 
 
@@ -27,5 +43,5 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages in turn; each stage's rows are written to the shared folder and read by the next."""
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
-        docs = cut(stage(spark, docs, sf_dir), f"stage-{name}")
+        docs = cut(stage(spark, docs, sf_dir), f"stage-{name}", free=True)
     return STAGES[-1][1](spark, docs, sf_dir)
