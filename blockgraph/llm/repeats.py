@@ -252,17 +252,17 @@ def repeated_runs(docs: DataFrame, rule: Rule, resolve: Callable, hot: int | Non
     base = keyed(docs)
     hot = HOT if hot is None else hot
     alike = Window.partitionBy("h", "g").orderBy("doc", "s")
-    met = base.mapInArrow(_anchor_rows(rule), ANCHORS)
+    met = base.mapInArrow(_anchor_rows(rule), ANCHORS).repartition("h")  # serves both windows
     first = F.first("doc").over(alike) == F.col("doc") if rule.across else F.row_number().over(alike) == 1
     met = met.withColumns({"first": first, "lead": (F.row_number().over(alike) == 1).cast("int")})
     same = Window.partitionBy("h")
     met = met.withColumn("contents", F.sum("lead").over(same))
     met = met.where("known or not first or contents > 1")
-    verdict = cut(met.select("doc", "s", "n", F.when(F.col("first") & ~F.col("known"), F.col("h")).alias("h"), (F.col("contents") > hot).alias("hot")), "repeats-met")
+    verdict = cut(met.select("doc", "s", "n", F.when(F.col("first") & ~F.col("known"), F.col("h")).alias("h"), (F.col("contents") > hot).alias("hot")), "repeats-met", free=True)
     want = verdict.where("h is not null").groupBy("doc").agg(F.collect_list(F.struct("s", "n", "h", "hot")).alias("want"))
     want = cut(want, "repeats-want")
-    seg = base.join(small(want, payload="want", width=24, each=32), "doc").mapInArrow(_cut_out(rule), "h long, doc long, s int, n int, hot boolean, seg binary")
-    seg = cut(seg, "repeats-segments")
+    seg = base.join(want, "doc").mapInArrow(_cut_out(rule), "h long, doc long, s int, n int, hot boolean, seg binary")
+    seg = cut(seg, "repeats-segments", free=True)
     plain = seg.where("not hot").repartition("h").sortWithinPartitions("h", "doc", "s").select("h", "doc", "s", "n", "seg")
     runs = plain.mapInArrow(_resolved(rule, resolve), "doc long, a int, b int")
     runs = runs.unionByName(verdict.where("h is null").select("doc", F.col("s").alias("a"), (F.col("s") + F.col("n") + (rule.span - 1)).alias("b")))
@@ -272,7 +272,7 @@ def repeated_runs(docs: DataFrame, rule: Rule, resolve: Callable, hot: int | Non
         later = F.col("low.doc") < F.col("doc") if rule.across else F.col("low") < F.struct("doc", "s")
         runs = runs.unionByName(each.join(least, ["h", "w"]).where(later).select("doc", F.col("s").alias("a"), (F.col("s") + rule.span).alias("b")))
     runs = runs.groupBy("doc").agg(F.collect_list(F.struct("a", "b")).alias("runs")).mapInArrow(_per_document, "doc long, runs array<int>")
-    return cut(runs, "repeats-runs")
+    return cut(runs, "repeats-runs", free=True)
 
 
 def with_runs(docs: DataFrame, runs: DataFrame) -> DataFrame:
