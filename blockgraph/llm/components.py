@@ -20,14 +20,16 @@ def _stars(edges: DataFrame, large: bool) -> DataFrame:
     return moved.where("a <> b").distinct()
 
 
+def _is_stars(edges: DataFrame) -> bool:
+    """Whether every node has one edge to a smaller node, or only edges to greater ones."""
+    ends = edges.select(F.col("a").alias("x"), F.lit(1).alias("leaf"), F.lit(0).alias("middle")).unionByName(edges.select(F.col("b").alias("x"), F.lit(0).alias("leaf"), F.lit(1).alias("middle")))
+    return not ends.groupBy("x").agg(F.sum("leaf").alias("leaf"), F.max("middle").alias("middle")).where("leaf + middle > 1").limit(1).count()
+
+
 def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """node, component (its smallest node) for every node with an edge to another one."""
-    now = edges.select(F.greatest(a, b).alias("a"), F.least(a, b).alias("b")).where("a > b").distinct()
-    now, mark = cut(now, "stars"), None
-    while True:
-        said = now.agg(F.count(F.lit(1)), F.sum(F.hash("a", "b").cast("long"))).first()
-        if said == mark:
-            break
-        mark, now = said, cut(_stars(_stars(now, True), False), "stars")
+    now = cut(edges.select(F.greatest(a, b).alias("a"), F.least(a, b).alias("b")).where("a > b").distinct(), "stars")
+    while not _is_stars(now):
+        now = cut(_stars(_stars(now, True), False), "stars")
     leaves = now.select(F.col("a").alias("node"), F.col("b").alias("component"))
     return leaves.unionByName(leaves.select(F.col("component").alias("node"), "component").distinct())

@@ -8,8 +8,9 @@
 * In lists of at most ``SHORT`` rows all pairs that pass the length filter are formed; pairs are then counted over their
   shared shingles and must pass the positional filter. Longer lists (large groups of near copies) never form all pairs:
   each list's rows are compared with a leader of the list, and only pairs of different components remain; those pass the
-  length filter and the triangle inequality of Jaccard distance through the leader. Further leaders are taken while many
-  pairs remain. Nothing is dropped: a pair is left out only if a filter rules it out or both are in one component already.
+  length filter, the triangle inequality of Jaccard distance through the leader and a bitmap filter (sets differ in no fewer
+  shingles than their parity bitmaps of 64 * WORDS bits in bits). Lists of the same rows count once, and further leaders are
+  taken while very many pairs remain. Nothing is dropped: a pair is left out only if a filter rules it out or both are in one component already.
 * A pair is verified once, on whole sets that meet by host node (salted, so a host of very many pairs is spread), after a
   suffix filter (halving both sets at pivots bounds their overlap).
 """
@@ -36,7 +37,8 @@ CHUNKS = 64
 SHORT = 64
 SALT = 500
 LEADERS = 6
-MANY = 20
+MANY = 250
+WORDS = 8
 
 
 def sets(column: pa.Array, size: int = SIZE) -> tuple[np.ndarray, np.ndarray]:
@@ -71,10 +73,17 @@ def fingerprints(g: np.ndarray, n: np.ndarray) -> np.ndarray:
     return tx.mix(_sums(tx.mix(g, 20), n) ^ tx.mix(_sums(tx.mix(g, 21), n), 22) ^ n.astype(np.uint64), 23)
 
 
+def bitmaps(g: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """WORDS 64-bit words for each set: the parities of how many of its shingles fall on each bit."""
+    bit = (tx.mix(g, 24) % U(64 * WORDS)).astype(np.int64)
+    odd = np.bincount(np.repeat(np.arange(len(n)), n) * 64 * WORDS + bit, minlength=len(n) * 64 * WORDS) & 1
+    return np.packbits(odd.astype(np.uint8).reshape(-1, 64 * WORDS), axis=1).view(np.int64)
+
+
 def _describe(size: int) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts, held, rows = np.zeros(2**SKETCH_BITS, np.int64), [], 0
-        names, kinds = ["doc", "n", "node", "chunk", "counts"], [pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.binary()]
+        names, kinds = ["doc", "n", "node", "bits", "chunk", "counts"], [pa.int64(), pa.int32(), pa.int64(), pa.list_(pa.int64()), pa.int32(), pa.binary()]
         for b in tx.blocks(batches):
             g, n = sets(b.column("text"), size)
             held.append((g >> U(64 - SKETCH_BITS)).astype(np.int32))
@@ -83,12 +92,12 @@ def _describe(size: int) -> Callable:
                 counts += np.bincount(np.concatenate(held), minlength=len(counts))
                 held, rows = [], 0
             node = pa.array(tx.signed(fingerprints(g, n)), mask=n == 0)
-            yield pa.RecordBatch.from_arrays([pa.array(tx.ids(b.column("doc"))), pa.array(n.astype(np.int32)), node, pa.nulls(len(n), pa.int32()), pa.nulls(len(n), pa.binary())], names)
+            yield pa.RecordBatch.from_arrays([pa.array(tx.ids(b.column("doc"))), pa.array(n.astype(np.int32)), node, pa.FixedSizeListArray.from_arrays(pa.array(bitmaps(g, n).ravel()), WORDS).cast(pa.list_(pa.int64())), pa.nulls(len(n), pa.int32()), pa.nulls(len(n), pa.binary())], names)
         if held:
             counts += np.bincount(np.concatenate(held), minlength=len(counts))
         if counts.any():
             parts = [np.minimum(c, 2**31 - 1).astype(np.int32).tobytes() for c in np.split(counts, CHUNKS)]
-            yield pa.RecordBatch.from_arrays([*(pa.nulls(CHUNKS, k) for k in kinds[:3]), pa.array(range(CHUNKS), pa.int32()), pa.array(parts, pa.binary())], names)
+            yield pa.RecordBatch.from_arrays([*(pa.nulls(CHUNKS, k) for k in kinds[:4]), pa.array(range(CHUNKS), pa.int32()), pa.array(parts, pa.binary())], names)
 
     return run
 
@@ -197,9 +206,11 @@ class Join:
 
     def __init__(self, docs: DataFrame, size: int = SIZE, percent: int = PERCENT):
         self.base, self.size, self.percent = keyed(docs), size, percent
-        meta = cut(self.base.mapInArrow(_describe(size), "doc long, n int, node long, chunk int, counts binary"), "jaccard-meta")
+        meta = cut(self.base.mapInArrow(_describe(size), "doc long, n int, node long, bits array<long>, chunk int, counts binary"), "jaccard-meta")
         self.rows = meta.where("chunk is null").select("doc", "n", "node")
-        self.nodes = cut(self.rows.where("n > 0").groupBy("node").agg(F.min("doc").alias("doc")), "jaccard-nodes")
+        full = meta.where("n > 0").groupBy("node").agg(F.min("doc").alias("doc"), F.first("bits").alias("bits"))
+        self.full = cut(full.select("node", "doc", *(F.col("bits")[i].alias(f"bits{i}") for i in range(WORDS))), "jaccard-nodes")
+        self.nodes = self.full.select("node", "doc")
         chunks = meta.where("chunk is not null").select("chunk", "counts").repartition("chunk").sortWithinPartitions("chunk")
         counts = dict(chunks.mapInArrow(_add_up, "chunk int, counts binary").collect())  # CHUNKS rows, 2**SKETCH_BITS counters in all
         zero = bytes(2**SKETCH_BITS * 4 // CHUNKS)
@@ -251,12 +262,14 @@ class Join:
         done = self.verified(best.unionByName(led).distinct())
         label = components(done.where("linked"), "host", "node")
         apart = self._apart(pairs.select(F.col("a").alias("host"), F.col("b").alias("node")), label, done)
-        links = done.where("linked")
         if long.limit(1).count():
-            more, links = self._apart_long(long, label, done)
+            more, label = self._apart_long(long, label, done)
             apart = apart.unionByName(more)
         rest = self.verified(apart.distinct())
-        return cut(components(links.unionByName(rest.where("linked")), "host", "node"), "jaccard-labels")
+        more = rest.where("linked").select("host", "node")
+        if not more.limit(1).count():
+            return label
+        return components(label.select(F.col("component").alias("host"), "node").unionByName(more), "host", "node")
 
     @staticmethod
     def _apart(pairs: DataFrame, label: DataFrame, done: DataFrame) -> DataFrame:
@@ -268,11 +281,12 @@ class Join:
         return pairs.join(seen, ["host", "node"], "left_anti")
 
     def _apart_long(self, long: DataFrame, label: DataFrame, done: DataFrame) -> tuple[DataFrame, DataFrame]:
-        """Pairs of long lists that remain, and all links so far; further leaders are taken while the pairs are many."""
-        links = done.where("linked")
+        """Pairs of long lists that remain, and the components by then; further leaders are taken while the pairs are many."""
         far = done.select(F.col("host").alias("lead_node"), "node", (F.lit(1.0) - F.col("both") / F.col("either")).alias("far"), "linked")
         long = long.withColumn("lead_node", F.col("lead.node")).join(far, ["lead_node", "node"], "left")
         long = cut(long.withColumn("far", F.when(F.col("node") == F.col("lead_node"), 0.0).otherwise(F.col("far"))).select("t", "node", "n", "far"), "jaccard-far")
+        same = long.groupBy("t").agg(F.count(F.lit(1)).alias("m"), F.sum(F.xxhash64("node", "far").cast("decimal(38,0)")).alias("s")).groupBy("m", "s").agg(F.min("t").alias("t"))
+        long = cut(long.join(same.select("t"), "t"), "jaccard-far-once")
         seen = done.select("host", "node")
         for turn in range(LEADERS + 1):
             here = long.join(label, "node", "left").withColumn("component", F.coalesce("component", "node"))
@@ -286,12 +300,16 @@ class Join:
             led = here.withColumn("lead", lead).where((F.col("component") != F.col("lead.component")) & self.fits("n", "lead.n"))
             new = led.select(F.col("lead.node").alias("host"), "node").distinct().join(seen, ["host", "node"], "left_anti")
             new = self.verified(new)
-            seen, links = seen.unionByName(new.select("host", "node")), links.unionByName(new.where("linked"))
-            label = cut(components(links, "host", "node"), "jaccard-turn")
-        a, b = (here.select("t", *(F.col(c).alias(f"{c}_{k}") for c in ("node", "n", "far", "component"))) for k in "ab")
+            seen = seen.unionByName(new.select("host", "node"))
+            label = components(label.select(F.col("component").alias("host"), "node").unionByName(new.where("linked").select("host", "node")), "host", "node")
+        marks = [f"bits{i}" for i in range(WORDS)]
+        here = cut(here.join(small(self.full.drop("doc"), width=16 + 8 * WORDS), "node"), "jaccard-marked")
+        a, b = (here.select("t", *(F.col(c).alias(f"{c}_{k}") for c in ("node", "n", "far", "component", *marks))) for k in "ab")
         close = F.coalesce(F.abs(F.col("far_a") - F.col("far_b")) <= 1 - self.percent / 100 + 1e-9, F.lit(True))
-        rest = a.join(b, "t").where((F.col("node_a") < F.col("node_b")) & (F.col("component_a") != F.col("component_b")) & self.fits("n_a", "n_b") & close)
-        return rest.select(F.col("node_a").alias("host"), F.col("node_b").alias("node")), links
+        differ = sum((F.bit_count(F.col(f"{m}_a").bitwiseXOR(F.col(f"{m}_b"))) for m in marks), F.lit(0))
+        alike = differ * (100 + self.percent) <= (F.col("n_a") + F.col("n_b")) * (100 - self.percent)
+        rest = a.join(b, "t").where((F.col("node_a") < F.col("node_b")) & (F.col("component_a") != F.col("component_b")) & self.fits("n_a", "n_b") & close & alike)
+        return rest.select(F.col("node_a").alias("host"), F.col("node_b").alias("node")), label
 
     def documents(self) -> DataFrame:
         """doc, n, node, component: the smallest doc of the node's component (its own for empty sets)."""

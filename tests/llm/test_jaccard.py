@@ -44,6 +44,16 @@ def test_odd_rows_and_empty_tables(spark):
     assert kept.columns[-len(CLASH):] == list(CLASH)
 
 
+def test_bitmaps_bound_the_difference():
+    r = np.random.default_rng(2)
+    sets = [np.unique(r.integers(0, 2**63, int(k)).astype(np.uint64)) for k in (5, 200, 900, 3)]
+    sets += [np.sort(np.append(s[2:], np.uint64(7))) for s in sets]
+    b = jaccard.bitmaps(np.concatenate(sets), np.array([len(s) for s in sets])).view(np.uint64)
+    for i, x in enumerate(sets):
+        for j, y in enumerate(sets):
+            assert sum(int(v).bit_count() for v in b[i] ^ b[j]) <= len(np.setxor1d(x, y))
+
+
 def test_overlap_bound_is_a_bound():
     r = np.random.default_rng(1)
     for _ in range(300):
