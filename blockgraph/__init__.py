@@ -1,0 +1 @@
+"""Iterative graph computation over block-partitioned tables, as Spark DataFrame plans."""
