@@ -4,9 +4,11 @@ Items are indexed by length class (up to 16, 32, 64 ... words). A class of up to
 words, starting at every S-th word, so each stretch of S words lies whole in some passage. An item's score for a passage is
 its BM25 score as a share of the score it gets from its own text; all items of at least ``SCORE`` are retrieved.
 
-Most passages cannot reach the threshold: terms so common that all of them together stay under half of it are set aside
-(for every item), and a passage whose other terms cannot make up the rest, by their largest weights, is passed over. What
-is left is answered exactly by WAND with block maxima.
+Most passages cannot reach the threshold, and most items cannot for a given passage. Items stand in ranges of ``RANGE``; for
+each range a term has the largest of its weights there. A passage is two stretches of S words, and the sums of these maxima
+over a stretch's distinct terms, added up, bound what any item of a range can get. A passage with no range that can reach
+the threshold is passed over (all passages of a block of texts at once); the rest is answered exactly by WAND, which leaves
+out whole blocks of posting lists by their maxima.
 
 A retrieved item counts if the passage holds enough of the word trigrams of both its question and its answer (the last
 line of several, else the last third of the words). Items under ``MIN_WORDS`` words cannot be told from chance and are not
@@ -16,6 +18,7 @@ looked for. The index is broadcast; items are taken in blocks of at most ``BLOCK
 from __future__ import annotations
 
 import re
+from bisect import bisect_left
 from collections import defaultdict
 from collections.abc import Iterator
 
@@ -33,6 +36,7 @@ MIN_WORDS = 5
 BLOCK_BYTES = 16 << 20
 POSTINGS_BLOCK = 16
 SMALLEST_CLASS = 16
+RANGE = 2
 SCHEMA = "doc_id long, item_id long, score double, question_overlap double, answer_overlap double"
 _WORD = re.compile(r"[^\x20\x09-\x0D]+")
 
@@ -74,24 +78,29 @@ class Index:
         term, item, weight = np.concatenate(terms), np.repeat(np.arange(len(items)), [len(t) for t in terms]), np.concatenate(rows)
         order = np.lexsort((item, term))
         self.item, self.weight = item[order], weight[order]
+        self.items, self.weights = self.item.tolist(), self.weight.tolist()
         self.start = np.searchsorted(term[order], np.arange(len(self.vocabulary) + 1))
-        self.most = np.maximum.reduceat(self.weight, self.start[:-1])
+        self.most = np.maximum.reduceat(self.weight, self.start[:-1]).tolist()
         self.block_most, self.block_last = [], []
         for t in range(len(self.vocabulary)):
             lo, hi = self.start[t], self.start[t + 1]
             cuts = np.arange(lo, hi, self.block)
             self.block_most.append(np.maximum.reduceat(self.weight[lo:hi], cuts - lo).tolist())
             self.block_last.append(self.item[np.minimum(cuts + self.block, hi) - 1].tolist())
-        common, have = np.zeros(len(self.vocabulary), bool), np.zeros(len(items))
-        for t in np.argsort(-df, kind="stable"):
-            mine = slice(self.start[t], self.start[t + 1])
-            after = have[self.item[mine]] + self.weight[mine]
-            if after.max() > score / 2:
-                break
-            have[self.item[mine]] = after
-            common[t] = True
-        self.rare_weight = np.where(common, 0.0, self.most)
-        self.rare_needed = score - have.max()
+        ranges = -(-len(items) // RANGE)
+        self.range_most = np.zeros((len(self.vocabulary), ranges), np.float32)
+        np.maximum.at(self.range_most, (term, item // RANGE), weight.astype(np.float32))
+
+    def reach(self, stretch: np.ndarray, term: np.ndarray, stretches: int) -> np.ndarray:
+        """The bound of every range for every stretch, from the (stretch, term) of its known words."""
+        out = np.zeros((stretches, self.range_most.shape[1]), np.float32)
+        pairs = np.unique(stretch * len(self.vocabulary) + term)
+        of, term = np.divmod(pairs, len(self.vocabulary))
+        for at in range(0, len(of), 50_000):
+            o, t = of[at : at + 50_000], term[at : at + 50_000]
+            head = np.flatnonzero(np.append(True, o[1:] != o[:-1]))
+            out[o[head]] += np.add.reduceat(self.range_most[t], head, axis=0)
+        return out
 
     def search(self, terms: list[int], threshold: float | None = None) -> list[tuple[int, float]]:
         """Items (by place) whose weights over the distinct terms add up to the threshold, by block-max WAND."""
@@ -113,14 +122,14 @@ class Index:
                 return
             lo = max(x[1], int(self.start[x[3]]) + block * self.block)
             hi = min(x[2], int(self.start[x[3]]) + (block + 1) * self.block)
-            x[1] = lo + int(np.searchsorted(self.item[lo:hi], to))
-            x[0] = int(self.item[x[1]])
+            x[1] = bisect_left(self.items, to, lo, hi)
+            x[0] = self.items[x[1]]
 
         while True:
             lists = sorted((x for x in lists if x[0] < end), key=lambda x: x[0])
             bound, pivot = 0.0, None
             for k, x in enumerate(lists):
-                bound += float(self.most[x[3]])
+                bound += self.most[x[3]]
                 if bound >= threshold - slack:
                     pivot = k
                     break
@@ -143,7 +152,7 @@ class Index:
                     for x in lists:
                         if x[0] != at:
                             break
-                        got += float(self.weight[x[1]])
+                        got += self.weights[x[1]]
                         forward(x, at + 1)
                     if got >= threshold - slack:
                         found.append((at, got))
@@ -177,14 +186,10 @@ def _share(part: np.ndarray, of: np.ndarray) -> float:
     return float(np.isin(part, of, assume_unique=True).mean()) if len(part) else 1.0
 
 
-def _passages(first: np.ndarray, span: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Document, first and last word of each passage of 2 * span words at every span-th word."""
-    n = np.diff(first)
-    many = np.where(n > 0, np.maximum(1, -(-n // span) - 1), 0)
-    doc = np.repeat(np.arange(len(n)), many)
-    k = np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)
-    lo = first[doc] + k * span
-    return doc, lo, np.minimum(lo + 2 * span, first[doc + 1])
+def _stretches(first: np.ndarray, span: int) -> tuple[np.ndarray, np.ndarray]:
+    """Document of each stretch of ``span`` words (the last one of a text is shorter), and each text's first stretch."""
+    many = -(-np.diff(first) // span)
+    return np.repeat(np.arange(len(many)), many), np.append(0, np.cumsum(many))
 
 
 def _searcher(shared, names: list[int], score: float, overlap: float):
@@ -195,21 +200,27 @@ def _searcher(shared, names: list[int], score: float, overlap: float):
             w = tx.Words(buf, off)
             h = w.hashes(lower=True)
             best: dict[tuple[int, int], tuple[float, float, float]] = {}
+            place = np.arange(len(h)) - w.first[w.doc]
             for index in indexes:
                 at = np.searchsorted(index.vocabulary, h)
                 at[at == len(index.vocabulary)] = 0
-                known = index.vocabulary[at] == h
-                total = np.concatenate([[0.0], np.cumsum(np.where(known, index.rare_weight[at], 0.0))])
-                doc, lo, hi = _passages(w.first, index.span)
-                for p in np.flatnonzero(total[hi] - total[lo] >= index.rare_needed - 1e-9):
-                    piece = slice(lo[p], hi[p])
-                    found = index.search(np.unique(at[piece][known[piece]]).tolist(), score)
-                    grams = _trigrams(h[piece]) if found else None
-                    for place, got in found:
-                        item = index.names[place]
+                known = np.flatnonzero(index.vocabulary[at] == h)
+                doc, begin = _stretches(w.first, index.span)
+                bound = index.reach(begin[w.doc[known]] + place[known] // index.span, at[known], len(doc))
+                last = np.append(doc[1:] != doc[:-1], True) if len(doc) else np.zeros(0, bool)
+                both = bound.copy()
+                both[:-1] += np.where(last[:-1, None], 0, bound[1:])
+                for k in np.flatnonzero((both.max(1, initial=0) >= score - 1e-4) & (~last | (doc != np.roll(doc, 1)) | (len(doc) == 1))):
+                    lo = w.first[doc[k]] + (k - begin[doc[k]]) * index.span
+                    hi = min(lo + 2 * index.span, w.first[doc[k] + 1])
+                    terms = at[lo:hi][index.vocabulary[at[lo:hi]] == h[lo:hi]]
+                    found = index.search(np.unique(terms).tolist(), score)
+                    grams = _trigrams(h[lo:hi]) if found else None
+                    for which, got in found:
+                        item = index.names[which]
                         q, a = (_share(x, grams) for x in parts[item])
                         if q >= overlap and a >= overlap:
-                            key = (int(doc[p]), item)
+                            key = (int(doc[k]), item)
                             best[key] = max(best.get(key, (0.0, 0.0, 0.0)), (got, q, a))
             docs = b.column("doc_id")
             rows = sorted(best.items())
