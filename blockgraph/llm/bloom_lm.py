@@ -1,9 +1,9 @@
 """LM scoring with a log-frequency Bloom filter.
 
 Unigram and bigram counts of the training texts are gathered by hash: tasks send sorted arrays of hashes and counts to
-``parts`` partitions (as many as the input has, times two), where they are added up. A count c is stored as its level,
-1 + floor(log(c) / log(BASE)): the n-gram goes into the filter once for each level up to its own, so asking level after level
-until one is absent gives the count back up to the base. Each partition builds its own slice of the filter, which has
+``parts`` partitions (eight times as many as the input has), where they are added up. A count c is stored as its level,
+1 + floor(log(c) / log(BASE)): the n-gram goes into the filter once for each level up to its own (bigrams from the level of the
+least count stored), so asking level after level until one is absent gives the count back up to the base. Each partition builds its own slice of the filter, which has
 ``FILTER_BYTES`` bytes whatever the corpus; where a corpus has more n-grams than fit at ``BITS_PER_ENTRY``, bigrams below a
 least count, found from the histogram of counts over all of them, stay out (they are then scored by their words alone).
 The filter is broadcast; texts are scored by membership probes only.
@@ -30,8 +30,8 @@ from blockgraph.llm.shared import cut
 from blockgraph.llm.text import U
 
 HELD_OUT_FOLD, FOLDS = 1, 5
-BASE = 1.25
-FILTER_BYTES = 48 << 20
+BASE = 1.5
+FILTER_BYTES = 32 << 20
 BITS_PER_ENTRY = 12
 HASHES = 4
 MIX = 0.2
@@ -39,7 +39,7 @@ FREQUENT = 1 << 18
 FLUSH = 3_000_000
 LEAST = 2
 END = U(0x5D0C7E4D0C7E4D01)
-LEVELS = 400
+LEVELS = 120
 
 
 def training(doc_id) -> F.Column:
@@ -114,11 +114,11 @@ class Slices:
                 break
         return out
 
-    def levels(self, h: np.ndarray) -> np.ndarray:
-        """The highest level up to which every one is held."""
+    def levels(self, h: np.ndarray, first: int = 1) -> np.ndarray:
+        """The highest level up to which every one from ``first`` on is held; 0 if that one is not."""
         out = np.zeros(len(h), np.int64)
         rows = np.arange(len(h))
-        at = 1
+        at = first
         while len(rows) and at <= LEVELS:
             rows = rows[self.holds(h[rows], np.full(len(rows), at))]
             out[rows] = at
@@ -204,7 +204,7 @@ def _build(parts: int, size: int, least: int) -> Callable:
                 if o > 1:
                     x, n = x[n >= least], n[n >= least]
                 up = np.minimum(level(n), LEVELS)
-                for k in range(1, int(up.max(initial=0)) + 1):
+                for k in range(int(level(np.array([least]))[0]) if o > 1 else 1, int(up.max(initial=0)) + 1):
                     now = x[up >= k]
                     one.add(now, np.full(len(now), k))
                 yield pa.RecordBatch.from_arrays([pa.array([p], pa.int32()), pa.array([one.bits.tobytes()], pa.binary())], ["part", "bits"])
@@ -226,14 +226,14 @@ class Model:
 
     def __init__(self, docs: DataFrame, filter_bytes: int = FILTER_BYTES):
         """docs: text of the training rows."""
-        self.parts = max(16, 2 * docs.rdd.getNumPartitions())
+        self.parts = max(64, 8 * docs.rdd.getNumPartitions())
         rows = docs.select(F.col("text")).mapInArrow(_count(self.parts), "part int, `order` int, h binary, c binary")
         rows = rows.repartition("part", "order").sortWithinPartitions("part", "order")
         table = cut(rows.mapInArrow(_gather, "part int, `order` int, h binary, c binary, levels array<long>, total long"), "lm-counts", free=True)
         words = table.where("`order` = 1")
         self.n, self.v = words.agg(F.coalesce(F.sum("total"), F.lit(0)), F.coalesce(F.sum(F.aggregate("levels", F.lit(0).cast("long"), lambda a, x: a + x)), F.lit(0))).first()
         spread = {(o, k): m for o, k, m in table.select("order", F.posexplode("levels").alias("k", "m")).groupBy("order", "k").agg(F.sum("m")).collect()}  # LEVELS rows for each order
-        held = lambda order, least: sum(m * k for (o, k), m in spread.items() if o == order and lower_end(np.array([k]))[0] >= least)
+        held = lambda order, least: sum(m * (k + 1 - int(level(np.array([least]))[0])) for (o, k), m in spread.items() if o == order and lower_end(np.array([k]))[0] >= least)
         fits = filter_bytes * 8 // BITS_PER_ENTRY
         self.least = LEAST
         while held(1, 1) + held(2, self.least) > fits and self.least < 2**40:
@@ -257,7 +257,7 @@ class Model:
     def scores(self, docs: DataFrame) -> DataFrame:
         """For rows of docs (doc_id, held_out, text): n_tokens, score, and what the base score needs."""
         shared = docs.sparkSession.sparkContext.broadcast((self.bits, self.frequent))
-        return docs.mapInArrow(_score(shared, self.parts, self.size, self.n, self.v), "doc_id long, held_out boolean, n_tokens long, score double, known long, base double, token array<long>, times array<int>")
+        return docs.mapInArrow(_score(shared, self.parts, self.size, self.n, self.v, int(level(np.array([self.least]))[0])), "doc_id long, held_out boolean, n_tokens long, score double, known long, base double, token array<long>, times array<int>")
 
 
 def _sum(x: np.ndarray, n: np.ndarray) -> np.ndarray:
@@ -266,7 +266,7 @@ def _sum(x: np.ndarray, n: np.ndarray) -> np.ndarray:
     return total[ends] - total[ends - n]
 
 
-def _score(shared, parts: int, size: int, total: int, distinct: int) -> Callable:
+def _score(shared, parts: int, size: int, total: int, distinct: int, first: int) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bits, (words, counts) = shared.value
         held = Slices(parts, size, bits)
@@ -281,8 +281,9 @@ def _score(shared, parts: int, size: int, total: int, distinct: int) -> Callable
             alone = np.minimum((middle + 0.5) / below, 1.0)[back]
             history = np.maximum(high[np.minimum(np.searchsorted(seen, before), len(seen) - 1)], 1.0) if len(seen) else np.zeros(0)
             both = np.zeros(len(t))
-            hit = np.flatnonzero(held.holds(pair, np.ones(len(pair), np.int64)))
-            both[hit] = lower_end(held.levels(pair[hit]))
+            hit = np.flatnonzero(held.holds(pair, np.full(len(pair), first)))
+            once, where = np.unique(pair[hit], return_inverse=True)
+            both[hit] = lower_end(held.levels(once, first))[where]
             p = MIX * np.minimum(both / history, 1.0) + (1 - MIX) * alone
             at = np.minimum(np.searchsorted(words, seen), max(len(words) - 1, 0))
             frequent = words[at] == seen if len(words) else np.zeros(len(seen), bool)

@@ -55,7 +55,7 @@ def test_probabilities_of_a_history_add_up_to_one_at_most(spark):
     alone = (np.sqrt(lm.lower_end(up) * lm.upper_end(up)) + 0.5) / below
     for k in range(0, len(t), 7):
         pair = lm.tx.mix(lm.tx.mix(np.full(len(t), t[k]), 40) + t * lm.U(0x9FB21C651E98DF25), 41)
-        both = lm.lower_end(held.levels(pair)) / max(lm.upper_end(up[k : k + 1])[0], 1)
+        both = lm.lower_end(held.levels(pair, int(lm.level(np.array([model.least]))[0]))) / max(lm.upper_end(up[k : k + 1])[0], 1)
         assert (lm.MIX * both + (1 - lm.MIX) * alone).sum() < 1.02
 
 
