@@ -220,7 +220,7 @@ def power_sql(name: str, iters: int) -> str:
 
 
 add("power_iteration_copart", lambda spark, sf: spark.createDataFrame([(lanczos.power_iteration(graph(spark, sf, "copart"), 6),)], "v double").select(F.round("v", 4).alias("lambda1")), power_sql("copart", 6))
-add("lanczos_copart_top", lambda spark, sf: spark.createDataFrame([(i + 1, round(float(v), 3)) for i, v in enumerate(lanczos.eigenpairs(graph(spark, sf, "copart"), 20, 40).values[:20])], "rank int, eigenvalue double"))
+add("lanczos_copart_top", lambda spark, sf: spark.createDataFrame([(i + 1, round(float(v), 3)) for i, v in enumerate(lanczos.eigenpairs(graph(spark, sf, "copart"), 20, 30).values[:20])], "rank int, eigenvalue double"))
 
 
 @key("lanczos_residual_ok", "SELECT unnest(['selective', 'full']) AS reorth, true AS top_residual_ok, true AS basis_ok")
@@ -239,7 +239,7 @@ def lanczos_residual_ok(spark, sf):
 @key("lanczos_ortho")
 def lanczos_ortho(spark, sf):
     g = graph(spark, sf, "knn").symmetric()
-    return spark.createDataFrame([(r, float(metrics.ortho_loss(lanczos.eigenpairs(g, 3, 14, r).basis))) for r in ("selective", "full", "none")], "reorth string, loss double")
+    return spark.createDataFrame([(r, float(metrics.ortho_loss(lanczos.eigenpairs(g, 3, 8, r).basis))) for r in ("selective", "full", "none")], "reorth string, loss double")
 
 
 add("svd_supply", lambda spark, sf: spark.createDataFrame([(i + 1, float(v)) for i, v in enumerate(lanczos.svd(graph(spark, sf, "supply"), 3, 8))], "rank int, sigma double"))

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from blockgraph.operators.components import components
+from blockgraph.operators.components import components, forest
 from blockgraph.plans import engine
 from blockgraph.plans.program import VertexProgram
 from blockgraph.sources.graphs import Graph
@@ -77,25 +77,6 @@ def wcc(g: Graph, method: str = "auto", max_iter: int = 10_000, memory: float =
     raise ValueError(method)
 
 
-def forest(src: np.ndarray, dst: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Vertices of the edges and the smallest vertex of each one's component: hooking to the smaller root, then pointer jumps."""
-    ids, at = np.unique(np.concatenate([src, dst]), return_inverse=True)
-    a, b = at[: len(src)], at[len(src) :]
-    root = np.arange(len(ids))
-    while True:
-        ra, rb = root[a], root[b]
-        apart = ra != rb
-        if not apart.any():
-            return ids, ids[root]
-        a, b, ra, rb = a[apart], b[apart], ra[apart], rb[apart]
-        np.minimum.at(root, np.maximum(ra, rb), np.minimum(ra, rb))
-        while True:
-            up = root[root]
-            if (up == root).all():
-                break
-            root = up
-
-
 def _forests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """A task's edges to one edge from each vertex to its root; folded on the way, so at most a few per vertex are held."""
     src = dst = np.zeros(0, np.int64)

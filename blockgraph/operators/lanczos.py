@@ -135,7 +135,7 @@ def spectral_clusters(g: Graph, k: int, seed: int = 1) -> DataFrame:
     e = both.edges.join(d, "src").join(d.select(F.col("src").alias("dst"), F.col("d").alias("e")), "dst")
     e = e.select("src", "dst", ((F.col("w") if g.weighted else F.lit(1.0)) / F.sqrt(F.col("d") * F.col("e"))).alias("w"))
     wide = None
-    for i, v in enumerate(eigenpairs(Graph(g.name, g.n, e, True), k, reorth="full", seed=seed).vectors()):
+    for i, v in enumerate(eigenpairs(Graph(g.name, g.n, e, True), k, 3 * k, "full", seed).vectors()):
         v = v.withColumnRenamed("x", f"x{i}")
         wide = v if wide is None else wide.join(v, "id")
     rows = VectorAssembler(inputCols=[f"x{i}" for i in range(k)], outputCol="features").transform(cut(wide, "spectral"))

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -9,7 +11,7 @@ from blockgraph.plans import costmodel, layout as lay, schemes
 from blockgraph.plans.layout import Layout
 from blockgraph.plans.program import VertexProgram
 from blockgraph.sources.graphs import Graph
-from blockgraph.storage import cut, settings
+from blockgraph.storage import cut, drop_path, own_path, settings
 
 #: Edges and slices of one interval share their partitioning by q or p alone; nothing of the size of the graph is broadcast by guess.
 PLAN = {"spark__sql__requireAllClusterKeysForCoPartition": "false", "spark__sql__autoBroadcastJoinThreshold": "-1"}
@@ -23,39 +25,53 @@ class Run:
 
 
 def start(layout: Layout, prog: VertexProgram) -> DataFrame:
+    """Initial values: id, p, outdeg and the program's columns."""
     here = layout.vertices("p")
     if prog.needs_degree:
         here = here.join(layout.degrees.withColumnRenamed("src", "id"), "id", "left").withColumn("outdeg", F.coalesce("outdeg", F.lit(0)).cast("long"))
     else:
         here = here.withColumn("outdeg", F.lit(0).cast("long"))
-    return generation(layout, here.select("id", "p", "outdeg", *(c.alias(n) for n, c in prog.init.items())), not layout.bucketed)
+    return here.select("id", "p", "outdeg", *(c.alias(n) for n, c in prog.init.items()))
 
 
-def generation(layout: Layout, values: DataFrame, plain: bool) -> DataFrame:
-    """Writes values; for bucketed layouts by p, as they lie already."""
-    if plain:
-        return cut(values, "generation")
-    return lay.save(values, "generation", "p", layout.buckets, True, layout.tables)
+def generation(layout: Layout, values: DataFrame) -> tuple[DataFrame, Callable[[], None]]:
+    """values written (for bucketed layouts by p, as they lie already), and how to take them away again."""
+    spark = values.sparkSession
+    if layout.bucketed:
+        mine: list[str] = []
+        kept = lay.save(values, "generation", "p", layout.buckets, True, mine)
+        return kept, lambda: lay.drop_tables(spark, mine)
+    path = own_path(spark, "generation")
+    values.write.parquet(path)
+    return spark.read.schema(values.schema).parquet(path), lambda: drop_path(spark, path)
 
 
 def iterate(layout: Layout, prog: VertexProgram, iters: int, stop_when_stable: bool = False, pre_combine: bool = True, after=None) -> Run:
     """iters iterations, fewer if nothing changes and stop_when_stable. after: a function of the new values for algorithms that
-    need a whole-graph quantity (it may return a new program)."""
+    need a whole-graph quantity (it may return a new program).
+
+    Two generations exist at a time: the one before goes when the next one is written."""
     spark = layout.blocks.sparkSession
     changed: list[int] = []
+    done = 0
     with settings(spark, **PLAN):
-        values = start(layout, prog)
+        values, drop = generation(layout, start(layout, prog))
         for done in range(1, iters + 1):
             if after is not None:
                 prog = after(values, prog) or prog
-            new = generation(layout, schemes.two_mode(layout, values, prog, pre_combine), not layout.bucketed)
-            values = new.drop(*(f"old_{c}" for c in prog.init))
+            new, drop_new = generation(layout, schemes.two_mode(layout, values, prog, pre_combine))
+            drop()
+            values, drop = new.drop(*(f"old_{c}" for c in prog.init)), drop_new
             if stop_when_stable:
                 moved = new.where(prog.changed).count()
                 changed.append(moved)
                 if not moved:
                     break
-    return Run(values.select("id", *prog.init), done if iters else 0, changed)
+        if layout.bucketed:  # the result outlives the layout's tables
+            kept = cut(values.select("id", *prog.init), "result")
+            drop()
+            return Run(kept, done, changed)
+    return Run(values.select("id", *prog.init), done, changed)
 
 
 def run(graph: Graph, prog: VertexProgram, iters: int, beta: int | None = None, scheme: str = "two_mode", memory: float = 2**30, threads: int = 4, rule: str = "printed", **options) -> Run:
@@ -63,7 +79,5 @@ def run(graph: Graph, prog: VertexProgram, iters: int, beta: int | None = None,
     beta = beta or costmodel.num_intervals(graph.n, costmodel.PHI, threads, memory)
     layout = lay.build(graph, beta, scheme, rule)
     done = iterate(layout, prog, iters, **options)
-    if layout.bucketed:  # the result stays, the edges and older generations go
-        done.values = cut(done.values, "result")
-        layout.drop()
+    layout.drop()
     return done

@@ -92,11 +92,15 @@ class Layout:
 
     def drop(self) -> None:
         """Takes the tables away, their files too."""
-        spark = self.blocks.sparkSession
-        for t in self.tables:
-            spark.sql(f"DROP TABLE IF EXISTS {t.partition('|')[0]}")
-            drop_path(spark, t.partition("|")[2])
-        self.tables.clear()
+        drop_tables(self.blocks.sparkSession, self.tables)
+
+
+def drop_tables(spark, tables: list[str]) -> None:
+    """Takes away tables noted by ``save``."""
+    for t in tables:
+        spark.sql(f"DROP TABLE IF EXISTS {t.partition('|')[0]}")
+        drop_path(spark, t.partition("|")[2])
+    tables.clear()
 
 
 def partition_pass(edges: DataFrame, n: int, beta: int, buckets: int) -> tuple[DataFrame, DataFrame]:

@@ -97,7 +97,7 @@ def test_plan_of_an_iteration_moves_no_edge(spark, sf):
     layout = lay.build(g, 64, bucketed=True)
     prog = alg.pagerank_program(g.n)
     with settings(spark, **engine.PLAN, spark__sql__adaptive__enabled="false"):
-        values = engine.start(layout, prog)
+        values, _ = engine.generation(layout, engine.start(layout, prog))
         assert metrics.exchanges(schemes.dense(layout, values, prog)) == 1
         whole = schemes.two_mode(layout, values, prog)
         assert metrics.exchanges(whole) == 2
@@ -117,6 +117,16 @@ def test_preprocessing_in_two_passes_and_rules(spark, sf):
 EDGE_CASES = {"empty": (4, []), "one": (1, []), "loop": (1, [(0, 0)]), "isolated": (5, [(0, 1)]), "chain": (6, [(i, i + 1) for i in range(5)]), "two": (7, [(0, 1), (1, 2), (4, 5), (5, 4), (4, 5)])}
 
 
+def test_components_of_large_tables_go_another_way(spark, monkeypatch):
+    from blockgraph.operators import components as comp
+
+    r = np.random.default_rng(3)
+    edges = spark.createDataFrame([tuple(map(int, e)) for e in r.integers(0, 300, (220, 2))], "a long, b long")
+    small = {tuple(x) for x in comp.components(edges).collect()}
+    monkeypatch.setattr(comp, "SMALL", 0)
+    assert {tuple(x) for x in comp.components(edges).collect()} == small
+
+
 @pytest.mark.parametrize("name", EDGE_CASES)
 def test_edge_cases(spark, name):
     n, edges = EDGE_CASES[name]
