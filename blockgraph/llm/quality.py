@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from blockgraph.llm.text import U, Words, blocks, buffers, grams, mix
 
 BITS = 18
-TRAIN_ROWS = 6_000
+TRAIN_ROWS = 4_000
 PASSES = 3
 HELD_OUT_FOLD, FOLDS = 0, 5
 THRESHOLD = 0.3
@@ -115,9 +115,11 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", rows: int =
     texts = docs.select("doc_id", docs["text"].cast("string").alias("text"))
     got = texts.join(F.broadcast(known), "doc_id").select("k", "y", "text").mapInArrow(_featurise, "k string, y int, f array<int>, c array<int>").toArrow()
     got = got.sort_by([("k", "ascending")]).combine_chunks()
-    examples = [(f.values.to_numpy(), c.values.to_numpy().astype(float), y.as_py()) for f, c, y in zip(got["f"], got["c"], got["y"], strict=True)]
-    examples = [(f, c, y) for f, c, y in examples if len(f)]
-    return train(examples[:rows])
+    examples = [(f.values.to_numpy(), c.values.to_numpy(), y.as_py()) for f, c, y in zip(got["f"], got["c"], got["y"], strict=True) if len(f.values)]
+    weights = train(examples[:rows])
+    del got, examples
+    pa.default_memory_pool().release_unused()
+    return weights
 
 
 def score(docs: DataFrame, weights: np.ndarray, threshold: float = THRESHOLD) -> DataFrame:
