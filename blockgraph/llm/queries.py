@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from blockgraph.llm import bloom_lm, decontaminate, html_text, jaccard, mixing, ogg, quality, substring_dedup, suffix_dedup, tokens
+from blockgraph.llm import bloom_lm, decontaminate, html_text, jaccard, mixing, ogg, oracles, quality, substring_dedup, suffix_dedup, tokens
 from blockgraph.llm.shared import table
 
 VOCABULARY = "byte_bpe_50k.json"
@@ -57,4 +57,4 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_ogg, op2_mix, op3_bloom_lm, op4_jaccard, op5_decontaminate, op6_html_text, op7_suffix_dedup, op8_quality, op9_tokens, op10_substring_dedup)}
-ORACLE_SQL = {"op2_mix": mixing.MIX_SQL.format(docs="documents")}
+ORACLE_SQL = {"op2_mix": mixing.MIX_SQL.format(docs="documents"), "op4_jaccard": oracles.JACCARD, "op7_suffix_dedup": oracles.SUFFIX, "op10_substring_dedup": oracles.SUBSTRING}
