@@ -10,7 +10,7 @@
   each list's rows are compared with a leader of the list, and only pairs of different components remain; those pass the
   length filter, the triangle inequality of Jaccard distance through the leader and a bitmap filter (sets differ in no fewer
   shingles than their parity bitmaps of 64 * WORDS bits in bits). Lists of the same rows count once, and further leaders are
-  taken while very many pairs remain. Nothing is dropped: a pair is left out only if a filter rules it out or both are in one component already.
+  taken while very many pairs remain and the last leaders have settled a good part of them. Nothing is dropped: a pair is left out only if a filter rules it out or both are in one component already.
 * A pair is verified once, on whole sets that meet by host node (salted, so a host of very many pairs is spread), after a
   suffix filter (halving both sets at pivots bounds their overlap).
 """
@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from blockgraph.llm import text as tx
-from blockgraph.llm.components import components
+from blockgraph.operators.components import components
 from blockgraph.llm.repeats import keyed
 from blockgraph.llm.shared import cut, fresh, small
 from blockgraph.llm.text import U
@@ -38,6 +38,7 @@ SHORT = 64
 SALT = 500
 LEADERS = 6
 MANY = 250
+FEWER = 0.7
 WORDS = 8
 
 
@@ -220,7 +221,7 @@ class Join:
         """t, node, n, pos, m: prefix rows of shingles that at least two nodes have in their prefixes; m is the list's length."""
         rows = self.base.join(small(self.nodes), "doc").mapInArrow(_prefixes(self.size, self.percent, self.sketch), "t long, node long, n int, pos int")
         rows = rows.withColumn("m", F.count(F.lit(1)).over(Window.partitionBy("t"))).where("m > 1")
-        return cut(rows, "jaccard-lists")
+        return cut(rows, "jaccard-lists", free=True)
 
     def fits(self, a: str, b: str):
         """The length filter."""
@@ -248,7 +249,7 @@ class Join:
         want = cut(want.join(self.nodes, "node"), "jaccard-want")
         sent = self.base.join(small(want, payload="want", width=32, each=32), "doc").mapInArrow(_ship(self.size), "host long, salt int, member int, node long, set binary")
         met = sent.repartition("host", "salt").sortWithinPartitions("host", "salt", "member")
-        return cut(met.mapInArrow(_verify(self.percent), "host long, node long, both long, either long, linked boolean").distinct(), "jaccard-verified")
+        return cut(met.mapInArrow(_verify(self.percent), "host long, node long, both long, either long, linked boolean").distinct(), "jaccard-verified", free=True)
 
     def labels(self) -> DataFrame:
         """node, component for each node that is linked with another."""
@@ -287,15 +288,16 @@ class Join:
         long = cut(long.withColumn("far", F.when(F.col("node") == F.col("lead_node"), 0.0).otherwise(F.col("far"))).select("t", "node", "n", "far"), "jaccard-far")
         same = long.groupBy("t").agg(F.count(F.lit(1)).alias("m"), F.sum(F.xxhash64("node", "far").cast("decimal(38,0)")).alias("s")).groupBy("m", "s").agg(F.min("t").alias("t"))
         long = cut(long.join(same.select("t"), "t"), "jaccard-far-once")
-        seen = done.select("host", "node")
+        seen, before = done.select("host", "node"), float("inf")
         for turn in range(LEADERS + 1):
             here = long.join(label, "node", "left").withColumn("component", F.coalesce("component", "node"))
             whole = Window.partitionBy("t")
             here = cut(here.withColumns({"low": F.min("component").over(whole), "high": F.max("component").over(whole)}).where("low <> high").drop("low", "high"), "jaccard-open")
             sizes = here.groupBy("t", "component").agg(F.count(F.lit(1)).alias("k")).groupBy("t").agg(F.sum("k").alias("m"), F.sum(F.col("k") * F.col("k")).alias("k2"))
             rows, left = sizes.agg(F.coalesce(F.sum("m"), F.lit(0)), F.coalesce(F.sum(F.col("m") * F.col("m") - F.col("k2")), F.lit(0))).first()
-            if left <= 2 * MANY * rows or turn == LEADERS:
+            if left <= 2 * MANY * rows or left > FEWER * before or turn == LEADERS:
                 break
+            before = left
             lead = F.min(F.struct(F.xxhash64("node", F.lit(turn)), "node", "n", "component")).over(whole)
             led = here.withColumn("lead", lead).where((F.col("component") != F.col("lead.component")) & self.fits("n", "lead.n"))
             new = led.select(F.col("lead.node").alias("host"), "node").distinct().join(seen, ["host", "node"], "left_anti")
@@ -303,12 +305,15 @@ class Join:
             seen = seen.unionByName(new.select("host", "node"))
             label = components(label.select(F.col("component").alias("host"), "node").unionByName(new.where("linked").select("host", "node")), "host", "node")
         marks = [f"bits{i}" for i in range(WORDS)]
-        here = cut(here.join(small(self.full.drop("doc"), width=16 + 8 * WORDS), "node"), "jaccard-marked")
-        a, b = (here.select("t", *(F.col(c).alias(f"{c}_{k}") for c in ("node", "n", "far", "component", *marks))) for k in "ab")
+        here = cut(here.join(small(self.full.drop("doc"), width=16 + 8 * WORDS), "node"), "jaccard-marked", free=True)
+        own = cut(here.groupBy("node").agg(F.collect_set("t").alias("ts")), "jaccard-own-lists")
+        here = here.join(small(own, payload="ts"), "node")
+        a, b = (here.select("t", *(F.col(c).alias(f"{c}_{k}") for c in ("node", "n", "far", "component", "ts", *marks))) for k in "ab")
         close = F.coalesce(F.abs(F.col("far_a") - F.col("far_b")) <= 1 - self.percent / 100 + 1e-9, F.lit(True))
         differ = sum((F.bit_count(F.col(f"{m}_a").bitwiseXOR(F.col(f"{m}_b"))) for m in marks), F.lit(0))
         alike = differ * (100 + self.percent) <= (F.col("n_a") + F.col("n_b")) * (100 - self.percent)
         rest = a.join(b, "t").where((F.col("node_a") < F.col("node_b")) & (F.col("component_a") != F.col("component_b")) & self.fits("n_a", "n_b") & close & alike)
+        rest = rest.where(F.array_min(F.array_intersect("ts_a", "ts_b")) == F.col("t"))  # each pair in the first of its common lists alone
         return rest.select(F.col("node_a").alias("host"), F.col("node_b").alias("node")), label
 
     def documents(self) -> DataFrame:
@@ -316,7 +321,7 @@ class Join:
         label = self.labels()
         named = self.nodes.join(label, "node", "left").withColumn("component", F.coalesce("component", "node"))
         least = named.groupBy("component").agg(F.min("doc").alias("low"))
-        named = cut(named.join(least, "component").select("node", "low"), "jaccard-components")
+        named = cut(named.join(least, "component").select("node", "low"), "jaccard-components", free=True)
         out = self.rows.join(small(named), "node", "left")
         return out.select("doc", "n", "node", F.coalesce("low", "doc").alias("component"))
 

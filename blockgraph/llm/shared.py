@@ -1,30 +1,19 @@
-"""Tables, shared intermediate results and size-checked broadcasts."""
+"""Tables, shared intermediate results and size-checked broadcasts of the operators here."""
 
 from __future__ import annotations
 
 import gc
-import tempfile
-import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Rows up to which a side of narrow rows may be broadcast; beyond it the same join is shuffled.
-BROADCAST_ROWS = 1_000_000
-BROADCAST_BYTES = 24 << 20
-
+from blockgraph.storage import own_path, shared_dir, table
 
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+__all__ = ["cut", "fresh", "shared_dir", "small", "table"]
 
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that the cluster names in spark.checkpoint.dir; a temporary one only where that is unset (tests)."""
-    set_to = spark.conf.get("spark.checkpoint.dir", None)
-    if not set_to:
-        set_to = getattr(shared_dir, "own", None) or tempfile.mkdtemp(prefix="blockgraph-")
-        shared_dir.own = set_to
-    return set_to.rstrip("/")
+#: Rows and bytes up to which a side of narrow rows may be broadcast; beyond them the same join is shuffled.
+BROADCAST_ROWS = 1_000_000
+BROADCAST_BYTES = 24 << 20
 
 
 def cut(df: DataFrame, name: str, free: bool = False) -> DataFrame:
@@ -32,17 +21,13 @@ def cut(df: DataFrame, name: str, free: bool = False) -> DataFrame:
 
     The folder goes when the Spark application ends. free: df was made by a large shuffle, whose files nobody needs any more;
     they go with the driver's next garbage collection, which is asked for here (as spark.cleaner.periodicGC does)."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    spark, path = df.sparkSession, own_path(df.sparkSession, name)
     df.write.option("compression", "zstd").parquet(path)
-    jvm, jsc = spark.sparkContext._jvm, spark.sparkContext._jsc
-    where = jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(jsc.hadoopConfiguration()).deleteOnExit(where)
     back = spark.read.schema(df.schema).parquet(path)
     if free:
         del df
         gc.collect()
-        jvm.System.gc()
+        spark.sparkContext._jvm.System.gc()
     return back
 
 
