@@ -8,7 +8,8 @@
 * In lists of at most ``SHORT`` rows all pairs that pass the length filter are formed; pairs are then counted over their
   shared shingles and must pass the positional filter. Longer lists (large groups of near copies) never form all pairs:
   each list's rows are compared with a leader of the list, and only pairs of different components remain; those pass the
-  length filter, the triangle inequality of Jaccard distance through the leader and a bitmap filter (sets differ in no fewer
+  length filter, the triangle inequality of Jaccard distance through the leader (between a lower and an upper bound where
+  the distance to the leader is only bounded) and a bitmap filter (sets differ in no fewer
   shingles than their parity bitmaps of 64 * WORDS bits in bits). Lists of the same rows count once, and further leaders are
   taken while very many pairs remain and the last leaders have settled a good part of them. Nothing is dropped: a pair is left out only if a filter rules it out or both are in one component already.
 * A pair is verified once, on whole sets that meet by host node (salted, so a host of very many pairs is spread), after a
@@ -194,10 +195,10 @@ def _verify(percent: int) -> Callable:
                         at = np.searchsorted(own, x)
                         at[at == len(own)] = 0
                         most = int(np.count_nonzero(own[at] == x))
-                    out.append((host, node, most, total - most, exact and (100 + percent) * most >= percent * total))
-            cols = list(zip(*out, strict=True)) if out else [[]] * 5
-            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.bool_())
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["host", "node", "both", "either", "linked"])
+                    out.append((host, node, most, total - most, exact, exact and (100 + percent) * most >= percent * total))
+            cols = list(zip(*out, strict=True)) if out else [[]] * 6
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.bool_())
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["host", "node", "both", "either", "exact", "linked"])
 
     return run
 
@@ -240,7 +241,7 @@ class Join:
         return pairs.where(most * (100 + self.percent) >= (F.col("na") + F.col("nb")) * self.percent).select("a", "b", "shared")
 
     def verified(self, pairs: DataFrame) -> DataFrame:
-        """host, node, both, either, linked of distinct pairs (host, node)."""
+        """host, node, both, either, exact, linked of distinct pairs (host, node)."""
         pairs = cut(pairs, "jaccard-pairs")
         hosts = pairs.groupBy("host").agg(F.ceil(F.count(F.lit(1)) / SALT).cast("int").alias("salts"))
         members = pairs.join(small(cut(hosts, "jaccard-hosts")), "host").select("node", "host", F.pmod(F.xxhash64("node"), "salts").cast("int").alias("salt"), F.lit(1).alias("member"))
@@ -249,7 +250,7 @@ class Join:
         want = cut(want.join(self.nodes, "node"), "jaccard-want")
         sent = self.base.join(small(want, payload="want", width=32, each=32), "doc").mapInArrow(_ship(self.size), "host long, salt int, member int, node long, set binary")
         met = sent.repartition("host", "salt").sortWithinPartitions("host", "salt", "member")
-        return cut(met.mapInArrow(_verify(self.percent), "host long, node long, both long, either long, linked boolean").distinct(), "jaccard-verified", free=True)
+        return cut(met.mapInArrow(_verify(self.percent), "host long, node long, both long, either long, exact boolean, linked boolean").distinct(), "jaccard-verified", free=True)
 
     def labels(self) -> DataFrame:
         """node, component for each node that is linked with another."""
@@ -283,10 +284,13 @@ class Join:
 
     def _apart_long(self, long: DataFrame, label: DataFrame, done: DataFrame) -> tuple[DataFrame, DataFrame]:
         """Pairs of long lists that remain, and the components by then; further leaders are taken while the pairs are many."""
-        far = done.select(F.col("host").alias("lead_node"), "node", (F.lit(1.0) - F.col("both") / F.col("either")).alias("far"), "linked")
+        least = F.lit(1.0) - F.col("both") / F.col("either")  # the distance, or no more than it where the overlap is a bound
+        far = done.select(F.col("host").alias("lead_node"), "node", least.alias("near"), F.when(F.col("exact"), least).otherwise(1.0).alias("far"))
         long = long.withColumn("lead_node", F.col("lead.node")).join(far, ["lead_node", "node"], "left")
-        long = cut(long.withColumn("far", F.when(F.col("node") == F.col("lead_node"), 0.0).otherwise(F.col("far"))).select("t", "node", "n", "far"), "jaccard-far")
-        same = long.groupBy("t").agg(F.count(F.lit(1)).alias("m"), F.sum(F.xxhash64("node", "far").cast("decimal(38,0)")).alias("s")).groupBy("m", "s").agg(F.min("t").alias("t"))
+        own = F.col("node") == F.col("lead_node")
+        long = long.select("t", "node", "n", F.coalesce("near", F.lit(0.0)).alias("near"), F.when(own, 0.0).otherwise(F.coalesce("far", F.lit(1.0))).alias("far"))
+        long = cut(long, "jaccard-far")
+        same = long.groupBy("t").agg(F.count(F.lit(1)).alias("m"), F.sum(F.xxhash64("node", "near", "far").cast("decimal(38,0)")).alias("s")).groupBy("m", "s").agg(F.min("t").alias("t"))
         long = cut(long.join(same.select("t"), "t"), "jaccard-far-once")
         seen, before = done.select("host", "node"), float("inf")
         for turn in range(LEADERS + 1):
@@ -308,8 +312,8 @@ class Join:
         here = cut(here.join(small(self.full.drop("doc"), width=16 + 8 * WORDS), "node"), "jaccard-marked", free=True)
         own = cut(here.groupBy("node").agg(F.collect_set("t").alias("ts")), "jaccard-own-lists")
         here = here.join(small(own, payload="ts"), "node")
-        a, b = (here.select("t", *(F.col(c).alias(f"{c}_{k}") for c in ("node", "n", "far", "component", "ts", *marks))) for k in "ab")
-        close = F.coalesce(F.abs(F.col("far_a") - F.col("far_b")) <= 1 - self.percent / 100 + 1e-9, F.lit(True))
+        a, b = (here.select("t", *(F.col(c).alias(f"{c}_{k}") for c in ("node", "n", "near", "far", "component", "ts", *marks))) for k in "ab")
+        close = F.greatest(F.col("near_a") - F.col("far_b"), F.col("near_b") - F.col("far_a")) <= 1 - self.percent / 100 + 1e-9
         differ = sum((F.bit_count(F.col(f"{m}_a").bitwiseXOR(F.col(f"{m}_b"))) for m in marks), F.lit(0))
         alike = differ * (100 + self.percent) <= (F.col("n_a") + F.col("n_b")) * (100 - self.percent)
         rest = a.join(b, "t").where((F.col("node_a") < F.col("node_b")) & (F.col("component_a") != F.col("component_b")) & self.fits("n_a", "n_b") & close & alike)

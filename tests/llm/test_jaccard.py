@@ -34,6 +34,27 @@ def test_join_equals_brute_force(spark, monkeypatch, short, many, salt):
     assert len({c for _, _, c in got}) < len(rows) - 20
 
 
+def shared_passages(seed, n=70, pool=14, each=6, length=14):
+    """Texts made of passages that many texts have, each with a near copy: leaders of lists are at a similarity of 0.2 to 0.5 to most members."""
+    r = np.random.default_rng(seed)
+    passages = [[f"p{k}w{i}" for i in range(length)] for k in range(pool)]
+    rows = []
+    for i in range(n):
+        w = [x for k in r.choice(pool, each, replace=False) for x in passages[k]]
+        rows.append((2 * i, " ".join(w)))
+        w[int(r.integers(len(w)))] = f"e{i}"
+        rows.append((2 * i + 1, " ".join(w)))
+    return rows
+
+
+@pytest.mark.parametrize("seed", [1, 2])
+def test_bounded_distances_to_a_leader_rule_out_no_link(spark, monkeypatch, seed):
+    monkeypatch.setattr(jaccard, "SHORT", 3)
+    rows = shared_passages(seed)
+    got = [tuple(r) for r in jaccard.join(frame(spark, rows)).collect()]
+    assert Counter(got) == Counter(brute.jaccard_components(rows))
+
+
 def test_odd_rows_and_empty_tables(spark):
     rows = odd()
     got = {tuple(r) for r in jaccard.join(frame(spark, rows)).collect()}
