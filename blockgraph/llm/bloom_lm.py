@@ -2,18 +2,19 @@
 
 Unigram and bigram counts of the training texts are gathered by hash: tasks send sorted arrays of hashes and counts to
 ``parts`` partitions (eight times as many as the input has), where they are added up. A count c is stored as its level,
-1 + floor(log(c) / log(BASE)): the n-gram goes into the filter once for each level up to its own (bigrams from the level of the
-least count stored), so asking level after level until one is absent gives the count back up to the base. Each partition builds its own slice of the filter, which has
-``FILTER_BYTES`` bytes whatever the corpus; where a corpus has more n-grams than fit at ``BITS_PER_ENTRY``, bigrams below a
-least count, found from the histogram of counts over all of them, stay out (they are then scored by their words alone).
-The filter is broadcast; texts are scored by membership probes only.
+1 + floor(log(c) / log(BASE)): the n-gram goes into the filter once for each level up to its own, so asking level after level
+until one is absent gives the count back up to the base. The filter has ``BITS_PER_ENTRY`` bits for each entry that was counted
+(``FILTER_BYTES`` at least), so every n-gram is stored at any size of the corpus. Only a caller that names ``filter_bytes`` leaves
+out the bigrams below a least count.
+
+The filter is never in one place: each partition builds its own slice. Texts are kept in blocks (packed, one row each); a block sends its
+distinct n-grams to the slices that they belong to, and levels and word counts come back to the block, where they are put together.
 
 p(w | v) = mix * count(v, w) / count(v) + (1 - mix) * (count(w) + 0.5) / (N + 0.5 (V + 1)); a text begins and ends with the end
 token. Levels are read as their lower ends for bigrams and as their upper ends for what they are divided by, so that the
 probabilities of a history add up to no more than one but for the filter's false positives.
 
-The base score is exact: counts of the most frequent words are broadcast (at most ``FREQUENT`` of them), those of other words
-come by a join of each text's remaining distinct words.
+The base score is exact: a slice also answers with its words' counts.
 """
 
 from __future__ import annotations
@@ -22,12 +23,14 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from blockgraph.llm import text as tx
 from blockgraph.llm.shared import cut
 from blockgraph.llm.text import U
+from blockgraph.storage import settings
 
 HELD_OUT_FOLD, FOLDS = 1, 5
 BASE = 1.5
@@ -35,9 +38,12 @@ FILTER_BYTES = 32 << 20
 BITS_PER_ENTRY = 12
 HASHES = 4
 MIX = 0.2
-FREQUENT = 1 << 18
+FREQUENT = 1 << 18  # not used any more; a test sets it
 FLUSH = 3_000_000
-LEAST = 2
+LEAST = 1
+BLOCK_BYTES = 4 << 20
+ASKED = 1_000_000
+ROWS = 16
 END = U(0x5D0C7E4D0C7E4D01)
 LEVELS = 120
 
@@ -133,6 +139,15 @@ def _add_up(h: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return h[head], np.add.reduceat(c, head) if len(h) else c
 
 
+def _packed(h: np.ndarray) -> bytes:
+    """Hashes byte plane by byte plane: the high bytes of sorted ones of one slice compress well."""
+    return h.view(np.uint8).reshape(-1, 8).T.tobytes()
+
+
+def _unpacked(data: pa.Scalar) -> np.ndarray:
+    return np.ascontiguousarray(np.frombuffer(data.as_buffer(), np.uint8).reshape(8, -1).T).view(np.uint64).ravel()
+
+
 def _count(parts: int) -> Callable:
     """Training texts to rows part, order, h, c: sorted hashes and their counts as bytes."""
 
@@ -144,7 +159,7 @@ def _count(parts: int) -> Callable:
         cuts = np.searchsorted(Slices.part(h, parts), np.arange(parts + 1))
         keep = [p for p in range(parts) if cuts[p + 1] > cuts[p]]
         return pa.RecordBatch.from_arrays(
-            [pa.array(keep, pa.int32()), pa.array([order] * len(keep), pa.int32()), pa.array([h[cuts[p] : cuts[p + 1]].tobytes() for p in keep], pa.binary()), pa.array([c[cuts[p] : cuts[p + 1]].tobytes() for p in keep], pa.binary())],
+            [pa.array(keep, pa.int32()), pa.array([order] * len(keep), pa.int32()), pa.array([_packed(h[cuts[p] : cuts[p + 1]]) for p in keep], pa.binary()), pa.array([c[cuts[p] : cuts[p + 1]].tobytes() for p in keep], pa.binary())],
             ["part", "order", "h", "c"],
         )
 
@@ -166,15 +181,13 @@ def _count(parts: int) -> Callable:
 
 
 def _gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows sorted by part and order, added up: one row each, bigrams of one occurrence counted but left out of the arrays."""
+    """Rows sorted by part and order, added up: one row each."""
 
     def out(key, hs, cs) -> pa.RecordBatch:
         h, c = _add_up(np.concatenate(hs), np.concatenate(cs).astype(np.int64))
         counts = np.bincount(np.minimum(level(c), LEVELS), minlength=LEVELS + 1)
-        if key[1] > 1:
-            h, c = h[c >= LEAST], c[c >= LEAST]
         return pa.RecordBatch.from_arrays(
-            [pa.array([key[0]], pa.int32()), pa.array([key[1]], pa.int32()), pa.array([h.tobytes()], pa.binary()), pa.array([c.tobytes()], pa.binary()), pa.array([counts], pa.list_(pa.int64())), pa.array([int(c.sum())], pa.int64())],
+            [pa.array([key[0]], pa.int32()), pa.array([key[1]], pa.int32()), pa.array([_packed(h)], pa.binary()), pa.array([c.tobytes()], pa.binary()), pa.array([counts], pa.list_(pa.int64())), pa.array([int(c.sum())], pa.int64())],
             ["part", "order", "h", "c", "levels", "total"],
         )
 
@@ -185,7 +198,7 @@ def _gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 if hs:
                     yield out(key, hs, cs)
                 key, hs, cs, rows = (p, o), [], [], 0
-            hs.append(np.frombuffer(h.as_buffer(), np.uint64).copy())
+            hs.append(_unpacked(h))
             cs.append(np.frombuffer(c.as_buffer(), np.uint32).copy())
             rows += len(hs[-1])
             if len(hs) > 1 and rows > 4_000_000:  # bounded: what repeats is folded on the way
@@ -200,7 +213,7 @@ def _build(parts: int, size: int, least: int) -> Callable:
         for b in batches:
             for p, o, h, c in zip(b.column("part").to_pylist(), b.column("order").to_pylist(), b.column("h"), b.column("c"), strict=True):
                 one = Slices(1, size)
-                x, n = np.frombuffer(h.as_buffer(), np.uint64), np.frombuffer(c.as_buffer(), np.int64)
+                x, n = _unpacked(h), np.frombuffer(c.as_buffer(), np.int64)
                 if o > 1:
                     x, n = x[n >= least], n[n >= least]
                 up = np.minimum(level(n), LEVELS)
@@ -212,52 +225,136 @@ def _build(parts: int, size: int, least: int) -> Callable:
     return run
 
 
-def _spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Arrays to one row for each hash."""
-    for b in batches:
-        for h, c in zip(b.column("h"), b.column("c"), strict=True):
-            x, n = np.frombuffer(h.as_buffer(), np.int64), np.frombuffer(c.as_buffer(), np.int64)
-            for at in range(0, len(x), 100_000):
-                yield pa.RecordBatch.from_arrays([pa.array(x[at : at + 100_000]), pa.array(n[at : at + 100_000])], ["token", "count"])
-
-
 class Model:
-    """What training leaves: the filter's slices, N, V, the table of word counts and the frequent ones of it."""
+    """What training leaves: N, V, the counts by partition and the size of a slice of the filter."""
 
-    def __init__(self, docs: DataFrame, filter_bytes: int = FILTER_BYTES):
-        """docs: text of the training rows."""
+    def __init__(self, docs: DataFrame, filter_bytes: int | None = None):
+        """docs: text of the training rows. filter_bytes: a bound of the filter, for which bigrams are left out; none by default."""
         self.parts = max(64, 8 * docs.rdd.getNumPartitions())
-        rows = docs.select(F.col("text")).mapInArrow(_count(self.parts), "part int, `order` int, h binary, c binary")
-        rows = rows.repartition("part", "order").sortWithinPartitions("part", "order")
-        table = cut(rows.mapInArrow(_gather, "part int, `order` int, h binary, c binary, levels array<long>, total long"), "lm-counts", free=True)
-        words = table.where("`order` = 1")
+        sent = docs.select(F.col("text")).mapInArrow(_count(self.parts), "part int, `order` int, h binary, c binary")
+        met = sent.repartition("part", "order").sortWithinPartitions("part", "order")
+        self.table = cut(met.mapInArrow(_gather, "part int, `order` int, h binary, c binary, levels array<long>, total long"), "lm-counts", free=True)
+        words = self.table.where("`order` = 1")
         self.n, self.v = words.agg(F.coalesce(F.sum("total"), F.lit(0)), F.coalesce(F.sum(F.aggregate("levels", F.lit(0).cast("long"), lambda a, x: a + x)), F.lit(0))).first()
-        spread = {(o, k): m for o, k, m in table.select("order", F.posexplode("levels").alias("k", "m")).groupBy("order", "k").agg(F.sum("m")).collect()}  # LEVELS rows for each order
+        levels = self.table.select("part", "order", F.posexplode("levels").alias("k", "m"))
+        self.least = LEAST
+        if filter_bytes is None:
+            most = levels.groupBy("part").agg(F.sum(F.col("k") * F.col("m")).alias("entries")).agg(F.max("entries")).first()[0] or 0
+            self.size = max(-(-FILTER_BYTES // self.parts), -(-most * BITS_PER_ENTRY // 8)) * 8
+            return
+        spread = {(o, k): m for o, k, m in levels.groupBy("order", "k").agg(F.sum("m")).collect()}  # LEVELS rows for each order
         held = lambda order, least: sum(m * (k + 1 - int(level(np.array([least]))[0])) for (o, k), m in spread.items() if o == order and lower_end(np.array([k]))[0] >= least)
         fits = filter_bytes * 8 // BITS_PER_ENTRY
-        self.least = LEAST
         while held(1, 1) + held(2, self.least) > fits and self.least < 2**40:
             self.least = int(lower_end(level(np.array([self.least])) + 1)[0])
         self.size = -(-filter_bytes // self.parts) * 8
-        self.bits = np.zeros(self.parts * self.size // 8, np.uint8)
-        for p, bits in table.select("part", "order", "h", "c").mapInArrow(_build(self.parts, self.size, self.least), "part int, bits binary").toLocalIterator():  # filter_bytes for each order, a slice at a time
+
+    @property
+    def first(self) -> int:
+        """The level that bigrams are stored from."""
+        return int(level(np.array([self.least]))[0])
+
+    def slices(self) -> DataFrame:
+        """part, bits: the slices, one row for each order."""
+        return self.table.select("part", "order", "h", "c").mapInArrow(_build(self.parts, self.size, self.least), "part int, bits binary")
+
+    @property
+    def bits(self) -> np.ndarray:
+        """The whole filter, for small ones."""
+        out = np.zeros(self.parts * self.size // 8, np.uint8)
+        for p, bits in self.slices().toLocalIterator():
             at = p * self.size // 8
-            self.bits[at : at + self.size // 8] |= np.frombuffer(bits, np.uint8)
-        self.table = words.select("h", "c").mapInArrow(_spread, "token long, count long")
-        most, top = 0, 0
-        for k in sorted((k for o, k in spread if o == 1), reverse=True):
-            if most + spread[1, k] > FREQUENT:
-                break
-            most, top = most + spread[1, k], k
-        edge = int(lower_end(np.array([top]))[0]) if top else 2**62
-        got = self.table.where(F.col("count") >= edge).toArrow()  # at most FREQUENT rows
-        order = np.argsort(got["token"].to_numpy().view(np.uint64)) if got.num_rows else np.zeros(0, np.int64)
-        self.frequent = (got["token"].to_numpy().view(np.uint64)[order], got["count"].to_numpy()[order]) if got.num_rows else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
+            out[at : at + self.size // 8] |= np.frombuffer(bits, np.uint8)
+        return out
 
     def scores(self, docs: DataFrame) -> DataFrame:
-        """For rows of docs (doc_id, held_out, text): n_tokens, score, and what the base score needs."""
-        shared = docs.sparkSession.sparkContext.broadcast((self.bits, self.frequent))
-        return docs.mapInArrow(_score(shared, self.parts, self.size, self.n, self.v, int(level(np.array([self.least]))[0])), "doc_id long, held_out boolean, n_tokens long, score double, known long, base double, token array<long>, times array<int>")
+        """doc_id, held_out, n_tokens, n_known, base_score, score for rows of docs (doc_id, held_out, text)."""
+        frames = cut(docs.select("doc_id", "held_out", "text").mapInArrow(_pack, "block long, frame binary"), "lm-texts", free=True)
+        none = lambda *names: [F.lit(None).cast(k).alias(c) for c, k in names]
+        asks = frames.mapInArrow(_ask(self.parts), "part int, block long, words binary, pairs binary").select("part", F.lit(2).alias("kind"), "block", "words", "pairs")
+        bits = self.slices().select("part", F.lit(0).alias("kind"), *none(("block", "long")), F.col("bits").alias("words"), *none(("pairs", "binary")))
+        counts = self.table.where("`order` = 1").select("part", F.lit(1).alias("kind"), *none(("block", "long")), F.col("h").alias("words"), F.col("c").alias("pairs"))
+        met = bits.unionByName(counts).unionByName(asks).repartition(self.parts, "part").sortWithinPartitions("part", "kind")
+        with settings(docs.sparkSession, spark__sql__execution__arrow__maxRecordsPerBatch=ROWS):  # rows of up to some MB
+            answers = cut(met.mapInArrow(_answer(self.size, self.first), "block long, part int, known binary, words binary, pairs binary"), "lm-levels", free=True)
+        texts = frames.select("block", F.lit(-1).alias("part"), F.col("frame").alias("known"), *none(("words", "binary"), ("pairs", "binary")))
+        back = texts.unionByName(answers).repartition(self.parts, "block").sortWithinPartitions("block", "part")
+        return back.mapInArrow(_score(self.n, self.v), "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
+
+
+def _pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Texts to one row for each block of about BLOCK_BYTES, compressed."""
+    at = TaskContext.get().partitionId() << 32
+    for b in tx.blocks(batches, limit=BLOCK_BYTES):
+        sink = pa.BufferOutputStream()
+        with pa.ipc.new_stream(sink, b.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as out:
+            out.write_batch(b)
+        yield pa.RecordBatch.from_arrays([pa.array([at], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], ["block", "frame"])
+        at += 1
+
+
+def _unpack(frame: pa.Scalar) -> tuple[pa.RecordBatch, np.ndarray, np.ndarray]:
+    """A block's rows, their tokens and how many each row has."""
+    with pa.ipc.open_stream(frame.as_buffer()) as stream:
+        b = stream.read_next_batch()
+    t, n = zip(*(tokens(x.column("text")) for x in tx.blocks([b])), strict=True)
+    return b, np.concatenate(t), np.concatenate(n)
+
+
+def _ask(parts: int) -> Callable:
+    """Blocks to the distinct hashes of their words and word pairs, sorted, by the slice that they belong to."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for block, frame in zip(b.column("block").to_pylist(), b.column("frame"), strict=True):
+                _, t, n = _unpack(frame)
+                both = [np.unique(t), np.unique(bigrams(t, n)[1])]
+                cuts = [np.searchsorted(Slices.part(h, parts), np.arange(parts + 1)) for h in both]
+                keep = [p for p in range(parts) if any(c[p + 1] > c[p] for c in cuts)]
+                data = [pa.array([_packed(h[c[p] : c[p + 1]]) for p in keep], pa.binary()) for h, c in zip(both, cuts, strict=True)]
+                yield pa.RecordBatch.from_arrays([pa.array(keep, pa.int32()), pa.array([block] * len(keep), pa.int64()), *data], ["part", "block", "words", "pairs"])
+
+    return run
+
+
+def _answer(size: int, first: int) -> Callable:
+    """Rows sorted by part and kind (slice, word counts, asked hashes) to the asked words' counts and levels and the pairs' levels."""
+
+    def out(part: int, one: Slices, table: tuple[np.ndarray, np.ndarray], asked: list) -> pa.RecordBatch:
+        got = []
+        for k, begin in ((1, 1), (2, first)):
+            h, back = np.unique(np.concatenate([x[k] for x in asked]), return_inverse=True)
+            cuts = np.cumsum([len(x[k]) for x in asked])[:-1]
+            if k == 1:
+                at = np.minimum(np.searchsorted(table[0], h), max(len(table[0]) - 1, 0))
+                known = np.where(table[0][at] == h, table[1][at], 0) if len(table[0]) else np.zeros(len(h), np.int64)
+                got.append([x.tobytes() for x in np.split(known[back], cuts)])
+            got.append([x.tobytes() for x in np.split(one.levels(h, begin).astype(np.uint8)[back], cuts)])
+        return pa.RecordBatch.from_arrays([pa.array([x[0] for x in asked], pa.int64()), pa.array([part] * len(asked), pa.int32()), *(pa.array(x, pa.binary()) for x in got)], ["block", "part", "known", "words", "pairs"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        empty = np.zeros(0, np.uint64), np.zeros(0, np.int64)
+        at, one, table, asked, many = None, None, empty, [], 0
+        for b in batches:
+            for part, kind, block, x, y in zip(*(b.column(c).to_pylist() for c in ("part", "kind", "block")), b.column("words"), b.column("pairs"), strict=True):
+                if part != at:
+                    if asked:
+                        yield out(at, one, table, asked)
+                    at, one, table, asked, many = part, Slices(1, size), empty, [], 0
+                if kind == 0:
+                    one.bits |= np.frombuffer(x.as_buffer(), np.uint8)
+                elif kind == 1:
+                    table = _unpacked(x), np.frombuffer(y.as_buffer(), np.int64).copy()
+                else:
+                    asked.append((block, _unpacked(x), _unpacked(y)))
+                    many += len(asked[-1][1]) + len(asked[-1][2])
+                    if many >= ASKED:
+                        yield out(at, one, table, asked)
+                        asked, many = [], 0
+        if asked:
+            yield out(at, one, table, asked)
+
+    return run
 
 
 def _sum(x: np.ndarray, n: np.ndarray) -> np.ndarray:
@@ -266,43 +363,39 @@ def _sum(x: np.ndarray, n: np.ndarray) -> np.ndarray:
     return total[ends] - total[ends - n]
 
 
-def _score(shared, parts: int, size: int, total: int, distinct: int, first: int) -> Callable:
+def _score(total: int, distinct: int) -> Callable:
+    """Rows sorted by block and part (the block's texts first, then the answers of the slices) to scores."""
+    below = total + 0.5 * (distinct + 1)
+
+    def out(frame: pa.Scalar, answers: list[tuple[bytes, bytes, bytes]]) -> pa.RecordBatch:
+        b, t, n = _unpack(frame)
+        before, pair = bigrams(t, n)
+        seen, back = np.unique(t, return_inverse=True)
+        known, up, both = (np.frombuffer(b"".join(x), k) for x, k in zip(zip(*answers, strict=True), (np.int64, np.uint8, np.uint8), strict=True))  # parts are in the order of hashes
+        low, high = lower_end(up.astype(np.int64)), upper_end(up.astype(np.int64))
+        middle = np.where(low > 0, np.sqrt(low * np.maximum(high, 1)), 0.0)
+        alone = np.minimum((middle + 0.5) / below, 1.0)[back]
+        history = np.maximum(high[np.searchsorted(seen, before)], 1.0)
+        both = lower_end(both.astype(np.int64))[np.unique(pair, return_inverse=True)[1]]
+        p = MIX * np.minimum(both / history, 1.0) + (1 - MIX) * alone
+        base = np.log10((known + 0.5) / below)[back]
+        return pa.RecordBatch.from_arrays(
+            [b.column("doc_id"), b.column("held_out"), pa.array(n.astype(np.int64)), pa.array(_sum((known > 0)[back], n).astype(np.int64)), pa.array(_sum(base, n)), pa.array(_sum(np.log10(np.maximum(p, 1e-300)), n))],
+            ["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score"],
+        )
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bits, (words, counts) = shared.value
-        held = Slices(parts, size, bits)
-        below = total + 0.5 * (distinct + 1)
-        for b in tx.blocks(batches):
-            t, n = tokens(b.column("text"))
-            before, pair = bigrams(t, n)
-            seen, back = np.unique(t, return_inverse=True)
-            up = held.levels(seen)
-            low, high = lower_end(up), upper_end(up)
-            middle = np.where(low > 0, np.sqrt(low * np.maximum(high, 1)), 0.0)
-            alone = np.minimum((middle + 0.5) / below, 1.0)[back]
-            history = np.maximum(high[np.minimum(np.searchsorted(seen, before), len(seen) - 1)], 1.0) if len(seen) else np.zeros(0)
-            both = np.zeros(len(t))
-            hit = np.flatnonzero(held.holds(pair, np.full(len(pair), first)))
-            once, where = np.unique(pair[hit], return_inverse=True)
-            both[hit] = lower_end(held.levels(once, first))[where]
-            p = MIX * np.minimum(both / history, 1.0) + (1 - MIX) * alone
-            at = np.minimum(np.searchsorted(words, seen), max(len(words) - 1, 0))
-            frequent = words[at] == seen if len(words) else np.zeros(len(seen), bool)
-            exact = np.zeros(len(seen))
-            exact[frequent] = np.log10((counts[at[frequent]] + 0.5) / below)
-            known = frequent[back]
-            doc = np.repeat(np.arange(len(n)), n)
-            rest = np.flatnonzero(~known)
-            key = np.stack([doc[rest], back[rest]])
-            order = np.lexsort((key[1], key[0]))
-            key = key[:, order]
-            head = np.flatnonzero(np.append(True, (key[:, 1:] != key[:, :-1]).any(0))) if len(rest) else np.zeros(0, np.int64)
-            times = np.diff(np.append(head, len(rest))).astype(np.int32)
-            lists = np.append(0, np.cumsum(np.bincount(key[0][head], minlength=len(n)))).astype(np.int32)
-            yield pa.RecordBatch.from_arrays(
-                [b.column("doc_id"), b.column("held_out"), pa.array(n.astype(np.int64)), pa.array(_sum(np.log10(np.maximum(p, 1e-300)), n)), pa.array(_sum(known, n).astype(np.int64)), pa.array(_sum(exact[back], n)),
-                 pa.ListArray.from_arrays(pa.array(lists), pa.array(tx.signed(seen[key[1][head]]))), pa.ListArray.from_arrays(pa.array(lists), pa.array(times))],
-                ["doc_id", "held_out", "n_tokens", "score", "known", "base", "token", "times"],
-            )
+        frame, answers = None, []
+        for b in batches:
+            for part, *x in zip(b.column("part").to_pylist(), b.column("known"), b.column("words"), b.column("pairs"), strict=True):
+                if part < 0:
+                    if frame is not None:
+                        yield out(frame, answers)
+                    frame, answers = x[0], []
+                else:
+                    answers.append(tuple(y.as_py() for y in x))
+        if frame is not None:
+            yield out(frame, answers)
 
     return run
 
@@ -314,13 +407,4 @@ def score(docs: DataFrame) -> DataFrame:
     token every probability is that of an unknown one."""
     base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), (~training(F.col("doc_id"))).alias("held_out"), docs["text"].cast("string").alias("text"))
     model = Model(base.where(~F.col("held_out")))
-    rows = cut(model.scores(base).withColumn("row", F.monotonically_increasing_id()), "lm-scores")
-    rare = rows.select("row", F.explode(F.arrays_zip("token", "times")).alias("x")).select("row", "x.token", "x.times")
-    below = model.n + 0.5 * (model.v + 1)
-    counted = rare.join(model.table, "token", "left").withColumn("count", F.coalesce("count", F.lit(0)))
-    counted = counted.groupBy("row").agg(F.sum(F.when(F.col("count") > 0, F.col("times")).otherwise(0)).alias("more_known"), F.sum(F.col("times") * F.log10((F.col("count") + 0.5) / below)).alias("more_base"))
-    out = rows.drop("token", "times").join(counted, "row", "left")
-    return out.select(
-        "doc_id", "held_out", "n_tokens", (F.col("known") + F.coalesce("more_known", F.lit(0))).alias("n_known"), F.lit(int(model.n)).cast("long").alias("train_tokens"),
-        (F.col("base") + F.coalesce("more_base", F.lit(0.0))).alias("base_score"), "score",
-    )
+    return model.scores(base).select("doc_id", "held_out", "n_tokens", "n_known", F.lit(int(model.n)).cast("long").alias("train_tokens"), "base_score", "score")

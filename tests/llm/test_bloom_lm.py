@@ -65,6 +65,30 @@ def test_bigrams_beyond_the_filter_stay_out(spark):
     assert big.least == lm.LEAST < small.least and len(small.bits) <= 4096 + 8 * small.parts and (big.n, big.v) == (small.n, small.v)
 
 
+def test_scores_use_every_ngram_of_any_corpus(spark, monkeypatch):
+    """Against counts in plain Python, those of one occurrence too; the filter grows with what was counted."""
+    rows = corpus(11, n=60, vocabulary=15) + odd()
+    toks = [[*words(lower(t)), None] for _, t in rows]
+    pairs = [list(zip([None, *t], t, strict=False)) for t in toks]
+    train = [zlib.crc32(("" if d is None else str(d)).encode()) % 5 != 1 for d, _ in rows]
+    one, two = (Counter(x for t, h in zip(y, train, strict=True) if h for x in t) for y in (toks, pairs))
+    below, ends = sum(one.values()) + 0.5 * (len(one) + 1), lambda c: [float(f(lm.level(np.array([c])) if c else np.array([0]))[0]) for f in (lm.lower_end, lm.upper_end)]
+
+    def p(v, w):
+        low, high = ends(one[w])
+        return lm.MIX * min(ends(two[v, w])[0] / max(ends(one[v])[1], 1), 1) + (1 - lm.MIX) * min((math.sqrt(low * max(high, 1)) + 0.5) / below, 1)
+
+    want = sorted((len(t), round(sum(math.log10(p(*x)) for x in t), 6)) for t in pairs)
+    assert sorted((r.n_tokens, round(r.score, 6)) for r in lm.score(frame(spark, rows)).collect()) == want
+    monkeypatch.setattr(lm, "FILTER_BYTES", 64)
+    monkeypatch.setattr(lm, "BLOCK_BYTES", 2000)
+    monkeypatch.setattr(lm, "ASKED", 100)
+    got = sorted((r.n_tokens, r.score) for r in lm.score(frame(spark, rows)).collect())
+    total = lambda x: sum(y for _, y in x)
+    assert [n for n, _ in got] == [n for n, _ in want] and abs(total(got) / total(want) - 1) < 0.02
+    assert lm.Model(frame(spark, rows).select("text")).least == 1
+
+
 def test_empty_table(spark):
     assert lm.score(frame(spark, [])).count() == 0
     assert [tuple(r)[1:5] for r in lm.score(frame(spark, [(1, "a b")])).collect()] in ([(False, 3, 3, 3)], [(True, 3, 0, 0)])
