@@ -210,6 +210,9 @@ add("diameter_turns", lambda spark, sf: alg.neighbourhood_exact(graph(spark, sf,
 add("neighbourhood_fn", lambda spark, sf: spark.createDataFrame(alg.neighbourhood_sketch(graph(spark, sf, "turns"), beta=8), "hops int, pairs double"))
 add("triangles_exact", lambda spark, sf: alg.triangles(graph(spark, sf, "copart_thin")), f"WITH {edges_cte('copart_thin', True)}, u AS (SELECT src, dst FROM e WHERE src < dst) SELECT count(*)::BIGINT AS triangles FROM u a JOIN u b ON a.src = b.src JOIN u c ON c.src = a.dst AND c.dst = b.dst")
 
+add("triangles_copart", lambda spark, sf: alg.triangles(graph(spark, sf, "copart")), f"WITH {edges_cte('copart', True)}, u AS (SELECT src, dst FROM e WHERE src < dst) SELECT count(*)::BIGINT AS triangles FROM u a JOIN u b ON a.src = b.src JOIN u c ON c.src = a.dst AND c.dst = b.dst")
+add("wcc_unionfind_copart", lambda spark, sf: alg.wcc(graph(spark, sf, "copart"), "unionfind"))
+
 
 # --- eigensolver, vectors ---------------------------------------------------------------------------------------------
 def power_sql(name: str, iters: int) -> str:
