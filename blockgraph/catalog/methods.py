@@ -206,7 +206,7 @@ add("bfs_turns", lambda spark, sf: alg.bfs(graph(spark, sf, "turns"), F.col("id"
 add("sssp_transitions", lambda spark, sf: alg.sssp(graph(spark, sf, "transitions"), F.col("id") == 0, beta=1), f"WITH RECURSIVE {edges_cte('transitions')}, r(id, dist, hops) AS (SELECT id, 0.0::DOUBLE, 0 FROM v WHERE id = 0 UNION SELECT e.dst, r.dist + e.w, hops + 1 FROM r JOIN e ON e.src = r.id WHERE hops < 4) SELECT v.id, min(dist) AS dist FROM v LEFT JOIN r USING (id) GROUP BY v.id")
 add("degrees_hetero", lambda spark, sf: alg.degrees(graph(spark, sf, "hetero")), f"WITH {edges_cte('hetero')} SELECT id, (SELECT count(*) FROM e WHERE dst = id)::BIGINT AS in_degree, (SELECT count(*) FROM e WHERE src = id)::BIGINT AS out_degree FROM v")
 _CLOSURE = f"WITH RECURSIVE {edges_cte('turns')}, r(a, b, hops) AS (SELECT id, id, 0 FROM v UNION ALL SELECT r.a, e.dst, r.hops + 1 FROM r JOIN e ON e.src = r.b)"
-add("diameter_turns", lambda spark, sf: alg.neighbourhood_exact(graph(spark, sf, "turns"), 64).select("hops", "pairs"), _CLOSURE + ", h AS (SELECT hops, count(*) AS c FROM r GROUP BY 1) SELECT hops, (sum(c) OVER (ORDER BY hops))::BIGINT AS pairs FROM h")
+add("diameter_turns", lambda spark, sf: alg.neighbourhood_exact(graph(spark, sf, "turns")).select("hops", "pairs"), _CLOSURE + ", h AS (SELECT hops, count(*) AS c FROM r GROUP BY 1) SELECT hops, (sum(c) OVER (ORDER BY hops))::BIGINT AS pairs FROM h")
 add("neighbourhood_fn", lambda spark, sf: spark.createDataFrame(alg.neighbourhood_sketch(graph(spark, sf, "turns"), beta=8), "hops int, pairs double"))
 add("triangles_exact", lambda spark, sf: alg.triangles(graph(spark, sf, "copart_thin")), f"WITH {edges_cte('copart_thin', True)}, u AS (SELECT src, dst FROM e WHERE src < dst) SELECT count(*)::BIGINT AS triangles FROM u a JOIN u b ON a.src = b.src JOIN u c ON c.src = a.dst AND c.dst = b.dst")
 

@@ -118,8 +118,10 @@ def degrees(g: Graph) -> DataFrame:
     return g.vertices.join(d, "id", "left").select("id", _or("i", 0).alias("in_degree"), _or("o", 0).alias("out_degree"))
 
 
-def neighbourhood_exact(g: Graph, max_hops: int) -> DataFrame:
-    """hops, pairs: pairs (u, v) with v at most so many steps from u, u itself counted; for graphs of small closure."""
+def neighbourhood_exact(g: Graph, max_hops: int = 10_000) -> DataFrame:
+    """hops, pairs: pairs (u, v) with v at most so many steps from u, u itself counted; for graphs of small closure.
+
+    Until no pair is new; an error if that takes over ``max_hops`` hops."""
     seen = cut(g.vertices.select("id", F.col("id").alias("to"), F.lit(0).alias("hops")), "closure")
     for hop in range(1, max_hops + 1):
         reached = seen.where(F.col("hops") == hop - 1).join(g.edges.select(F.col("src").alias("to"), F.col("dst").alias("next")), "to")
@@ -127,6 +129,8 @@ def neighbourhood_exact(g: Graph, max_hops: int) -> DataFrame:
         if not new.limit(1).count():
             break
         seen = seen.unionByName(new)
+    else:
+        raise RuntimeError(f"pairs are still new after {max_hops} hops")
     per = seen.groupBy("hops").agg(F.count(F.lit(1)).alias("new"))
     levels = per.alias("a").join(per.alias("b"), F.col("b.hops") <= F.col("a.hops"))  # hops rows
     return levels.groupBy(F.col("a.hops").alias("hops")).agg(F.sum("b.new").alias("pairs"))
@@ -143,8 +147,10 @@ def sketch_program(registers: int, seed: int = 1) -> VertexProgram:
     return VertexProgram(first, [F.col(n) for n in names], ["bit_or"] * registers, {n: F.col(n).bitwiseOR(F.coalesce(F.col(f"acc{i}"), F.lit(0).cast("long"))) for i, n in enumerate(names)}, changed=F.expr(" or ".join(f"{n} <> old_{n}" for n in names)))
 
 
-def neighbourhood_sketch(g: Graph, registers: int = 16, max_hops: int = 64, **options) -> list[tuple[int, float]]:
-    """(hops, estimated pairs): a vertex's set grows along edges towards it; the estimate is 2 ** mean lowest zero / 0.77351."""
+def neighbourhood_sketch(g: Graph, registers: int = 16, max_hops: int = 10_000, **options) -> list[tuple[int, float]]:
+    """(hops, estimated pairs): a vertex's set grows along edges towards it; the estimate is 2 ** mean lowest zero / 0.77351.
+
+    Until no bit is new; an error if that takes over ``max_hops`` hops."""
     from blockgraph.plans import layout as lay
 
     prog = sketch_program(registers)
@@ -158,11 +164,13 @@ def neighbourhood_sketch(g: Graph, registers: int = 16, max_hops: int = 64, **op
         out.append((len(out), values.agg(F.sum(F.pow(F.lit(2.0), zero)) / 0.77351).first()[0]))
 
     run = engine.iterate(layout, prog, max_hops, stop_when_stable=True, after=measure)
+    if not run.changed or run.changed[-1]:
+        raise RuntimeError(f"bits are still new after {max_hops} hops")
     measure(run.values, prog)
     return out
 
 
-def diameter(g: Graph, quantile: float = 0.9, exact: bool = False, max_hops: int = 64, **options) -> tuple[float, int]:
+def diameter(g: Graph, quantile: float = 0.9, exact: bool = False, max_hops: int = 10_000, **options) -> tuple[float, int]:
     """Effective diameter (hops within which ``quantile`` of all reachable pairs lie, interpolated) and the largest hop count."""
     grown = [(r.hops, float(r.pairs)) for r in neighbourhood_exact(g, max_hops).orderBy("hops").collect()] if exact else neighbourhood_sketch(g, max_hops=max_hops, **options)
     goal = quantile * grown[-1][1]
