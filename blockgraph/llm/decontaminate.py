@@ -11,8 +11,8 @@ the threshold is passed over (all passages of a block of texts at once); the res
 out whole blocks of posting lists by their maxima.
 
 A retrieved item counts if the passage holds enough of the word trigrams of both its question and its answer (the last
-line of several, else the last third of the words). Items under ``MIN_WORDS`` words cannot be told from chance and are not
-looked for. The index is broadcast; items are taken in blocks of at most ``BLOCK_BYTES``, so its size has a bound.
+line of several, else the last third of the words). Items under ``MIN_WORDS`` words count where a text holds all their words in
+a row. The index is broadcast; items are taken in blocks of at most ``BLOCK_BYTES``, so its size has a bound.
 """
 
 from __future__ import annotations
@@ -169,17 +169,21 @@ class Index:
                         forward(x, until)
 
 
-def build(items: list[tuple[int, str]]) -> tuple[list[Index], dict[int, tuple[np.ndarray, np.ndarray]]]:
-    """Indexes by length class and the trigrams of each item's question and answer, by place in items."""
+def build(items: list[tuple[int, str]]) -> tuple[list[Index], dict[int, tuple[np.ndarray, np.ndarray]], dict[int, tuple[np.ndarray, np.ndarray]]]:
+    """Indexes by length class, the trigrams of each item's question and answer, by place in items, and for items of few words, by
+    length, the sorted hashes of the whole sequences with their places in items."""
     classes: dict[int, list[tuple[int, np.ndarray]]] = defaultdict(list)
     parts = {}
+    whole: dict[int, list[tuple[int, int]]] = defaultdict(list)
     for k, (_, text) in enumerate(items):
         h = _hashes(text)
         if len(h) < MIN_WORDS:
+            if len(h):
+                whole[len(h)].append((int(tx.grams(h, len(h))[0]), k))
             continue
         classes[max(SMALLEST_CLASS, 1 << (len(h) - 1).bit_length())].append((k, h))
         parts[k] = tuple(_trigrams(_hashes(x)) for x in question_and_answer(text))
-    return [Index(group, span) for span, group in sorted(classes.items())], parts
+    return [Index(group, span) for span, group in sorted(classes.items())], parts, {n: tuple(np.array(x, t) for x, t in zip(zip(*sorted(got), strict=True), (np.uint64, np.int64), strict=True)) for n, got in whole.items()}
 
 
 def _share(part: np.ndarray, of: np.ndarray) -> float:
@@ -194,13 +198,18 @@ def _stretches(first: np.ndarray, span: int) -> tuple[np.ndarray, np.ndarray]:
 
 def _searcher(shared, names: list[int], score: float, overlap: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        indexes, parts = shared.value
+        indexes, parts, whole = shared.value
         for b in tx.blocks(batches):
             buf, off = tx.buffers(b.column("text"))
             w = tx.Words(buf, off)
             h = w.hashes(lower=True)
             best: dict[tuple[int, int], tuple[float, float, float]] = {}
             place = np.arange(len(h)) - w.first[w.doc]
+            for n, (sequences, where) in whole.items():
+                g = tx.grams(h, n)
+                lo, hi = np.searchsorted(sequences, g), np.searchsorted(sequences, g, "right")
+                for k in np.flatnonzero((hi > lo) & (w.doc[n - 1 :] == w.doc[: len(g)])) if len(g) else ():
+                    best.update({(int(w.doc[k]), int(item)): (1.0, 1.0, 1.0) for item in where[lo[k] : hi[k]]})
             for index in indexes:
                 at = np.searchsorted(index.vocabulary, h)
                 at[at == len(index.vocabulary)] = 0
@@ -250,9 +259,9 @@ def find(docs: DataFrame, benchmark: DataFrame, score: float = SCORE, overlap: f
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), docs["text"].cast("string").alias("text"))
     out = None
     for items in _item_blocks(benchmark):
-        indexes, parts = build(items)
-        if indexes:
-            shared = docs.sparkSession.sparkContext.broadcast((indexes, parts))
+        built = build(items)
+        if built[0] or built[2]:
+            shared = docs.sparkSession.sparkContext.broadcast(built)
             hits = texts.mapInArrow(_searcher(shared, [i for i, _ in items], score, overlap), SCHEMA)
             out = hits if out is None else out.unionByName(hits)
     return docs.sparkSession.createDataFrame([], SCHEMA) if out is None else out

@@ -66,6 +66,12 @@ def test_equals_brute_force(spark, monkeypatch, block):
     assert {r.doc_id for r in dc.remove(frame(spark, rows, ("doc_key",)), benchmark).collect()} == {d for d, _ in rows} - {d for d, *_ in got}
 
 
+def test_items_of_few_words_count_as_whole_sequences(spark):
+    benchmark = spark.createDataFrame([(1, "Blue whale"), (2, "x"), (3, "one two\nthree four"), (4, "blue WHALE"), (5, " ")], "item_id long, text string")
+    rows = [(1, "a blue whale swims"), (2, "whale blue"), (3, "blue"), (4, "whale X"), (5, "zero one two three four"), (6, "one two three"), (7, "four"), (8, None)]
+    assert sorted(tuple(r) for r in dc.find(frame(spark, rows), benchmark).collect()) == [(1, 1, 1.0, 1.0, 1.0), (1, 4, 1.0, 1.0, 1.0), (4, 2, 1.0, 1.0, 1.0), (5, 3, 1.0, 1.0, 1.0)]
+
+
 def test_search_equals_sums():
     r = random.Random(3)
     items = [(i, dc._hashes(" ".join(f"t{int(r.paretovariate(0.6)) % 60}" for _ in range(r.randrange(5, 30))))) for i in range(150)]
