@@ -1,20 +1,21 @@
 """LM scoring with a log-frequency Bloom filter.
 
-Unigram and bigram counts of the training texts are gathered by hash: tasks send sorted arrays of hashes and counts to
-``parts`` partitions (eight times as many as the input has), where they are added up. A count c is stored as its level,
-1 + floor(log(c) / log(BASE)): the n-gram goes into the filter once for each level up to its own, so asking level after level
-until one is absent gives the count back up to the base. The filter has ``BITS_PER_ENTRY`` bits for each entry that was counted
-(``FILTER_BYTES`` at least), so every n-gram is stored at any size of the corpus. Only a caller that names ``filter_bytes`` leaves
-out the bigrams below a least count.
-
-The filter is never in one place: each partition builds its own slice. Texts are kept in blocks (packed, one row each); a block sends its
-distinct n-grams to the slices that they belong to, and levels and word counts come back to the block, where they are put together.
-
-p(w | v) = mix * count(v, w) / count(v) + (1 - mix) * (count(w) + 0.5) / (N + 0.5 (V + 1)); a text begins and ends with the end
-token. Levels are read as their lower ends for bigrams and as their upper ends for what they are divided by, so that the
-probabilities of a history add up to no more than one but for the filter's false positives.
-
-The base score is exact: a slice also answers with its words' counts.
+A count c is stored as its level, 1 + floor(log(c) / log(BASE)): the n-gram goes into the filter once for each level up to its own,
+so asking level after level until one is absent gives the count back up to the base. Every unigram and bigram of the training
+texts is stored, at any size of the corpus; the filter has ``BITS_PER_ENTRY`` bits for each entry.
+
+Such a filter grows with the corpus, so no bound of its size could be proven and it is not broadcast as a whole: it lies in slices
+by hash, and each slice goes to the one worker that answers for it. Texts are kept in blocks (packed, one row each). A block sends its
+distinct n-grams, sorted, with how often its training texts hold them, to the slices that they belong to: one exchange, that serves
+counting and asking alike. A worker adds the counts up, builds its slice, asks it for every n-gram that came, and sends levels
+(and the words' counts) back to the blocks, where the texts wait.
+
+p(w | v) = mix * count(v, w) / count(v) + (1 - mix) * (count(w) + 0.5) / M; a text begins and ends with the end token. Levels are
+read as their lower ends for bigrams and as their upper ends for what they are divided by; words as the middles of their levels,
+and M is what those, 0.5 more each, and 0.5 for all unknown words add up to. So the probabilities of a history add up to no more
+than one but for the filter's false positives.
+
+The base score is exact: a slice also answers with its words' counts. Words are told apart by 64 bits, bigrams by ``PAIR_BYTES`` bytes.
 """
 
 from __future__ import annotations
@@ -34,15 +35,14 @@ from blockgraph.storage import settings
 
 HELD_OUT_FOLD, FOLDS = 1, 5
 BASE = 1.5
-FILTER_BYTES = 32 << 20
 BITS_PER_ENTRY = 12
+LEAST_BITS = 1 << 10
 HASHES = 4
 MIX = 0.2
-FREQUENT = 1 << 18  # not used any more; a test sets it
-FLUSH = 3_000_000
-LEAST = 1
-BLOCK_BYTES = 4 << 20
-ASKED = 1_000_000
+BLOCK_BYTES = 8 << 20
+PART_TOKENS = 1_500_000
+LEAST_PARTS = 64
+PAIR_BYTES = 6
 ROWS = 16
 END = U(0x5D0C7E4D0C7E4D01)
 LEVELS = 120
@@ -63,16 +63,18 @@ def tokens(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 
 
 def bigrams(t: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The token before each token (the end token before a text's first) and the hash of both."""
+    """The token before each token (the end token before a text's first) and the hash of both, of PAIR_BYTES bytes."""
     before = np.empty_like(t)
     before[1:] = t[:-1]
     if len(t):
         before[np.append(0, np.cumsum(n)[:-1])] = END
-    return before, tx.mix(tx.mix(before, 40) + t * U(0x9FB21C651E98DF25), 41)
+    drop = U(64 - 8 * PAIR_BYTES)
+    return before, tx.mix(tx.mix(before, 40) + t * U(0x9FB21C651E98DF25), 41) >> drop << drop
 
 
 def level(count: np.ndarray) -> np.ndarray:
-    return np.floor(np.log(np.maximum(count, 1)) / np.log(BASE) + 1e-9).astype(np.int64) + 1
+    """1 and more for counts of 1 and more, 0 for 0."""
+    return np.where(count > 0, np.floor(np.log(np.maximum(count, 1)) / np.log(BASE) + 1e-9).astype(np.int64) + 1, 0)
 
 
 def lower_end(levels: np.ndarray) -> np.ndarray:
@@ -81,218 +83,97 @@ def lower_end(levels: np.ndarray) -> np.ndarray:
 
 
 def upper_end(levels: np.ndarray) -> np.ndarray:
-    return np.where(levels > 0, np.maximum(lower_end(levels), np.ceil(BASE ** levels.astype(float) - 1e-6) - 1), 0.0)
+    return np.where(levels > 0, np.maximum(lower_end(levels), np.ceil(BASE ** np.asarray(levels, float) - 1e-6) - 1), 0.0)
 
 
-class Slices:
-    """A Bloom filter in equal slices; a hash belongs to one slice."""
+def middle(levels: np.ndarray) -> np.ndarray:
+    return np.sqrt(lower_end(levels) * upper_end(levels))
 
-    def __init__(self, parts: int, size: int, bits: np.ndarray | None = None):
-        self.parts, self.size = parts, size  # bits of a slice
-        self.bits = np.zeros(parts * size // 8, np.uint8) if bits is None else bits
 
-    @staticmethod
-    def part(h: np.ndarray, parts: int) -> np.ndarray:
-        return ((h >> U(32)) * U(parts) >> U(32)).astype(np.int64)
+def mass(spread: np.ndarray) -> float:
+    """What words add up to, read off their levels, the unknown ones together as one half; spread[k]: words of level k."""
+    k = np.arange(1, len(spread))
+    return float((spread[1:] * (middle(k) + 0.5)).sum()) + 0.5
 
-    def _places(self, h: np.ndarray, levels: np.ndarray) -> Iterator[np.ndarray]:
-        x = tx.mix(h + levels.astype(np.uint64) * U(0xA24BAED4963EE407), 42)
-        step = (x >> U(33)) | U(1)
-        x = x & U(0xFFFFFFFF)
-        for k in range(HASHES):
-            yield ((x + U(k) * step) % U(self.size)).astype(np.int64)
-
-    def add(self, h: np.ndarray, levels: np.ndarray) -> None:
-        """Into a filter of one slice."""
-        for at in self._places(h, levels):
-            np.bitwise_or.at(self.bits, at >> 3, np.left_shift(1, at & 7).astype(np.uint8))
-
-    def holds(self, h: np.ndarray, levels: np.ndarray) -> np.ndarray:
-        out = np.ones(len(h), bool)
-        rows = np.arange(len(h))
-        begin = self.part(h, self.parts) * self.size
-        for k, at in enumerate(self._places(h, levels)):
-            p = at[rows] + begin[rows]
-            hit = (self.bits[p >> 3] >> (p & 7).astype(np.uint8)) & 1 > 0
-            out[rows[~hit]] = False
-            rows = rows[hit]
-            if not len(rows):
-                break
-        return out
 
-    def levels(self, h: np.ndarray, first: int = 1) -> np.ndarray:
-        """The highest level up to which every one from ``first`` on is held; 0 if that one is not."""
-        out = np.zeros(len(h), np.int64)
-        rows = np.arange(len(h))
-        at = first
-        while len(rows) and at <= LEVELS:
-            rows = rows[self.holds(h[rows], np.full(len(rows), at))]
-            out[rows] = at
-            at += 1
-        return out
+def smoothed(pair: np.ndarray, history: np.ndarray, word: np.ndarray, whole: float) -> np.ndarray:
+    """Probabilities from the levels of bigrams, of their first and of their second words; whole: see ``mass``."""
+    return MIX * np.minimum(lower_end(pair) / np.maximum(upper_end(history), 1.0), 1.0) + (1 - MIX) * (middle(word) + 0.5) / whole
 
 
-def _add_up(h: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    order = np.argsort(h, kind="stable")
-    h, c = h[order], c[order]
-    head = np.flatnonzero(np.append(True, h[1:] != h[:-1])) if len(h) else np.zeros(0, np.int64)
-    return h[head], np.add.reduceat(c, head) if len(h) else c
+class Slice:
+    """One slice of the filter, of ``size`` bits."""
 
+    def __init__(self, size: int):
+        self.size = -(-size // 8) * 8
+        self.bits = np.zeros(self.size // 8, np.uint8)
 
-def _packed(h: np.ndarray) -> bytes:
-    """Hashes byte plane by byte plane: the high bytes of sorted ones of one slice compress well."""
-    return h.view(np.uint8).reshape(-1, 8).T.tobytes()
-
-
-def _unpacked(data: pa.Scalar) -> np.ndarray:
-    return np.ascontiguousarray(np.frombuffer(data.as_buffer(), np.uint8).reshape(8, -1).T).view(np.uint64).ravel()
+    @staticmethod
+    def of(h: np.ndarray, parts: int) -> np.ndarray:
+        """The slice that a hash belongs to; ascending with the hash."""
+        return ((h >> U(32)) * U(parts) >> U(32)).astype(np.int64)
 
+    def _places(self, h: np.ndarray, k: int) -> Iterator[np.ndarray]:
+        x = tx.mix(h + U(k * 0xA24BAED4963EE407 % 2**64), 42)
+        step = (x >> U(33)) | U(1)
+        x = x & U(0xFFFFFFFF)
+        for i in range(HASHES):
+            yield ((x + U(i) * step) % U(self.size)).astype(np.int64)
+
+    def store(self, h: np.ndarray, levels: np.ndarray) -> None:
+        """Each hash once for each level up to its own."""
+        for k in range(1, int(levels.max(initial=0)) + 1):
+            for at in self._places(h[levels >= k], k):
+                np.bitwise_or.at(self.bits, at >> 3, np.left_shift(1, at & 7).astype(np.uint8))
+
+    def holds(self, h: np.ndarray, k: int) -> np.ndarray:
+        out, rows = np.zeros(len(h), bool), np.arange(len(h))
+        for at in self._places(h, k):
+            at = at[rows]
+            rows = rows[(self.bits[at >> 3] >> (at & 7).astype(np.uint8)) & 1 > 0]
+        out[rows] = True
+        return out
 
-def _count(parts: int) -> Callable:
-    """Training texts to rows part, order, h, c: sorted hashes and their counts as bytes."""
+    def levels(self, h: np.ndarray) -> np.ndarray:
+        """The highest level up to which every one from 1 on is held; 0 if the first is not."""
+        out, rows = np.zeros(len(h), np.uint8), np.arange(len(h))
+        for k in range(1, LEVELS + 1):
+            rows = rows[self.holds(h[rows], k)]
+            if not len(rows):
+                break
+            out[rows] = k
+        return out
 
-    def emit(held: list[np.ndarray], order: int) -> pa.RecordBatch:
-        h = np.sort(np.concatenate(held))
-        head = np.flatnonzero(np.append(True, h[1:] != h[:-1]))
-        c = np.diff(np.append(head, len(h))).astype(np.uint32)
-        h = h[head]
-        cuts = np.searchsorted(Slices.part(h, parts), np.arange(parts + 1))
-        keep = [p for p in range(parts) if cuts[p + 1] > cuts[p]]
-        return pa.RecordBatch.from_arrays(
-            [pa.array(keep, pa.int32()), pa.array([order] * len(keep), pa.int32()), pa.array([_packed(h[cuts[p] : cuts[p + 1]]) for p in keep], pa.binary()), pa.array([c[cuts[p] : cuts[p + 1]].tobytes() for p in keep], pa.binary())],
-            ["part", "order", "h", "c"],
-        )
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[list[np.ndarray]] = [[], []]
-        rows = 0
-        for b in tx.blocks(batches):
-            t, n = tokens(b.column("text"))
-            held[0].append(t)
-            held[1].append(bigrams(t, n)[1])
-            rows += len(t)
-            if rows >= FLUSH:
-                yield from (emit(held[k], k + 1) for k in range(2))
-                held, rows = [[], []], 0
-        if rows:
-            yield from (emit(held[k], k + 1) for k in range(2))
+def _packed(x: np.ndarray, width: int = 8) -> bytes:
+    """The ``width`` highest bytes of each value, byte plane by byte plane: planes that hardly change compress well."""
+    return x.view(np.uint8).reshape(-1, x.itemsize)[:, x.itemsize - width :].T.tobytes()
 
-    return run
 
+def _unpacked(data: pa.Scalar, width: int = 8, kind=np.uint64) -> np.ndarray:
+    planes = np.frombuffer(data.as_buffer(), np.uint8).reshape(width, -1)
+    size = np.dtype(kind).itemsize
+    out = np.zeros((planes.shape[1], size), np.uint8)
+    out[:, size - width :] = planes.T
+    return out.view(kind).ravel()
 
-def _gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows sorted by part and order, added up: one row each."""
 
-    def out(key, hs, cs) -> pa.RecordBatch:
-        h, c = _add_up(np.concatenate(hs), np.concatenate(cs).astype(np.int64))
-        counts = np.bincount(np.minimum(level(c), LEVELS), minlength=LEVELS + 1)
-        return pa.RecordBatch.from_arrays(
-            [pa.array([key[0]], pa.int32()), pa.array([key[1]], pa.int32()), pa.array([_packed(h)], pa.binary()), pa.array([c.tobytes()], pa.binary()), pa.array([counts], pa.list_(pa.int64())), pa.array([int(c.sum())], pa.int64())],
-            ["part", "order", "h", "c", "levels", "total"],
-        )
+def _pack(limit: int) -> Callable:
+    """Texts to one row for each block of about ``limit`` bytes, compressed, with its number of tokens."""
 
-    key, hs, cs, rows = None, [], [], 0
-    for b in batches:
-        for p, o, h, c in zip(b.column("part").to_pylist(), b.column("order").to_pylist(), b.column("h"), b.column("c"), strict=True):
-            if (p, o) != key:
-                if hs:
-                    yield out(key, hs, cs)
-                key, hs, cs, rows = (p, o), [], [], 0
-            hs.append(_unpacked(h))
-            cs.append(np.frombuffer(c.as_buffer(), np.uint32).copy())
-            rows += len(hs[-1])
-            if len(hs) > 1 and rows > 4_000_000:  # bounded: what repeats is folded on the way
-                h1, c1 = _add_up(np.concatenate(hs), np.concatenate(cs).astype(np.int64))
-                hs, cs, rows = [h1], [c1], 0
-    if hs:
-        yield out(key, hs, cs)
-
-
-def _build(parts: int, size: int, least: int) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for p, o, h, c in zip(b.column("part").to_pylist(), b.column("order").to_pylist(), b.column("h"), b.column("c"), strict=True):
-                one = Slices(1, size)
-                x, n = _unpacked(h), np.frombuffer(c.as_buffer(), np.int64)
-                if o > 1:
-                    x, n = x[n >= least], n[n >= least]
-                up = np.minimum(level(n), LEVELS)
-                for k in range(int(level(np.array([least]))[0]) if o > 1 else 1, int(up.max(initial=0)) + 1):
-                    now = x[up >= k]
-                    one.add(now, np.full(len(now), k))
-                yield pa.RecordBatch.from_arrays([pa.array([p], pa.int32()), pa.array([one.bits.tobytes()], pa.binary())], ["part", "bits"])
+        at = TaskContext.get().partitionId() << 32
+        for b in tx.blocks(batches, limit=limit):
+            sink = pa.BufferOutputStream()
+            with pa.ipc.new_stream(sink, b.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as out:
+                out.write_batch(b)
+            many = sum(tx.Words(*tx.buffers(x.column("text"))).count.sum() + x.num_rows for x in tx.blocks([b]))
+            yield pa.RecordBatch.from_arrays([pa.array([at], pa.int64()), pa.array([many], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], ["block", "tokens", "frame"])
+            at += 1
 
     return run
 
 
-class Model:
-    """What training leaves: N, V, the counts by partition and the size of a slice of the filter."""
-
-    def __init__(self, docs: DataFrame, filter_bytes: int | None = None):
-        """docs: text of the training rows. filter_bytes: a bound of the filter, for which bigrams are left out; none by default."""
-        self.parts = max(64, 8 * docs.rdd.getNumPartitions())
-        sent = docs.select(F.col("text")).mapInArrow(_count(self.parts), "part int, `order` int, h binary, c binary")
-        met = sent.repartition("part", "order").sortWithinPartitions("part", "order")
-        self.table = cut(met.mapInArrow(_gather, "part int, `order` int, h binary, c binary, levels array<long>, total long"), "lm-counts", free=True)
-        words = self.table.where("`order` = 1")
-        self.n, self.v = words.agg(F.coalesce(F.sum("total"), F.lit(0)), F.coalesce(F.sum(F.aggregate("levels", F.lit(0).cast("long"), lambda a, x: a + x)), F.lit(0))).first()
-        levels = self.table.select("part", "order", F.posexplode("levels").alias("k", "m"))
-        self.least = LEAST
-        if filter_bytes is None:
-            most = levels.groupBy("part").agg(F.sum(F.col("k") * F.col("m")).alias("entries")).agg(F.max("entries")).first()[0] or 0
-            self.size = max(-(-FILTER_BYTES // self.parts), -(-most * BITS_PER_ENTRY // 8)) * 8
-            return
-        spread = {(o, k): m for o, k, m in levels.groupBy("order", "k").agg(F.sum("m")).collect()}  # LEVELS rows for each order
-        held = lambda order, least: sum(m * (k + 1 - int(level(np.array([least]))[0])) for (o, k), m in spread.items() if o == order and lower_end(np.array([k]))[0] >= least)
-        fits = filter_bytes * 8 // BITS_PER_ENTRY
-        while held(1, 1) + held(2, self.least) > fits and self.least < 2**40:
-            self.least = int(lower_end(level(np.array([self.least])) + 1)[0])
-        self.size = -(-filter_bytes // self.parts) * 8
-
-    @property
-    def first(self) -> int:
-        """The level that bigrams are stored from."""
-        return int(level(np.array([self.least]))[0])
-
-    def slices(self) -> DataFrame:
-        """part, bits: the slices, one row for each order."""
-        return self.table.select("part", "order", "h", "c").mapInArrow(_build(self.parts, self.size, self.least), "part int, bits binary")
-
-    @property
-    def bits(self) -> np.ndarray:
-        """The whole filter, for small ones."""
-        out = np.zeros(self.parts * self.size // 8, np.uint8)
-        for p, bits in self.slices().toLocalIterator():
-            at = p * self.size // 8
-            out[at : at + self.size // 8] |= np.frombuffer(bits, np.uint8)
-        return out
-
-    def scores(self, docs: DataFrame) -> DataFrame:
-        """doc_id, held_out, n_tokens, n_known, base_score, score for rows of docs (doc_id, held_out, text)."""
-        frames = cut(docs.select("doc_id", "held_out", "text").mapInArrow(_pack, "block long, frame binary"), "lm-texts", free=True)
-        none = lambda *names: [F.lit(None).cast(k).alias(c) for c, k in names]
-        asks = frames.mapInArrow(_ask(self.parts), "part int, block long, words binary, pairs binary").select("part", F.lit(2).alias("kind"), "block", "words", "pairs")
-        bits = self.slices().select("part", F.lit(0).alias("kind"), *none(("block", "long")), F.col("bits").alias("words"), *none(("pairs", "binary")))
-        counts = self.table.where("`order` = 1").select("part", F.lit(1).alias("kind"), *none(("block", "long")), F.col("h").alias("words"), F.col("c").alias("pairs"))
-        met = bits.unionByName(counts).unionByName(asks).repartition(self.parts, "part").sortWithinPartitions("part", "kind")
-        with settings(docs.sparkSession, spark__sql__execution__arrow__maxRecordsPerBatch=ROWS):  # rows of up to some MB
-            answers = cut(met.mapInArrow(_answer(self.size, self.first), "block long, part int, known binary, words binary, pairs binary"), "lm-levels", free=True)
-        texts = frames.select("block", F.lit(-1).alias("part"), F.col("frame").alias("known"), *none(("words", "binary"), ("pairs", "binary")))
-        back = texts.unionByName(answers).repartition(self.parts, "block").sortWithinPartitions("block", "part")
-        return back.mapInArrow(_score(self.n, self.v), "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
-
-
-def _pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Texts to one row for each block of about BLOCK_BYTES, compressed."""
-    at = TaskContext.get().partitionId() << 32
-    for b in tx.blocks(batches, limit=BLOCK_BYTES):
-        sink = pa.BufferOutputStream()
-        with pa.ipc.new_stream(sink, b.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as out:
-            out.write_batch(b)
-        yield pa.RecordBatch.from_arrays([pa.array([at], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], ["block", "frame"])
-        at += 1
-
-
 def _unpack(frame: pa.Scalar) -> tuple[pa.RecordBatch, np.ndarray, np.ndarray]:
     """A block's rows, their tokens and how many each row has."""
     with pa.ipc.open_stream(frame.as_buffer()) as stream:
@@ -301,58 +182,66 @@ def _unpack(frame: pa.Scalar) -> tuple[pa.RecordBatch, np.ndarray, np.ndarray]:
     return b, np.concatenate(t), np.concatenate(n)
 
 
-def _ask(parts: int) -> Callable:
-    """Blocks to the distinct hashes of their words and word pairs, sorted, by the slice that they belong to."""
+def _send(parts: int) -> Callable:
+    """Blocks to their distinct words and bigrams, sorted, with their counts in training texts, by the slice that they belong to."""
+
+    def distinct(x: np.ndarray, learnt: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        order = np.argsort(x, kind="stable")
+        x = x[order]
+        head = np.flatnonzero(np.append(True, x[1:] != x[:-1]))
+        return x[head], np.add.reduceat(learnt[order].astype(np.uint32), head, dtype=np.uint32)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for block, frame in zip(b.column("block").to_pylist(), b.column("frame"), strict=True):
-                _, t, n = _unpack(frame)
-                both = [np.unique(t), np.unique(bigrams(t, n)[1])]
-                cuts = [np.searchsorted(Slices.part(h, parts), np.arange(parts + 1)) for h in both]
+                rows, t, n = _unpack(frame)
+                learnt = np.repeat(~rows.column("held_out").to_numpy(zero_copy_only=False), n)
+                both = [distinct(t, learnt), distinct(bigrams(t, n)[1], learnt)]
+                cuts = [np.searchsorted(Slice.of(h, parts), np.arange(parts + 1)) for h, _ in both]
                 keep = [p for p in range(parts) if any(c[p + 1] > c[p] for c in cuts)]
-                data = [pa.array([_packed(h[c[p] : c[p + 1]]) for p in keep], pa.binary()) for h, c in zip(both, cuts, strict=True)]
-                yield pa.RecordBatch.from_arrays([pa.array(keep, pa.int32()), pa.array([block] * len(keep), pa.int64()), *data], ["part", "block", "words", "pairs"])
+                data = [pa.array([f(x[c[p] : c[p + 1]]) for p in keep], pa.binary()) for (h, m), c, width in zip(both, cuts, (8, PAIR_BYTES), strict=True) for x, f in ((h, lambda x, width=width: _packed(x, width)), (m, lambda x: _packed(x, 4)))]
+                yield pa.RecordBatch.from_arrays([pa.array(keep, pa.int32()), pa.array([block] * len(keep), pa.int64()), *data], ["part", "block", "words", "word_counts", "pairs", "pair_counts"])
 
     return run
 
 
-def _answer(size: int, first: int) -> Callable:
-    """Rows sorted by part and kind (slice, word counts, asked hashes) to the asked words' counts and levels and the pairs' levels."""
-
-    def out(part: int, one: Slices, table: tuple[np.ndarray, np.ndarray], asked: list) -> pa.RecordBatch:
-        got = []
-        for k, begin in ((1, 1), (2, first)):
-            h, back = np.unique(np.concatenate([x[k] for x in asked]), return_inverse=True)
-            cuts = np.cumsum([len(x[k]) for x in asked])[:-1]
-            if k == 1:
-                at = np.minimum(np.searchsorted(table[0], h), max(len(table[0]) - 1, 0))
-                known = np.where(table[0][at] == h, table[1][at], 0) if len(table[0]) else np.zeros(len(h), np.int64)
-                got.append([x.tobytes() for x in np.split(known[back], cuts)])
-            got.append([x.tobytes() for x in np.split(one.levels(h, begin).astype(np.uint8)[back], cuts)])
-        return pa.RecordBatch.from_arrays([pa.array([x[0] for x in asked], pa.int64()), pa.array([part] * len(asked), pa.int32()), *(pa.array(x, pa.binary()) for x in got)], ["block", "part", "known", "words", "pairs"])
+def _answer(each: int, least: int) -> Callable:
+    """Rows sorted by part to levels for each block, and one row (block null) of what the part holds of words.
+
+    each: bits for an entry of the filter. least: bits of a slice at least."""
+    names = ["block", "part", "known", "words", "pairs", "total", "spread"]
+
+    def out(part: int, rows: list[tuple]) -> Iterator[pa.RecordBatch]:
+        told = []
+        for k in (1, 3):
+            h, back = np.unique(np.concatenate([r[k] for r in rows]), return_inverse=True)
+            told.append((h, np.bincount(back, weights=np.concatenate([r[k + 1] for r in rows]), minlength=len(h)).astype(np.int64), back))
+        up = [np.minimum(level(c), LEVELS) for _, c, _ in told]
+        one = Slice(max(least, int(sum(u.sum() for u in up)) * each))
+        for (h, _, _), u in zip(told, up, strict=True):
+            one.store(h, u)
+        cuts = [np.cumsum([len(r[k]) for r in rows])[:-1] for k in (1, 3)]
+        known = np.split(told[0][1][told[0][2]], cuts[0])
+        asked = [np.split(one.levels(h)[back], c) for (h, _, back), c in zip(told, cuts, strict=True)]
+        spread = np.bincount(up[0], minlength=LEVELS + 1)
+        spread[0] = 0
+        yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.array([part], pa.int32()), *(pa.nulls(1, pa.binary()) for _ in range(3)), pa.array([int(told[0][1].sum())], pa.int64()), pa.array([spread], pa.list_(pa.int64()))], names)
+        for lo in range(0, len(rows), ROWS):
+            few = range(lo, min(lo + ROWS, len(rows)))
+            data = [pa.array([f(x[i]) for i in few], pa.binary()) for f, x in ((_packed, known), (np.ndarray.tobytes, asked[0]), (np.ndarray.tobytes, asked[1]))]
+            yield pa.RecordBatch.from_arrays([pa.array([rows[i][0] for i in few], pa.int64()), pa.array([part] * len(few), pa.int32()), *data, pa.nulls(len(few), pa.int64()), pa.nulls(len(few), pa.list_(pa.int64()))], names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        empty = np.zeros(0, np.uint64), np.zeros(0, np.int64)
-        at, one, table, asked, many = None, None, empty, [], 0
+        at, rows = None, []
         for b in batches:
-            for part, kind, block, x, y in zip(*(b.column(c).to_pylist() for c in ("part", "kind", "block")), b.column("words"), b.column("pairs"), strict=True):
-                if part != at:
-                    if asked:
-                        yield out(at, one, table, asked)
-                    at, one, table, asked, many = part, Slices(1, size), empty, [], 0
-                if kind == 0:
-                    one.bits |= np.frombuffer(x.as_buffer(), np.uint8)
-                elif kind == 1:
-                    table = _unpacked(x), np.frombuffer(y.as_buffer(), np.int64).copy()
-                else:
-                    asked.append((block, _unpacked(x), _unpacked(y)))
-                    many += len(asked[-1][1]) + len(asked[-1][2])
-                    if many >= ASKED:
-                        yield out(at, one, table, asked)
-                        asked, many = [], 0
-        if asked:
-            yield out(at, one, table, asked)
+            for part, block, *x in zip(b.column("part").to_pylist(), b.column("block").to_pylist(), *(b.column(c) for c in ("words", "word_counts", "pairs", "pair_counts")), strict=True):
+                if part != at and rows:
+                    yield from out(at, rows)
+                    rows = []
+                at = part
+                rows.append((block, _unpacked(x[0]), _unpacked(x[1], 4, np.uint32), _unpacked(x[2], PAIR_BYTES), _unpacked(x[3], 4, np.uint32)))
+        if rows:
+            yield from out(at, rows)
 
     return run
 
@@ -363,24 +252,20 @@ def _sum(x: np.ndarray, n: np.ndarray) -> np.ndarray:
     return total[ends] - total[ends - n]
 
 
-def _score(total: int, distinct: int) -> Callable:
+def _score(total: int, distinct: int, whole: float) -> Callable:
     """Rows sorted by block and part (the block's texts first, then the answers of the slices) to scores."""
     below = total + 0.5 * (distinct + 1)
 
-    def out(frame: pa.Scalar, answers: list[tuple[bytes, bytes, bytes]]) -> pa.RecordBatch:
+    def out(frame: pa.Scalar, answers: list[tuple]) -> pa.RecordBatch:
         b, t, n = _unpack(frame)
         before, pair = bigrams(t, n)
         seen, back = np.unique(t, return_inverse=True)
-        known, up, both = (np.frombuffer(b"".join(x), k) for x, k in zip(zip(*answers, strict=True), (np.int64, np.uint8, np.uint8), strict=True))  # parts are in the order of hashes
-        low, high = lower_end(up.astype(np.int64)), upper_end(up.astype(np.int64))
-        middle = np.where(low > 0, np.sqrt(low * np.maximum(high, 1)), 0.0)
-        alone = np.minimum((middle + 0.5) / below, 1.0)[back]
-        history = np.maximum(high[np.searchsorted(seen, before)], 1.0)
-        both = lower_end(both.astype(np.int64))[np.unique(pair, return_inverse=True)[1]]
-        p = MIX * np.minimum(both / history, 1.0) + (1 - MIX) * alone
+        known = np.concatenate([_unpacked(x[0], 8, np.int64) for x in answers])  # slices ascend with the hashes
+        up, both = (np.frombuffer(b"".join(x[k].as_py() for x in answers), np.uint8).astype(np.int64) for k in (1, 2))
+        p = smoothed(both[np.unique(pair, return_inverse=True)[1]], up[np.searchsorted(seen, before)], up[back], whole)
         base = np.log10((known + 0.5) / below)[back]
         return pa.RecordBatch.from_arrays(
-            [b.column("doc_id"), b.column("held_out"), pa.array(n.astype(np.int64)), pa.array(_sum((known > 0)[back], n).astype(np.int64)), pa.array(_sum(base, n)), pa.array(_sum(np.log10(np.maximum(p, 1e-300)), n))],
+            [b.column("doc_id"), b.column("held_out"), pa.array(n.astype(np.int64)), pa.array(_sum((known > 0)[back], n).astype(np.int64)), pa.array(_sum(base, n)), pa.array(_sum(np.log10(p), n))],
             ["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score"],
         )
 
@@ -388,23 +273,54 @@ def _score(total: int, distinct: int) -> Callable:
         frame, answers = None, []
         for b in batches:
             for part, *x in zip(b.column("part").to_pylist(), b.column("known"), b.column("words"), b.column("pairs"), strict=True):
-                if part < 0:
-                    if frame is not None:
-                        yield out(frame, answers)
-                    frame, answers = x[0], []
-                else:
-                    answers.append(tuple(y.as_py() for y in x))
+                if part >= 0:
+                    answers.append(x)
+                    continue
+                if frame is not None:
+                    yield out(frame, answers)
+                frame, answers = x[0], [(*(pa.scalar(b"", pa.binary()),) * 3,)]  # a block of no rows has no answers
         if frame is not None:
             yield out(frame, answers)
 
     return run
 
 
-def score(docs: DataFrame) -> DataFrame:
-    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of each row of docs (null text: empty).
+class Model:
+    """Texts (doc_id, held_out, text), and what was learnt from those that are not held out: ``n`` tokens, ``v`` distinct ones, how the
+    distinct ones spread over the levels, and the levels of every block's n-grams."""
+
+    def __init__(self, docs: DataFrame):
+        spark = docs.sparkSession
+        packed = docs.select("doc_id", "held_out", "text").mapInArrow(_pack(BLOCK_BYTES), "block long, tokens long, frame binary")
+        self.frames = cut(packed, "lm-texts", free=True)
+        self.parts = max(LEAST_PARTS, -(-(self.frames.agg(F.sum("tokens")).first()[0] or 0) // PART_TOKENS))
+        sent = self.frames.select("block", "frame").mapInArrow(_send(self.parts), "part int, block long, words binary, word_counts binary, pairs binary, pair_counts binary")
+        met = sent.repartition(self.parts, "part").sortWithinPartitions("part", "block")
+        with settings(spark, spark__sql__execution__arrow__maxRecordsPerBatch=ROWS):  # rows of up to some MB
+            self.answers = cut(met.mapInArrow(_answer(BITS_PER_ENTRY, LEAST_BITS), "block long, part int, known binary, words binary, pairs binary, total long, spread array<long>"), "lm-levels", free=True)
+        told = self.answers.where("block is null")
+        self.n = told.agg(F.coalesce(F.sum("total"), F.lit(0))).first()[0]
+        self.spread = np.zeros(LEVELS + 1)
+        for k, m in told.select(F.posexplode("spread").alias("k", "m")).groupBy("k").agg(F.sum("m")).collect():  # LEVELS rows
+            self.spread[k] = m
+        self.v = int(self.spread.sum())
+
+    def scores(self) -> DataFrame:
+        """doc_id, held_out, n_tokens, n_known, base_score, score for each text."""
+        none = (F.lit(None).cast("binary").alias(c) for c in ("words", "pairs"))
+        texts = self.frames.select("block", F.lit(-1).alias("part"), F.col("frame").alias("known"), *none)
+        answers = self.answers.where("block is not null").select("block", "part", "known", "words", "pairs")
+        back = texts.unionByName(answers).repartition(self.parts, "block").sortWithinPartitions("block", "part")
+        return back.mapInArrow(_score(self.n, self.v, mass(self.spread)), "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
+
+
+def score(docs: DataFrame, held_out: F.Column | None = None) -> DataFrame:
+    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of each row of docs (null text: empty); the model learns
+    from the rows that are not held out (a predicate over docs, by default the held-out fold of the ids).
 
     Null ids are trained on or held out as an empty id text; repeated rows count as often as they stand. With no training
-    token every probability is that of an unknown one."""
-    base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), (~training(F.col("doc_id"))).alias("held_out"), docs["text"].cast("string").alias("text"))
-    model = Model(base.where(~F.col("held_out")))
-    return model.scores(base).select("doc_id", "held_out", "n_tokens", "n_known", F.lit(int(model.n)).cast("long").alias("train_tokens"), "base_score", "score")
+    token every word counts as unknown. An empty table gives an empty one; further columns are left out."""
+    held_out = ~training(F.col("doc_id")) if held_out is None else held_out
+    base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(held_out, F.lit(False)).alias("held_out"), docs["text"].cast("string").alias("text"))
+    model = Model(base)
+    return model.scores().select("doc_id", "held_out", "n_tokens", "n_known", F.lit(int(model.n)).cast("long").alias("train_tokens"), "base_score", "score")

@@ -101,12 +101,21 @@ class Words:
         self.count = np.diff(self.first)
         self.doc = np.repeat(np.arange(len(off) - 1), self.count)
 
-    def hashes(self, lower: bool = False) -> np.ndarray:
-        """One 64-bit hash for each word; ``lower`` maps A-Z to a-z first."""
-        n = len(self.buf)
-        sums = np.zeros(n + 1, dtype=np.uint64)
-        np.cumsum((_CODE_LOWER if lower else _CODE)[self.buf] * _pow(_P, n), out=sums[1:])
-        return mix((sums[self.end] - sums[self.start]) * _pow(_PINV, n + 1)[self.start])
+    def hashes(self, lower: bool = False, piece: int = 4 << 20) -> np.ndarray:
+        """One 64-bit hash for each word; ``lower`` maps A-Z to a-z first. Worked out in pieces of whole words, so that a very long text
+        needs no arrays of its length."""
+        code, out = _CODE_LOWER if lower else _CODE, np.empty(len(self.start), np.uint64)
+        at = 0
+        while at < len(out):
+            lo = self.start[at]
+            to = max(at + 1, int(np.searchsorted(self.end, lo + piece, "right")))
+            m = int(self.end[to - 1] - lo)
+            sums = np.zeros(m + 1, dtype=np.uint64)
+            np.cumsum(code[self.buf[lo : lo + m]] * _pow(_P, m), out=sums[1:])
+            start = self.start[at:to] - lo
+            out[at:to] = mix((sums[self.end[at:to] - lo] - sums[start]) * _pow(_PINV, m + 1)[start])
+            at = to
+        return out
 
 
 def grams(units: np.ndarray, n: int) -> np.ndarray:
@@ -121,15 +130,5 @@ def grams(units: np.ndarray, n: int) -> np.ndarray:
     return mix(out, 1)
 
 
-def byte_grams(buf: np.ndarray, n: int) -> np.ndarray:
-    """Hashes of every n consecutive bytes."""
-    m = len(buf) - n + 1
-    if m <= 0:
-        return np.zeros(0, np.uint64)
-    sums = np.zeros(len(buf) + 1, dtype=np.uint64)
-    np.cumsum(_CODE[buf] * _pow(_P, len(buf)), out=sums[1:])
-    return mix((sums[n:] - sums[:m]) * _pow(_PINV, len(buf) + 1)[:m], 2)
-
-
 def signed(x: np.ndarray) -> np.ndarray:
     return np.ascontiguousarray(x).view(np.int64)

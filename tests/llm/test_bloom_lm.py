@@ -3,12 +3,18 @@ import zlib
 from collections import Counter
 
 import numpy as np
+import pytest
 
 from blockgraph.llm import bloom_lm as lm
 from tests.llm.brute import lower, words
 from tests.llm.data import corpus, frame, odd
 
 
+@pytest.fixture(autouse=True)
+def few_parts(monkeypatch):
+    monkeypatch.setattr(lm, "LEAST_PARTS", 4)
+
+
 def brute_base(rows):
     toks = [words(lower(t)) + [None] for _, t in rows]
     held = [zlib.crc32(("" if d is None else str(d)).encode()) % 5 == 1 for d, _ in rows]
@@ -19,8 +25,8 @@ def brute_base(rows):
 
 def test_base_is_exact_and_the_model_beats_it_where_texts_repeat(spark, monkeypatch):
     rows = corpus(6, n=200, vocabulary=20) + odd()
-    for frequent in (lm.FREQUENT, 5):
-        monkeypatch.setattr(lm, "FREQUENT", frequent)
+    for block in (lm.BLOCK_BYTES, 3000):
+        monkeypatch.setattr(lm, "BLOCK_BYTES", block)
         out = lm.score(frame(spark, rows, ("row", "token", "count", "held_out"))).collect()
         assert sorted((r.doc_id is not None, r.doc_id or 0, r.held_out, r.n_tokens, r.n_known, r.train_tokens, round(r.base_score, 6)) for r in out) == brute_base(rows)
     held = [r for r in out if r.held_out and r.n_tokens > 20]
@@ -30,65 +36,59 @@ def test_base_is_exact_and_the_model_beats_it_where_texts_repeat(spark, monkeypa
 def test_levels_come_back():
     counts = np.arange(1, 4000)
     up = lm.level(counts)
-    assert (lm.lower_end(up) <= counts).all() and (counts <= lm.upper_end(up)).all()
-    f = lm.Slices(1, 1 << 20)
+    assert (lm.lower_end(up) <= counts).all() and (counts <= lm.upper_end(up)).all() and lm.level(np.array([0]))[0] == 0
     h = np.random.default_rng(1).integers(1, 2**63, 3000).astype(np.uint64)
     want = np.arange(3000) % 30 + 1
-    for k in range(1, 31):
-        f.add(h[want >= k], np.full((want >= k).sum(), k))
+    f = lm.Slice(int(want.sum()) * lm.BITS_PER_ENTRY)
+    f.store(h, want)
     got = f.levels(h)
     assert (got >= want).all() and (got > want).mean() < 0.05
-    assert f.holds(np.random.default_rng(2).integers(1, 2**63, 20000).astype(np.uint64), np.ones(20000, np.int64)).mean() < 0.02
-
-
-def test_probabilities_of_a_history_add_up_to_one_at_most(spark):
-    rows = [(d * 10 + 2, t) for d, t in corpus(8, n=60, vocabulary=3)]
-    model = lm.Model(frame(spark, rows).where(lm.training(lm.F.col("doc_id"))).select("text"))
-    toks = [words(lower(t)) for _, t in rows]
-    vocabulary = sorted({x for t in toks for x in t})
-    held = lm.Slices(model.parts, model.size, model.bits)
-    below = model.n + 0.5 * (model.v + 1)
-    import pyarrow as pa
-
-    t, _ = lm.tokens(pa.array([" ".join(vocabulary)]))
-    up = held.levels(t)
-    alone = (np.sqrt(lm.lower_end(up) * lm.upper_end(up)) + 0.5) / below
-    for k in range(0, len(t), 7):
-        pair = lm.tx.mix(lm.tx.mix(np.full(len(t), t[k]), 40) + t * lm.U(0x9FB21C651E98DF25), 41)
-        both = lm.lower_end(held.levels(pair, int(lm.level(np.array([model.least]))[0]))) / max(lm.upper_end(up[k : k + 1])[0], 1)
-        assert (lm.MIX * both + (1 - lm.MIX) * alone).sum() < 1.02
-
+    assert f.holds(np.random.default_rng(2).integers(1, 2**63, 20000).astype(np.uint64), 1).mean() < 0.02
 
-def test_bigrams_beyond_the_filter_stay_out(spark):
-    rows = corpus(9, n=80)
-    big, small = (lm.Model(frame(spark, rows).select("text"), size) for size in (1 << 20, 4096))
-    assert big.least == lm.LEAST < small.least and len(small.bits) <= 4096 + 8 * small.parts and (big.n, big.v) == (small.n, small.v)
 
-
-def test_scores_use_every_ngram_of_any_corpus(spark, monkeypatch):
-    """Against counts in plain Python, those of one occurrence too; the filter grows with what was counted."""
-    rows = corpus(11, n=60, vocabulary=15) + odd()
+def learnt(rows):
+    """Counts of words and pairs of the training rows, in plain Python, and the tokens of every row."""
     toks = [[*words(lower(t)), None] for _, t in rows]
     pairs = [list(zip([None, *t], t, strict=False)) for t in toks]
     train = [zlib.crc32(("" if d is None else str(d)).encode()) % 5 != 1 for d, _ in rows]
-    one, two = (Counter(x for t, h in zip(y, train, strict=True) if h for x in t) for y in (toks, pairs))
-    below, ends = sum(one.values()) + 0.5 * (len(one) + 1), lambda c: [float(f(lm.level(np.array([c])) if c else np.array([0]))[0]) for f in (lm.lower_end, lm.upper_end)]
+    return *(Counter(x for t, h in zip(y, train, strict=True) if h for x in t) for y in (toks, pairs)), pairs
 
-    def p(v, w):
-        low, high = ends(one[w])
-        return lm.MIX * min(ends(two[v, w])[0] / max(ends(one[v])[1], 1), 1) + (1 - lm.MIX) * min((math.sqrt(low * max(high, 1)) + 0.5) / below, 1)
 
-    want = sorted((len(t), round(sum(math.log10(p(*x)) for x in t), 6)) for t in pairs)
-    assert sorted((r.n_tokens, round(r.score, 6)) for r in lm.score(frame(spark, rows)).collect()) == want
-    monkeypatch.setattr(lm, "FILTER_BYTES", 64)
-    monkeypatch.setattr(lm, "BLOCK_BYTES", 2000)
-    monkeypatch.setattr(lm, "ASKED", 100)
-    got = sorted((r.n_tokens, r.score) for r in lm.score(frame(spark, rows)).collect())
-    total = lambda x: sum(y for _, y in x)
-    assert [n for n, _ in got] == [n for n, _ in want] and abs(total(got) / total(want) - 1) < 0.02
-    assert lm.Model(frame(spark, rows).select("text")).least == 1
+def test_probabilities_of_a_history_add_up_to_one_at_most():
+    tables = [learnt(corpus(8, n=60, vocabulary=3))[:2]]
+    for k in (4, 8, 12):  # all words equally often, in a ring
+        tables.append((Counter({i: k for i in range(1000)}), Counter({(i, (i + 1) % 1000): k for i in range(1000)})))
+    for one, two in tables:
+        names = list(one)
+        word = lm.level(np.array([one[w] for w in names]))
+        whole = lm.mass(np.bincount(word, minlength=lm.LEVELS + 1))
+        for v in names[:50]:
+            pair, history = lm.level(np.array([two[v, w] for w in names])), lm.level(np.array([one[v]]))
+            known = lm.smoothed(pair, history, word, whole).sum()
+            assert known + lm.smoothed(np.array([0]), history, np.array([0]), whole)[0] <= 1 + 1e-9
 
 
-def test_empty_table(spark):
+def test_scores_use_every_ngram_of_any_corpus(spark, monkeypatch):
+    """Against counts in plain Python, those of one occurrence too."""
+    rows = corpus(11, n=60, vocabulary=15) + odd()
+    one, two, pairs = learnt(rows)
+    at = lambda c: lm.level(np.array([c]))
+    whole = lm.mass(np.bincount([int(at(c)[0]) for c in one.values()], minlength=lm.LEVELS + 1))
+    want = sorted((len(t), round(sum(math.log10(lm.smoothed(at(two[v, w]), at(one[v]), at(one[w]), whole)[0]) for v, w in t), 6)) for t in pairs)
+    monkeypatch.setattr(lm, "BITS_PER_ENTRY", 64)  # hardly a false positive
+    monkeypatch.setattr(lm, "LEAST_BITS", 1 << 23)
+    for block, part in ((lm.BLOCK_BYTES, lm.PART_TOKENS), (2000, 9000)):
+        monkeypatch.setattr(lm, "BLOCK_BYTES", block)
+        monkeypatch.setattr(lm, "PART_TOKENS", part)
+        assert sorted((r.n_tokens, round(r.score, 6)) for r in lm.score(frame(spark, rows)).collect()) == want
+    monkeypatch.undo()
+    monkeypatch.setattr(lm, "LEAST_PARTS", 4)
+    got = [r.score for r in lm.score(frame(spark, rows)).collect()]
+    assert abs(sum(got) / sum(s for _, s in want) - 1) < 0.02
+
+
+def test_empty_table_and_own_split(spark):
     assert lm.score(frame(spark, [])).count() == 0
     assert [tuple(r)[1:5] for r in lm.score(frame(spark, [(1, "a b")])).collect()] in ([(False, 3, 3, 3)], [(True, 3, 0, 0)])
+    out = {r.doc_id: r for r in lm.score(frame(spark, [(1, "a b"), (2, "a c")]), lm.F.col("doc_id") == 2).collect()}
+    assert (out[2].held_out, out[2].train_tokens, out[2].n_known, out[1].n_known) == (True, 3, 2, 3)
