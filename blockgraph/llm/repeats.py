@@ -5,14 +5,16 @@
    windows mostly share one: a *segment* is the run of units of the windows of one anchor.
 2. *Before the shuffle*, each task keeps one row for each anchor and segment content; other occurrences are known to repeat.
 3. *One shuffle by anchor.* Rows of one anchor whose segments have the same content are settled by order alone. Where one
-   anchor has several contents, the first occurrence of each goes on.
+   anchor has several contents, the first occurrence of each goes on. Anchors found to be very common in a sample of the rows are
+   shuffled by anchor and content instead, so that no task gets all of them (the sample decides where rows go, not what comes out).
 4. *Contents meet.* Those segments are cut out of the texts and given to the operator's own ``resolve`` (suffix buckets, or
-   seed extension), all segments of an anchor together. An anchor with more than ``HOT`` contents is settled window by
+   seed extension), all segments of an anchor together. Common anchors, and ones with more than ``HOT`` contents, are settled window by
    window through a grouped minimum instead, which is exact as well and has no bound on the group.
-5. The removed runs of each document come together by document.
+5. The removed runs of each row come together by row.
 
-Null texts are empty; a null doc_id is the smallest one. Documents are known by doc_id: rows that repeat one with the same
-text get the same result; rows with one doc_id and different texts are cut where either repeats, clipped to their length.
+Null texts are empty; a null doc_id is the smallest one. Rows are told apart by doc_id and, where the ids of a table repeat, by the
+hash of their text: runs belong to a row, ids only order. Of windows at the same start of rows with one doc_id those of the row with the smaller hash
+are the earlier ones; rows that repeat id and text get the same result.
 """
 
 from __future__ import annotations
@@ -29,12 +31,13 @@ from blockgraph.llm import text as tx
 from blockgraph.llm.shared import cut, fresh, small
 from blockgraph.llm.text import U
 
-HOT = 10_000
+HOT = 500
+SAMPLE_ROWS, SAMPLE_HOT, HOT_ANCHORS = 20_000, 100, 4096
 PRE_ROWS = 1_000_000
 PIECE = 2 << 20
 _POS = 30
 NULL_ID = -(2**63)
-ANCHORS = "h long, g long, doc long, s int, n int, known boolean"
+ANCHORS = "h long, g long, doc long, row long, s int, n int, known boolean, hot boolean"
 
 
 @dataclass(frozen=True)
@@ -95,21 +98,27 @@ def segments(x: np.ndarray, off: np.ndarray, span: int, gram: int) -> tuple[np.n
     return tuple(np.concatenate(c) for c in zip(*parts, strict=True))
 
 
-def _anchor_rows(rule: Rule) -> Callable:
+def _anchor_rows(rule: Rule, common: np.ndarray) -> Callable:
+    """Texts to their segments. common: sorted anchors that are dealt by content as well."""
+
     def emit(got: list[tuple]) -> pa.RecordBatch:
-        h, g, doc, s, n = (np.concatenate(c) for c in zip(*got, strict=True))
+        h, g, doc, row, s, n = (np.concatenate(c) for c in zip(*got, strict=True))
         both = tx.mix(h, 8) ^ g
-        order = np.lexsort((s, doc, both))
+        order = np.lexsort((row, s, doc, both))
         first = np.ones(len(order), bool)
         first[1:] = both[order][1:] != both[order][:-1]
-        lead = np.flatnonzero(first)[np.cumsum(first) - 1]
-        later = ~first
-        if rule.across:  # repeats within the smallest document are not settled yet
-            later &= doc[order] != doc[order][lead]
+        lead = order[np.flatnonzero(first)[np.cumsum(first) - 1]]
+        later = doc[order] != doc[lead]
+        if not rule.across:  # repeats within the smallest document are settled too
+            later |= (s[order] != s[lead]) | (row[order] != row[lead])
         known = np.zeros(len(order), bool)
         known[order[later]] = True
+        hot = np.zeros(len(h), bool)
+        if len(common):
+            hot = common[np.minimum(np.searchsorted(common, h), len(common) - 1)] == h
+            h = np.where(hot, tx.mix(both, 15), h)
         h = np.where(known, tx.mix(doc.astype(np.uint64) * U(1 << 20) + s.astype(np.uint64), 9), h)  # nothing to meet: spread
-        return pa.RecordBatch.from_arrays([pa.array(tx.signed(h)), pa.array(tx.signed(g)), pa.array(doc), pa.array(s.astype(np.int32)), pa.array(n.astype(np.int32)), pa.array(known)], ["h", "g", "doc", "s", "n", "known"])
+        return pa.RecordBatch.from_arrays([pa.array(tx.signed(h)), pa.array(tx.signed(g)), pa.array(doc), pa.array(row), pa.array(s.astype(np.int32)), pa.array(n.astype(np.int32)), pa.array(known), pa.array(hot)], ["h", "g", "doc", "row", "s", "n", "known", "hot"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         got, rows = [], 0
@@ -117,7 +126,7 @@ def _anchor_rows(rule: Rule) -> Callable:
             x, off = rule.units(b.column("text"))
             h, g, doc, s, n = segments(x, off, rule.span, rule.gram)
             if len(h):
-                got.append((h, g, tx.ids(b.column("doc"))[doc], s, n))
+                got.append((h, g, tx.ids(b.column("doc"))[doc], tx.ids(b.column("row"))[doc], s, n))
                 rows += len(h)
             if rows >= PRE_ROWS:
                 yield emit(got)
@@ -128,6 +137,29 @@ def _anchor_rows(rule: Rule) -> Callable:
     return run
 
 
+def _contents(rule: Rule) -> Callable:
+    """Texts to h, n: anchors and how many different contents they have in some of the texts; once is left out."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        got = []
+        for b in tx.blocks(batches):
+            h, g, *_ = segments(*rule.units(b.column("text")), rule.span, rule.gram)
+            got.append(np.stack([h, g], 1))
+        if got:
+            h, n = np.unique(np.unique(np.concatenate(got), axis=0)[:, 0], return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array(tx.signed(h[n > 1])), pa.array(n[n > 1])], ["h", "n"])
+
+    return run
+
+
+def common_anchors(base: DataFrame, rule: Rule) -> np.ndarray:
+    """Anchors with over SAMPLE_HOT contents in about SAMPLE_ROWS rows, HOT_ANCHORS of them at most, sorted."""
+    rows = base.count()
+    some = base.select("text") if rows <= SAMPLE_ROWS else base.select("text").sample(SAMPLE_ROWS / rows, seed=7)
+    often = some.mapInArrow(_contents(rule), "h long, n long").groupBy("h").agg(F.sum("n").alias("n")).where(F.col("n") > SAMPLE_HOT)
+    return np.sort(np.array([r.h for r in often.orderBy(F.desc("n"), "h").limit(HOT_ANCHORS).collect()], np.int64).view(np.uint64))
+
+
 def merge(start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Disjoint, sorted runs that cover the same units."""
     if not len(start):
@@ -138,25 +170,25 @@ def merge(start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return start[first], reach[np.append(np.flatnonzero(first)[1:], len(start)) - 1]
 
 
-def _runs(doc: np.ndarray, start: np.ndarray, end: np.ndarray) -> pa.RecordBatch:
-    """Runs of several documents, merged, as rows doc, a, b."""
-    order = np.lexsort((start, doc))
-    doc, start, end = doc[order], start[order], end[order]
+def _runs(doc: np.ndarray, row: np.ndarray, start: np.ndarray, end: np.ndarray) -> pa.RecordBatch:
+    """Runs of several rows, merged: doc, row, a, b."""
+    order = np.lexsort((start, row, doc))
+    doc, row, start, end = doc[order], row[order], start[order], end[order]
     if len(doc):
-        rank = np.cumsum(np.append(True, doc[1:] != doc[:-1])) - 1
+        rank = np.cumsum(np.append(True, (doc[1:] != doc[:-1]) | (row[1:] != row[:-1]))) - 1
         shift = rank * (int(end.max()) + 2)
         a, b = merge(start + shift, end + shift)
         at = np.searchsorted(start + shift, a)
-        doc, start, end = doc[at], a - shift[at], b - shift[at]
-    return pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(start.astype(np.int32)), pa.array(end.astype(np.int32))], ["doc", "a", "b"])
+        doc, row, start, end = doc[at], row[at], a - shift[at], b - shift[at]
+    return pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(row, pa.int64()), pa.array(start.astype(np.int32)), pa.array(end.astype(np.int32))], ["doc", "row", "a", "b"])
 
 
 def _cut_out(rule: Rule) -> Callable:
-    """Documents with the segments wanted of each to rows h, doc, s, n, hot, seg (units as bytes)."""
+    """Rows with the segments wanted of each to rows h, doc, row, s, n, hot, seg (units as bytes)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in tx.blocks(batches):
-            docs, want = tx.ids(b.column("doc")), b.column("want")
+            docs, keys, want = tx.ids(b.column("doc")), tx.ids(b.column("row")), b.column("want")
             if rule.words:
                 x, off = rule.units(b.column("text"))
                 data, width = x.tobytes(), 8
@@ -172,7 +204,7 @@ def _cut_out(rule: Rule) -> Callable:
             lo = (off[of] + s) * width
             hi = lo + (n - 1 + rule.span) * width
             seg = [data[i:j] for i, j in zip(lo.tolist(), hi.tolist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([pa.array(h, pa.int64()), pa.array(docs[of]), pa.array(s.astype(np.int32)), pa.array(n.astype(np.int32)), pa.array(hot, pa.bool_()), pa.array(seg, pa.binary())], ["h", "doc", "s", "n", "hot", "seg"])
+            yield pa.RecordBatch.from_arrays([pa.array(h, pa.int64()), pa.array(docs[of]), pa.array(keys[of]), pa.array(s.astype(np.int32)), pa.array(n.astype(np.int32)), pa.array(hot, pa.bool_()), pa.array(seg, pa.binary())], ["h", "doc", "row", "s", "n", "hot", "seg"])
 
     return run
 
@@ -185,11 +217,11 @@ def _resolved(rule: Rule, resolve: Callable, limit: int = 2 << 20) -> Callable:
         seg, off = tx.buffers(t["seg"].combine_chunks())
         if rule.words:
             seg, off = seg.view(np.uint64) if len(seg) % 8 == 0 and seg.ctypes.data % 8 == 0 else np.frombuffer(seg.tobytes(), np.uint64), off // 8
-        h, doc, s, n = (t[c].to_numpy() for c in ("h", "doc", "s", "n"))
+        h, doc, row, s, n = (t[c].to_numpy() for c in ("h", "doc", "row", "s", "n"))
         group = np.cumsum(np.append(True, h[1:] != h[:-1])) - 1
-        of, at = resolve(group, doc, s.astype(np.int64), n.astype(np.int64), seg, off, rule)  # windows that start earlier elsewhere
+        of, at, size = resolve(group, doc, row, s.astype(np.int64), n.astype(np.int64), seg, off, rule)  # what starts earlier elsewhere
         start = s[of].astype(np.int64) + at
-        return _runs(doc[of], start, start + rule.span)
+        return _runs(doc[of], row[of], start, start + size)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, size = [], 0
@@ -213,7 +245,7 @@ def _resolved(rule: Rule, resolve: Callable, limit: int = 2 << 20) -> Callable:
 
 
 def _windows(rule: Rule) -> Callable:
-    """Segments to one row for each window: h, w (content hash), doc, s."""
+    """Segments to one row for each window: w (content hash), doc, row, s."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in tx.blocks(batches, "seg"):
@@ -225,21 +257,20 @@ def _windows(rule: Rule) -> Callable:
             sums, inverse = _prefix(x)
             lo = off[of] + at
             w = tx.mix((sums[lo + rule.span] - sums[lo]) * inverse[lo], 10)
-            yield pa.RecordBatch.from_arrays([pa.array(b.column("h").to_numpy()[of]), pa.array(tx.signed(w)), pa.array(tx.ids(b.column("doc"))[of]), pa.array((b.column("s").to_numpy()[of] + at).astype(np.int32))], ["h", "w", "doc", "s"])
+            yield pa.RecordBatch.from_arrays([pa.array(tx.signed(w)), pa.array(tx.ids(b.column("doc"))[of]), pa.array(tx.ids(b.column("row"))[of]), pa.array((b.column("s").to_numpy()[of] + at).astype(np.int32))], ["w", "doc", "row", "s"])
 
     return run
 
 
-def _per_document(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Collected runs of each document, merged: doc, runs (start, end, start, end ...)."""
+def _per_row(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Collected runs of each row, merged: doc, row, runs (start, end, start, end ...)."""
     for b in batches:
-        docs, lists = [], []
+        lists = []
         for i in range(b.num_rows):
             pairs = b.column("runs")[i].values
             a, e = merge(pairs.field(0).to_numpy().astype(np.int64), pairs.field(1).to_numpy().astype(np.int64))
-            docs.append(b.column("doc")[i].as_py())
             lists.append(np.stack([a, e], 1).ravel().astype(np.int32))
-        yield pa.RecordBatch.from_arrays([pa.array(docs, pa.int64()), pa.array(lists, pa.list_(pa.int32()))], ["doc", "runs"])
+        yield pa.RecordBatch.from_arrays([b.column("doc"), b.column("row"), pa.array(lists, pa.list_(pa.int32()))], ["doc", "row", "runs"])
 
 
 def keyed(docs: DataFrame) -> DataFrame:
@@ -247,37 +278,48 @@ def keyed(docs: DataFrame) -> DataFrame:
     return docs.select(F.coalesce(docs["doc_id"].cast("long"), F.lit(NULL_ID)).alias("doc"), docs["text"].cast("string").alias("text"))
 
 
-def repeated_runs(docs: DataFrame, rule: Rule, resolve: Callable, hot: int | None = None) -> DataFrame:
-    """doc, runs: for each document with repeats the merged runs of units, as start, end, start, end ..."""
-    base = keyed(docs)
+class Rows:
+    """The rows of a table of documents, each known by doc and row: the hash of its text, 0 where no doc_id repeats."""
+
+    def __init__(self, docs: DataFrame):
+        self.docs = docs
+        repeated = keyed(docs).groupBy("doc").agg(F.count(F.lit(1)).alias("n")).where("n > 1").limit(1).count()
+        self.row = F.xxhash64(docs["text"].cast("string")) if repeated else F.lit(0).cast("long")
+
+    def base(self) -> DataFrame:
+        return self.docs.select(F.coalesce(self.docs["doc_id"].cast("long"), F.lit(NULL_ID)).alias("doc"), self.row.alias("row"), self.docs["text"].cast("string").alias("text"))
+
+    def with_runs(self, runs: DataFrame, name: str) -> DataFrame:
+        """The table with a further column of runs, null where nothing repeats."""
+        doc, row = fresh("run_doc", [*self.docs.columns, name]), fresh("run_row", [*self.docs.columns, name])
+        side = small(runs.select(F.col("doc").alias(doc), F.col("row").alias(row), F.col("runs").alias(name)), payload=name, width=32, each=4)
+        same = (F.coalesce(self.docs["doc_id"].cast("long"), F.lit(NULL_ID)) == side[doc]) & (self.row == side[row])
+        return self.docs.join(side, same, "left").drop(doc, row)
+
+
+def repeated_runs(rows: Rows, rule: Rule, resolve: Callable, hot: int | None = None) -> DataFrame:
+    """doc, row, runs: for each row with repeats the merged runs of units, as start, end, start, end ..."""
+    base = rows.base()
     hot = HOT if hot is None else hot
-    alike = Window.partitionBy("h", "g").orderBy("doc", "s")
-    met = base.mapInArrow(_anchor_rows(rule), ANCHORS).repartition("h")  # serves both windows
-    first = F.first("doc").over(alike) == F.col("doc") if rule.across else F.row_number().over(alike) == 1
+    alike = Window.partitionBy("h", "g").orderBy("doc", "s", "row")
+    met = base.mapInArrow(_anchor_rows(rule, common_anchors(base, rule)), ANCHORS).repartition("h")  # serves both windows
+    first = F.first("doc").over(alike) == F.col("doc") if rule.across else F.rank().over(alike) == 1
     met = met.withColumns({"first": first, "lead": (F.row_number().over(alike) == 1).cast("int")})
     same = Window.partitionBy("h")
     met = met.withColumn("contents", F.sum("lead").over(same))
-    met = met.where("known or not first or contents > 1")
-    verdict = cut(met.select("doc", "s", "n", F.when(F.col("first") & ~F.col("known"), F.col("h")).alias("h"), (F.col("contents") > hot).alias("hot")), "repeats-met", free=True)
-    want = verdict.where("h is not null").groupBy("doc").agg(F.collect_list(F.struct("s", "n", "h", "hot")).alias("want"))
+    met = met.where("known or not first or contents > 1 or hot")
+    verdict = cut(met.select("doc", "row", "s", "n", F.when(F.col("first") & ~F.col("known"), F.col("h")).alias("h"), (F.col("hot") | (F.col("contents") > hot)).alias("hot")), "repeats-met", free=True)
+    want = verdict.where("h is not null").groupBy("doc", "row").agg(F.collect_list(F.struct("s", "n", "h", "hot")).alias("want"))
     want = cut(want, "repeats-want")
-    seg = base.join(want, "doc").mapInArrow(_cut_out(rule), "h long, doc long, s int, n int, hot boolean, seg binary")
+    seg = base.join(want, ["doc", "row"]).mapInArrow(_cut_out(rule), "h long, doc long, row long, s int, n int, hot boolean, seg binary")
     seg = cut(seg, "repeats-segments", free=True)
-    plain = seg.where("not hot").repartition("h").sortWithinPartitions("h", "doc", "s").select("h", "doc", "s", "n", "seg")
-    runs = plain.mapInArrow(_resolved(rule, resolve), "doc long, a int, b int")
-    runs = runs.unionByName(verdict.where("h is null").select("doc", F.col("s").alias("a"), (F.col("s") + F.col("n") + (rule.span - 1)).alias("b")))
+    plain = seg.where("not hot").repartition("h").sortWithinPartitions("h", "doc", "s").select("h", "doc", "row", "s", "n", "seg")
+    runs = plain.mapInArrow(_resolved(rule, resolve), "doc long, row long, a int, b int")
+    runs = runs.unionByName(verdict.where("h is null").select("doc", "row", F.col("s").alias("a"), (F.col("s") + F.col("n") + (rule.span - 1)).alias("b")))
     if seg.where("hot").limit(1).count():
-        each = cut(seg.where("hot").mapInArrow(_windows(rule), "h long, w long, doc long, s int"), "repeats-windows")
-        least = each.groupBy("h", "w").agg(F.min(F.struct("doc", "s")).alias("low"))
-        later = F.col("low.doc") < F.col("doc") if rule.across else F.col("low") < F.struct("doc", "s")
-        runs = runs.unionByName(each.join(least, ["h", "w"]).where(later).select("doc", F.col("s").alias("a"), (F.col("s") + rule.span).alias("b")))
-    runs = runs.groupBy("doc").agg(F.collect_list(F.struct("a", "b")).alias("runs")).mapInArrow(_per_document, "doc long, runs array<int>")
+        each = cut(seg.where("hot").mapInArrow(_windows(rule), "w long, doc long, row long, s int"), "repeats-windows")
+        least = each.groupBy("w").agg(F.min(F.struct("doc", "s", "row")).alias("low"), F.count(F.lit(1)).alias("times")).where("times > 1")
+        later = F.col("low.doc") < F.col("doc") if rule.across else F.col("low") < F.struct("doc", "s", "row")
+        runs = runs.unionByName(each.join(least, "w").where(later).select("doc", "row", F.col("s").alias("a"), (F.col("s") + rule.span).alias("b")))
+    runs = runs.groupBy("doc", "row").agg(F.collect_list(F.struct("a", "b")).alias("runs")).mapInArrow(_per_row, "doc long, row long, runs array<int>")
     return cut(runs, "repeats-runs", free=True)
-
-
-def with_runs(docs: DataFrame, runs: DataFrame) -> DataFrame:
-    """docs with a column ``runs`` (null where nothing repeats); a column of docs of that name is replaced."""
-    docs = docs.drop("runs")
-    key = fresh("doc_key", docs.columns)
-    side = small(runs.select(F.col("doc").alias(key), "runs"), payload="runs", width=24, each=4)
-    return docs.join(side, F.coalesce(docs["doc_id"].cast("long"), F.lit(NULL_ID)) == side[key], "left").drop(key)

@@ -1,9 +1,10 @@
 """Substring dedup by seed and extend: words covered by 13 consecutive words that a smaller doc_id has too are removed.
 
 Documents meet at winnowed anchors of five words (``repeats``). Where the surroundings differ, the match is extended from the
-anchor word by word, to the right and to the left, for all documents of the anchor at once: after each step the documents
-that still agree form a class. A window of 13 words is a class of its left part and one of its right part; the windows found
-join up to the maximal repeats of at least 13 words.
+anchor word by word, to the left and to the right, for all documents of the anchor at once: after each step the documents
+that still agree form a class. For every extension to the left, the longest one to the right that a smaller document shares
+makes a repeat that is maximal within the segment; those of at least 13 words count. Neighbouring anchors share words, so what
+they give joins up to the maximal repeats of the texts.
 """
 
 from __future__ import annotations
@@ -16,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from blockgraph.llm import text as tx
-from blockgraph.llm.repeats import Rule, repeated_runs, with_runs
+from blockgraph.llm.repeats import Rows, Rule, repeated_runs
 from blockgraph.llm.text import U
 
 SPAN = 13
@@ -27,8 +28,8 @@ def _classes(key: np.ndarray) -> np.ndarray:
     return np.unique(key, return_inverse=True)[1].astype(np.int64)
 
 
-def resolve(group, doc, s, n, seg, off, rule: Rule) -> tuple[np.ndarray, np.ndarray]:
-    """Windows (segment, offset) whose words also start in a smaller document of the group."""
+def resolve(group, doc, row, s, n, seg, off, rule: Rule) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Repeats (segment, offset, length) of span words and more that a smaller document of the group has too."""
     length = np.diff(off)
     # the anchor's place: all windows of a segment hold it, so it starts between the last window's start and the first one's end
     sums = np.zeros(len(seg) + 1, dtype=np.uint64)
@@ -58,21 +59,24 @@ def resolve(group, doc, s, n, seg, off, rule: Rule) -> tuple[np.ndarray, np.ndar
         word = seg[np.where(ok, off[:-1] + p, 0)]
         key = tx.mix(word, 13) ^ tx.mix(right[-1].astype(np.uint64), 14)
         right.append(np.where(ok, _classes(key), -1 - np.arange(len(n))))
-    out_of, out_at = [], []
+    found = []
     for k in range(reach + 1):  # k words to the left of the anchor
-        at = place - k
-        rows = np.flatnonzero((at >= 0) & (at < n) & (at + rule.span <= length))
-        if not len(rows):
-            continue
-        key = left[k][rows] * big + right[reach - k][rows]
-        order = np.lexsort((doc[rows], key))
-        r, key = rows[order], key[order]
-        head = np.append(True, key[1:] != key[:-1])
-        least = doc[r][np.flatnonzero(head)][np.cumsum(head) - 1]
-        r = r[doc[r] > least]
-        out_of.append(r)
-        out_at.append(place[r] - k)
-    return (np.concatenate(out_of), np.concatenate(out_at)) if out_of else (np.zeros(0, np.int64),) * 2
+        rows = np.flatnonzero(place >= k)
+        for r in range(reach, reach - k - 1, -1):  # the longest way to the right first
+            here = rows[place[rows] + rule.gram + r <= length[rows]]
+            if not len(here):
+                continue
+            key = left[k][here] * big + right[r][here]
+            order = np.lexsort((doc[here], key))
+            here, key = here[order], key[order]
+            head = np.append(True, key[1:] != key[:-1])
+            least = doc[here][np.flatnonzero(head)][np.cumsum(head) - 1]
+            here = here[doc[here] > least]
+            found.append((here, place[here] - k, np.full(len(here), k + rule.gram + r)))
+            rows = rows[~np.isin(rows, here, assume_unique=True)]  # shorter ones lie inside
+    if not found:
+        return (np.zeros(0, np.int64),) * 3
+    return tuple(np.concatenate(c) for c in zip(*found, strict=True))
 
 
 def kept_words(buf: np.ndarray, start: np.ndarray, end: np.ndarray, runs: list[int] | None) -> tuple[bytes, int]:
@@ -99,6 +103,9 @@ def _digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def digest(docs: DataFrame, rule: Rule = RULE) -> DataFrame:
-    """doc_id, n_words, n_removed, kept_sha256 for each row of docs; see ``repeats`` for nulls and repeated rows."""
-    marked = with_runs(docs.select("doc_id", docs["text"].cast("string").alias("text")), repeated_runs(docs, rule, resolve))
+    """doc_id, n_words, n_removed, kept_sha256 for each row of docs; see ``repeats`` for nulls and repeated rows.
+
+    An empty table gives an empty one; further columns are left out."""
+    rows = Rows(docs.select("doc_id", docs["text"].cast("string").alias("text")))
+    marked = rows.with_runs(repeated_runs(rows, rule, resolve), "runs")
     return marked.mapInArrow(_digest, "doc_id long, n_words long, n_removed long, kept_sha256 string")

@@ -1,15 +1,15 @@
 """Suffix-array dedup: bytes covered by a 100-byte string that also starts earlier are removed.
 
 Candidates come from ``repeats``; where several contents meet at one anchor, their suffixes are sorted to the depth of a
-window by bucket-pointer refinement: suffixes are dealt into buckets by their first ``q`` bytes, then each bucket of more
-than one is split by the bucket identifiers of the suffixes that start as many bytes later as the order is known for. The
-identifiers split in one round are what the next round sorts by, so the known depth doubles.
+window by bucket-pointer refinement: suffixes are dealt into buckets by their first ``q`` bytes (at most 8), then each bucket of
+more than one is split by the bucket identifiers of the suffixes that start as many bytes later as the order is known for. The
+identifiers split in one round are what the next round sorts by, so the known depth doubles: 8, 16, 32, 64, 100.
 """
 
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -17,10 +17,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from blockgraph.llm import text as tx
-from blockgraph.llm.repeats import Rule, repeated_runs, with_runs
+from blockgraph.llm.repeats import Rows, Rule, repeated_runs
+from blockgraph.llm.shared import fresh
 
 SPAN = 100
-Q = 50
+Q = 8
 RULE = Rule(span=SPAN, gram=24, words=False, across=False)
 
 
@@ -53,34 +54,36 @@ def refine(first: np.ndarray, left: np.ndarray, q: int, span: int) -> np.ndarray
 
 def window_classes(group: np.ndarray, seg: np.ndarray, off: np.ndarray, span: int, q: int) -> np.ndarray:
     """An identifier for each suffix of the segments: equal where group and the first ``span`` bytes are equal."""
-    sums = np.zeros(len(seg) + 1, dtype=np.uint64)
-    np.cumsum(tx._CODE[seg] * tx._pow(tx._P, len(seg)), out=sums[1:])
     of = np.repeat(np.arange(len(off) - 1), np.diff(off))
     left = off[of + 1] - np.arange(len(seg))
     live = np.flatnonzero(left >= q)
-    h = tx.mix((sums[live + q] - sums[live]) * tx._pow(tx._PINV, len(seg) + 1)[live], 11) ^ tx.mix(group[of[live]].astype(np.uint64), 12)
-    order = np.argsort(h, kind="stable")
-    head = np.append(True, h[order][1:] != h[order][:-1]) if len(h) else np.zeros(0, bool)
     first = np.arange(len(seg), dtype=np.int64)
-    if len(h):
-        first[live[order]] = live[order][np.flatnonzero(head)][np.cumsum(head) - 1]
+    if len(live):
+        head = np.zeros(len(seg) - q + 1, np.uint64)
+        for k in range(q):  # the first q bytes as a number
+            head = head << np.uint64(8) | seg[k : k + len(head)]
+        head, where = head[live], group[of[live]]
+        order = np.lexsort((head, where))
+        new = np.append(True, (head[order][1:] != head[order][:-1]) | (where[order][1:] != where[order][:-1]))
+        first[live[order]] = live[order][np.flatnonzero(new)][np.cumsum(new) - 1]
     return refine(first, left, q, span)
 
 
-def resolve(group, doc, s, n, seg, off, rule: Rule, q: int = Q) -> tuple[np.ndarray, np.ndarray]:
-    """Windows (segment, offset) whose content also starts at a smaller (doc, start) in the same group."""
-    name = window_classes(group, seg, off, rule.span, q)
+def resolve(group, doc, row, s, n, seg, off, rule: Rule, q: int = Q) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Windows (segment, offset, length) whose content also starts at a smaller (doc, start, row) in the same group."""
+    name = window_classes(group, seg, off, rule.span, min(q, rule.span, 8))
     of = np.repeat(np.arange(len(n)), n)
     at = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
     name = name[off[of] + at]
     many = np.bincount(name, minlength=1)[name] > 1
     of, at, name = of[many], at[many], name[many]
-    order = np.lexsort((s[of] + at, doc[of], name))
-    of, at, name = of[order], at[order], name[order]
+    place = s[of] + at
+    order = np.lexsort((row[of], place, doc[of], name))
+    of, at, name, place = of[order], at[order], name[order], place[order]
     head = np.append(True, name[1:] != name[:-1]) if len(name) else np.zeros(0, bool)
     lead = np.flatnonzero(head)[np.cumsum(head) - 1] if len(name) else np.zeros(0, np.int64)
-    later = (doc[of] > doc[of][lead]) | (s[of] + at > (s[of] + at)[lead])
-    return of[later], at[later]
+    later = (doc[of] != doc[of][lead]) | (place != place[lead]) | (row[of] != row[of][lead])
+    return of[later], at[later], np.full(int(later.sum()), rule.span)
 
 
 def kept_bytes(raw: bytes, runs: list[int] | None) -> tuple[bytes, int, int]:
@@ -109,24 +112,30 @@ def _digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([b.column("doc_id"), *(pa.array(c, pa.int64()) for c in cols[:3]), pa.array(cols[3], pa.string())], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
 
-def _cut_text(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in tx.blocks(batches, "text", 4 << 20):
-        at = b.schema.get_field_index("text")
-        new = [None if t is None else kept_bytes(t.encode(), r)[0].decode("utf-8", "ignore") for t, r in zip(b.column("text").to_pylist(), b.column("runs").to_pylist(), strict=True)]
-        cols = [pa.array(new, pa.string()) if i == at else c for i, c in enumerate(b.columns)]
-        keep = [i for i, f in enumerate(b.schema.names) if f != "runs"]
-        yield pa.RecordBatch.from_arrays([cols[i] for i in keep], [b.schema.names[i] for i in keep])
+def _cut_text(name: str) -> Callable:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in tx.blocks(batches, "text", 4 << 20):
+            at = b.schema.get_field_index("text")
+            new = [None if t is None else kept_bytes(t.encode(), r)[0].decode("utf-8", "ignore") for t, r in zip(b.column("text").to_pylist(), b.column(name).to_pylist(), strict=True)]
+            cols = [pa.array(new, pa.string()) if i == at else c for i, c in enumerate(b.columns)]
+            keep = [i for i, f in enumerate(b.schema.names) if f != name]
+            yield pa.RecordBatch.from_arrays([cols[i] for i in keep], [b.schema.names[i] for i in keep])
+
+    return run
 
 
 def digest(docs: DataFrame, rule: Rule = RULE) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 for each row of docs; see ``repeats`` for nulls and repeated rows."""
-    marked = with_runs(docs.select("doc_id", docs["text"].cast("string").alias("text")), repeated_runs(docs, rule, resolve))
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 for each row of docs; see ``repeats`` for nulls and repeated rows.
+
+    An empty table gives an empty one; further columns are left out."""
+    rows = Rows(docs.select("doc_id", docs["text"].cast("string").alias("text")))
+    marked = rows.with_runs(repeated_runs(rows, rule, resolve), "runs")
     return marked.mapInArrow(_digest, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
 def remove(docs: DataFrame, rule: Rule = RULE) -> DataFrame:
     """docs with repeated bytes cut out of ``text`` (parts of characters left at a cut go too) and ``n_chars``, if there is such
-    a column, counted anew. Null texts stay null."""
-    marked = with_runs(docs, repeated_runs(docs, rule, resolve))
-    out = marked.mapInArrow(_cut_text, docs.drop("runs").schema)
+    a column, counted anew. Null texts stay null; all other columns stay, whatever their names."""
+    rows, name = Rows(docs), fresh("runs", docs.columns)
+    out = rows.with_runs(repeated_runs(rows, rule, resolve), name).mapInArrow(_cut_text(name), docs.schema)
     return out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else out

@@ -18,17 +18,19 @@ def key(doc_id):
     return (doc_id is not None, doc_id or 0)
 
 
-def suffix_dedup(rows, span):
+def suffix_dedup(rows, span, row=lambda t: 0):
+    """row: what tells rows of one id apart and orders equal starts."""
     first, out = {}, []
-    for d, t in sorted(rows, key=lambda r: key(r[0])):
+    for d, t in rows:
         raw = (t or "").encode()
         for i in range(len(raw) - span + 1):
-            first.setdefault(raw[i : i + span], (d, i))
+            k, w = (key(d), i, row(t)), raw[i : i + span]
+            first[w] = min(first.get(w, k), k)
     for d, t in rows:
         raw = (t or "").encode()
         gone = [False] * len(raw)
         for i in range(len(raw) - span + 1):
-            if first[raw[i : i + span]] != (d, i):
+            if first[raw[i : i + span]] != (key(d), i, row(t)):
                 gone[i : i + span] = [True] * span
         kept = bytes(b for b, g in zip(raw, gone, strict=True) if not g)
         out.append((d, len(raw), sum(gone), sum(g and not (i and gone[i - 1]) for i, g in enumerate(gone)), hashlib.sha256(kept).hexdigest()))
