@@ -145,13 +145,22 @@ def demultiplex(media: bytes) -> dict[int, dict]:
 def decode_samples(media: bytes) -> tuple[bytes, dict]:
     """Samples back from ``encode_samples`` and what the container says: streams, pages, packets, milliseconds."""
     streams = demultiplex(media)
+    if not streams:
+        raise OggError("no stream")
     order: dict[int, dict] = {}
-    total = many = rate = 0
+    told = set()
     for s in streams.values():
+        if not s["packets"] or len(s["packets"][0]) != _HEAD.size:
+            raise OggError("no header of samples")
         magic, rate, many, k, total = _HEAD.unpack(s["packets"][0])
-        if magic != _MAGIC:
+        if magic != _MAGIC or not rate:
             raise OggError("unknown stream")
+        if k in order:
+            raise OggError("two streams of one number")
         order[k] = s
+        told.add((rate, many, total))
+    if len(told) != 1 or sorted(order) != list(range(many)):
+        raise OggError("streams are missing or do not belong together")
     data = [order[k]["packets"][1:] for k in range(many)]
     out = b"".join(p[i] for i in range(max(map(len, data), default=0)) for p in data if i < len(p))
     if len(out) != total or any(s["granules"][-1] != sum(map(len, s["packets"][1:])) for s in order.values()):
@@ -195,12 +204,14 @@ def _decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def encode(docs: DataFrame) -> DataFrame:
-    """doc_id, n_bytes and the Ogg file of each whole text (null: empty, stored as one frame of blanks).
+    """doc_id, n_bytes and the Ogg file of each whole text (null: empty, stored as one frame of blanks). An empty table gives an empty one.
 
     Repeated rows give repeated rows with equal files; other columns are left out, whatever their names."""
     return docs.select("doc_id", docs["text"].cast("string").alias("text")).mapInArrow(_encode, "doc_id long, n_bytes long, media binary")
 
 
 def read(media: DataFrame) -> DataFrame:
-    """Checks and features of each Ogg file of a column ``media``; broken or null files give null values and an ``error``."""
+    """Checks and features of each Ogg file of a column ``media``; broken, empty or null files give null values and an ``error``.
+
+    An empty table gives an empty one; repeated rows repeat; columns but doc_id, n_bytes and media are left out."""
     return media.select("doc_id", "n_bytes", "media").mapInArrow(_decode, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, error string")

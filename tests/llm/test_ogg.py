@@ -65,5 +65,10 @@ def test_columns(spark):
         assert (r.n_bytes, r.payload_bytes, r.tail_crc32, r.error) == (len(raw), len(p), zlib.crc32(p[-16:]), None)
     assert len(out) == len(rows) and len({(r.payload_sha256, r.media_sha256, r.feature) for r in out}) == len({r.payload_sha256 for r in out})
     assert ogg.read(ogg.encode(frame(spark, []))).count() == 0
-    bad = ogg.read(spark.createDataFrame([(1, 1, None), (2, 1, b"OggS"), (3, 1, b"x" * 100)], "doc_id long, n_bytes long, media binary")).collect()
-    assert all(r.error and r.payload_sha256 is None for r in bad)
+    def stream(serial, head):
+        return b"".join(ogg._stream_pages([(head, 0), (b"a" * 9, 9)], serial))
+
+    head = lambda rate, many, k: ogg._HEAD.pack(ogg._MAGIC, rate, many, k, 9)
+    broken = [None, b"OggS", b"x" * 100, b"", stream(1, head(0, 1, 0)), stream(1, head(8000, 2, 0)), stream(1, head(8000, 2, 0)) + stream(2, head(8000, 2, 0)), stream(1, b"short"), stream(1, head(8000, 1, 0))[:-1]]
+    bad = ogg.read(spark.createDataFrame([(i, 1, m) for i, m in enumerate(broken)], "doc_id long, n_bytes long, media binary")).collect()
+    assert len(bad) == len(broken) and all(r.error and r.payload_sha256 is None for r in bad)
