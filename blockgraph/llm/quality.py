@@ -16,6 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from blockgraph.llm.shared import fresh
 from blockgraph.llm.text import U, Words, blocks, buffers, grams, mix
 
 BITS = 18
@@ -113,7 +114,8 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", rows: int =
     known = known.groupBy("doc_id").agg(F.max(label).cast("int").alias("y")).withColumn("k", F.md5(F.col("doc_id").cast("string")))
     known = known.orderBy("k").limit(rows)
     texts = docs.select("doc_id", docs["text"].cast("string").alias("text"))
-    got = texts.join(F.broadcast(known), "doc_id").select("k", "y", "text").mapInArrow(_featurise, "k string, y int, f array<int>, c array<int>").toArrow()
+    chosen = texts.join(F.broadcast(known), "doc_id").groupBy("k", "y").agg(F.min("text").alias("text"))  # one text for a repeated id
+    got = chosen.select("k", "y", "text").mapInArrow(_featurise, "k string, y int, f array<int>, c array<int>").toArrow()
     got = got.sort_by([("k", "ascending")]).combine_chunks()
     examples = [(f.values.to_numpy(), c.values.to_numpy(), y.as_py()) for f, c, y in zip(got["f"], got["c"], got["y"], strict=True) if len(f.values)]
     weights = train(examples[:rows])
@@ -122,13 +124,14 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", rows: int =
     return weights
 
 
-def score(docs: DataFrame, weights: np.ndarray, threshold: float = THRESHOLD) -> DataFrame:
-    """All columns of docs with ``score`` (0 to 1) and ``predicted`` (1 if score >= threshold); null texts score as empty ones.
+def score(docs: DataFrame, weights: np.ndarray, threshold: float = THRESHOLD, names: tuple[str, str] = ("score", "predicted")) -> DataFrame:
+    """All columns of docs with two more, ``names``: the score (0 to 1) and 1 if it is at least the threshold; null texts score as
+    empty ones, an empty table gives an empty one, repeated rows repeat. docs must not have columns of these names."""
+    from pyspark.sql.types import DoubleType, IntegerType, StructType
 
-    Columns of docs by those two names are replaced."""
+    if {n.lower() for n in names} & {c.lower() for c in docs.columns}:
+        raise ValueError(f"docs has one of the columns {names}; give other names")
     shared = docs.sparkSession.sparkContext.broadcast(weights)
-    kept = docs.drop("score", "predicted")
-    schema = kept.schema.simpleString()[7:-1]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         w = shared.value
@@ -138,15 +141,19 @@ def score(docs: DataFrame, weights: np.ndarray, threshold: float = THRESHOLD) ->
             ends = np.cumsum(n)
             margin = w[-1] + SCALE * (sums[ends] - sums[ends - n]) / np.maximum(n, 1)
             p = 1 / (1 + np.exp(-np.clip(margin, -35, 35)))
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(p), pa.array((p >= threshold).astype(np.int32))], [*b.schema.names, "score", "predicted"])
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(p), pa.array((p >= threshold).astype(np.int32))], [*b.schema.names, *names])
+
+    return docs.mapInArrow(run, StructType([*docs.schema.fields]).add(names[0], DoubleType()).add(names[1], IntegerType()))
 
-    from pyspark.sql.types import DoubleType, IntegerType, StructType
 
-    return kept.mapInArrow(run, StructType([*kept.schema.fields]).add("score", DoubleType()).add("predicted", IntegerType())) if schema else kept
+def keep_good(docs: DataFrame, weights: np.ndarray, threshold: float = THRESHOLD) -> DataFrame:
+    """The rows of docs that the classifier does not reject, with all their columns."""
+    names = fresh("score", docs.columns), fresh("predicted", docs.columns)
+    return score(docs, weights, threshold, names).where(F.col(names[1]) == 1).select(*docs.columns)
 
 
 def classify(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """doc_id, held_out, score, predicted of every row of docs."""
+    """doc_id, held_out, score, predicted of every row of docs; further columns are left out, an empty table gives an empty one."""
     texts = docs.select("doc_id", docs["text"].cast("string").alias("text"))
     out = score(texts, fit(docs, labels))
     return out.select("doc_id", (fold(F.col("doc_id")) == HELD_OUT_FOLD).alias("held_out"), "score", "predicted")

@@ -54,8 +54,12 @@ def test_odd_rows(spark):
     labels = spark.createDataFrame([(3, 1, 0), (3, 0, 0), (None, 1, 0), (8, None, None), (99, 1, 1), (10, 0, 0)], "doc_id long, quality int, toxic int")
     out = quality.classify(docs, labels).collect()
     assert len(out) == len(odd()) and all(0 <= r.score <= 1 for r in out)
-    empty = quality.score(docs, np.zeros(2**quality.BITS + 1, np.float32))
-    assert {r.score for r in empty.collect()} == {0.5} and empty.columns[:5] == docs.columns[:5]
+    nothing = np.zeros(2**quality.BITS + 1, np.float32)
+    empty = quality.score(docs, nothing, names=("p", "good"))
+    assert {(r.p, r.score) for r in empty.collect()} == {(0.5, "?")} and empty.columns == [*docs.columns, "p", "good"]
+    assert quality.keep_good(docs, nothing).columns == docs.columns and quality.keep_good(docs, nothing).count() == len(odd())
+    with pytest.raises(ValueError, match="columns"):
+        quality.score(docs, nothing)
     assert quality.classify(docs.limit(0), labels.limit(0)).count() == 0
 
 
