@@ -5,14 +5,15 @@ words, starting at every S-th word, so each stretch of S words lies whole in som
 its BM25 score as a share of the score it gets from its own text; all items of at least ``SCORE`` are retrieved.
 
 Most passages cannot reach the threshold, and most items cannot for a given passage. Items stand in ranges of ``RANGE``; for
-each range a term has the largest of its weights there. A passage is two stretches of S words, and the sums of these maxima
-over a stretch's distinct terms, added up, bound what any item of a range can get. A passage with no range that can reach
-the threshold is passed over (all passages of a block of texts at once); the rest is answered exactly by WAND, which leaves
-out whole blocks of posting lists by their maxima.
-
-A retrieved item counts if the passage holds enough of the word trigrams of both its question and its answer (the last
-line of several, else the last third of the words). Items under ``MIN_WORDS`` words count where a text holds all their words in
-a row. The index is broadcast; items are taken in blocks of at most ``BLOCK_BYTES``, so its size has a bound.
+each range a term has the largest of its weights there (a list as long as its postings at most). A passage is two stretches of S
+words, and the sums of these maxima over a stretch's distinct terms, added up, bound what any item of a range can get. A passage
+with no range that can reach the threshold is passed over (passages of a block of texts together, ``CELLS`` sums at a time); the rest is answered exactly by
+WAND, which leaves out whole blocks of posting lists by their maxima.
+
+How often a term occurs and how long items are is counted over all items. A retrieved item counts if the passage holds enough of the word
+trigrams of both its question and its answer (the last line of several, else the last third of the words). Items under ``MIN_WORDS``
+words count where a text holds all their words in a row. The index is broadcast; it is as large as the items' postings, and items
+are taken in blocks of at most ``BLOCK_BYTES`` of text, so its size has a bound; texts are read once for each block.
 """
 
 from __future__ import annotations
@@ -37,6 +38,7 @@ BLOCK_BYTES = 16 << 20
 POSTINGS_BLOCK = 16
 SMALLEST_CLASS = 16
 RANGE = 2
+CELLS = 1_000_000
 SCHEMA = "doc_id long, item_id long, score double, question_overlap double, answer_overlap double"
 _WORD = re.compile(r"[^\x20\x09-\x0D]+")
 
@@ -60,20 +62,34 @@ def _trigrams(h: np.ndarray) -> np.ndarray:
     return np.unique(tx.grams(h, min(GRAM, max(1, len(h)))))
 
 
+class Counts:
+    """Over a set of items: how many there are, their mean length, and in how many each term occurs."""
+
+    def __init__(self, items: int, words: int, terms: np.ndarray, df: np.ndarray):
+        self.items, self.mean, self.terms, self.df = items, words / max(items, 1), terms, df
+
+    @classmethod
+    def of(cls, items: list[np.ndarray]) -> "Counts":
+        terms, df = np.unique(np.concatenate([np.unique(h) for h in items]) if items else np.zeros(0, np.uint64), return_counts=True)
+        return cls(len(items), sum(map(len, items)), terms, df)
+
+
 class Index:
     """BM25 weights of items, as shares of each item's own score, in posting lists of blocks with maxima."""
 
-    def __init__(self, items: list[tuple[int, np.ndarray]], span: int, score: float = SCORE):
-        self.span, self.score, self.names, self.block = span, score, [i for i, _ in items], POSTINGS_BLOCK
+    def __init__(self, items: list[tuple[int, np.ndarray]], span: int, score: float = SCORE, told: "Counts | None" = None):
+        """told: occurrences and lengths over all items; of these alone if not given."""
+        told = told or Counts.of([h for _, h in items])
+        self.span, self.score, self.names, self.block, self.cells = span, score, [i for i, _ in items], POSTINGS_BLOCK, CELLS
         sizes = np.array([len(h) for _, h in items], float)
         counted = [np.unique(h, return_counts=True) for _, h in items]
         self.vocabulary = np.unique(np.concatenate([t for t, _ in counted]))
         terms = [np.searchsorted(self.vocabulary, t) for t, _ in counted]
-        df = np.bincount(np.concatenate(terms), minlength=len(self.vocabulary))
-        idf = np.log1p((len(items) - df + 0.5) / (df + 0.5))
+        df = told.df[np.searchsorted(told.terms, self.vocabulary)]
+        idf = np.log1p((told.items - df + 0.5) / (df + 0.5))
         rows = []
         for k, (t, (_, tf)) in enumerate(zip(terms, counted, strict=True)):
-            w = idf[t] * tf * (K1 + 1) / (tf + K1 * (1 - B + B * sizes[k] / sizes.mean()))
+            w = idf[t] * tf * (K1 + 1) / (tf + K1 * (1 - B + B * sizes[k] / told.mean))
             rows.append(w / w.sum())
         term, item, weight = np.concatenate(terms), np.repeat(np.arange(len(items)), [len(t) for t in terms]), np.concatenate(rows)
         order = np.lexsort((item, term))
@@ -87,21 +103,45 @@ class Index:
             cuts = np.arange(lo, hi, self.block)
             self.block_most.append(np.maximum.reduceat(self.weight[lo:hi], cuts - lo).tolist())
             self.block_last.append(self.item[np.minimum(cuts + self.block, hi) - 1].tolist())
-        ranges = -(-len(items) // RANGE)
-        self.range_most = np.zeros((len(self.vocabulary), ranges), np.float32)
-        np.maximum.at(self.range_most, (term, item // RANGE), weight.astype(np.float32))
+        self.ranges = -(-len(items) // RANGE)
+        at = term[order] * self.ranges + self.item // RANGE  # ascending
+        head = np.flatnonzero(np.append(True, at[1:] != at[:-1]))
+        self.range_most, self.range_of = np.maximum.reduceat(self.weight, head), self.item[head] // RANGE
+        self.range_start = np.searchsorted(term[order][head], np.arange(len(self.vocabulary) + 1))
+
+    def reachable(self, stretch: np.ndarray, term: np.ndarray, last: np.ndarray, score: float) -> np.ndarray:
+        """For every stretch whether some range's bound for it and the next one (none after a text's last) reaches the score.
 
-    def reach(self, stretch: np.ndarray, term: np.ndarray, stretches: int) -> np.ndarray:
-        """The bound of every range for every stretch, from the (stretch, term) of its known words."""
-        out = np.zeros((stretches, self.range_most.shape[1]), np.float32)
+        stretch, term: the known words, ascending by stretch. No more than about CELLS sums exist at a time."""
         pairs = np.unique(stretch * len(self.vocabulary) + term)
         of, term = np.divmod(pairs, len(self.vocabulary))
-        for at in range(0, len(of), 50_000):
-            o, t = of[at : at + 50_000], term[at : at + 50_000]
-            head = np.flatnonzero(np.append(True, o[1:] != o[:-1]))
-            out[o[head]] += np.add.reduceat(self.range_most[t], head, axis=0)
+        out = np.zeros(len(last), bool)
+        step = max(2, self.cells // self.ranges)
+        for lo in range(0, len(last), step - 1):  # a stretch's next one is in the same part, or a text ends there
+            hi = min(lo + step, len(last))
+            a, b = np.searchsorted(of, (lo, hi))
+            sums = np.zeros((hi - lo) * self.ranges)
+            for c in self._parts(term[a:b]):
+                o, t = of[a:b][c] - lo, term[a:b][c]
+                many = self.range_start[t + 1] - self.range_start[t]
+                at = np.repeat(self.range_start[t] - np.cumsum(many) + many, many) + np.arange(many.sum())
+                sums += np.bincount(np.repeat(o, many) * self.ranges + self.range_of[at], self.range_most[at], len(sums))
+            sums = sums.reshape(hi - lo, self.ranges)
+            sums[:-1] += np.where(last[lo : hi - 1, None], 0, sums[1:])  # rows are read before they change: each adds its old next one
+            out[lo:hi] |= sums.max(1, initial=0) >= score - 1e-6
+            if hi == len(last):
+                break
         return out
 
+    def _parts(self, term: np.ndarray) -> Iterator[slice]:
+        """Runs of terms with about CELLS entries of ranges."""
+        ends = np.cumsum(self.range_start[term + 1] - self.range_start[term])
+        at = 0
+        while at < len(term):
+            to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + self.cells, "right")))
+            yield slice(at, to)
+            at = to
+
     def search(self, terms: list[int], threshold: float | None = None) -> list[tuple[int, float]]:
         """Items (by place) whose weights over the distinct terms add up to the threshold, by block-max WAND."""
         threshold = self.score if threshold is None else threshold
@@ -169,21 +209,24 @@ class Index:
                         forward(x, until)
 
 
-def build(items: list[tuple[int, str]]) -> tuple[list[Index], dict[int, tuple[np.ndarray, np.ndarray]], dict[int, tuple[np.ndarray, np.ndarray]]]:
+def build(items: list[tuple[int, str]], told: Counts | None = None) -> tuple[list[Index], dict[int, tuple[np.ndarray, np.ndarray]], dict[int, tuple[np.ndarray, np.ndarray]]]:
     """Indexes by length class, the trigrams of each item's question and answer, by place in items, and for items of few words, by
     length, the sorted hashes of the whole sequences with their places in items."""
     classes: dict[int, list[tuple[int, np.ndarray]]] = defaultdict(list)
     parts = {}
     whole: dict[int, list[tuple[int, int]]] = defaultdict(list)
+    every: list[np.ndarray] = []
     for k, (_, text) in enumerate(items):
         h = _hashes(text)
         if len(h) < MIN_WORDS:
             if len(h):
                 whole[len(h)].append((int(tx.grams(h, len(h))[0]), k))
             continue
+        every.append(h)
         classes[max(SMALLEST_CLASS, 1 << (len(h) - 1).bit_length())].append((k, h))
         parts[k] = tuple(_trigrams(_hashes(x)) for x in question_and_answer(text))
-    return [Index(group, span) for span, group in sorted(classes.items())], parts, {n: tuple(np.array(x, t) for x, t in zip(zip(*sorted(got), strict=True), (np.uint64, np.int64), strict=True)) for n, got in whole.items()}
+    told = told or Counts.of(every)
+    return [Index(group, span, told=told) for span, group in sorted(classes.items())], parts, {n: tuple(np.array(x, t) for x, t in zip(zip(*sorted(got), strict=True), (np.uint64, np.int64), strict=True)) for n, got in whole.items()}
 
 
 def _share(part: np.ndarray, of: np.ndarray) -> float:
@@ -196,59 +239,98 @@ def _stretches(first: np.ndarray, span: int) -> tuple[np.ndarray, np.ndarray]:
     return np.repeat(np.arange(len(many)), many), np.append(0, np.cumsum(many))
 
 
+def _matches(b: pa.RecordBatch, built: tuple, score: float, overlap: float) -> dict[tuple[int, int], tuple[float, float, float]]:
+    """(row, place of the item) to score and shares of a block of texts."""
+    indexes, parts, whole = built
+    w = tx.Words(*tx.buffers(b.column("text")))
+    h = w.hashes(lower=True)
+    best: dict[tuple[int, int], tuple[float, float, float]] = {}
+    place = np.arange(len(h)) - w.first[w.doc]
+    for n, (sequences, where) in whole.items():
+        g = tx.grams(h, n)
+        lo, hi = np.searchsorted(sequences, g), np.searchsorted(sequences, g, "right")
+        for k in np.flatnonzero((hi > lo) & (w.doc[n - 1 :] == w.doc[: len(g)])) if len(g) else ():
+            best.update({(int(w.doc[k]), int(item)): (1.0, 1.0, 1.0) for item in where[lo[k] : hi[k]]})
+    for index in indexes:
+        at = np.searchsorted(index.vocabulary, h)
+        at[at == len(index.vocabulary)] = 0
+        known = np.flatnonzero(index.vocabulary[at] == h)
+        doc, begin = _stretches(w.first, index.span)
+        last = np.append(doc[1:] != doc[:-1], True) if len(doc) else np.zeros(0, bool)
+        alone = np.append(True, doc[1:] != doc[:-1]) & last if len(doc) else last
+        may = index.reachable(begin[w.doc[known]] + place[known] // index.span, at[known], last, score)
+        for k in np.flatnonzero(may & (~last | alone)):
+            lo = w.first[doc[k]] + (k - begin[doc[k]]) * index.span
+            hi = min(lo + 2 * index.span, w.first[doc[k] + 1])
+            terms = at[lo:hi][index.vocabulary[at[lo:hi]] == h[lo:hi]]
+            found = index.search(np.unique(terms).tolist(), score)
+            grams = _trigrams(h[lo:hi]) if found else None
+            for which, got in found:
+                item = index.names[which]
+                q, a = (_share(x, grams) for x in parts[item])
+                if q >= overlap and a >= overlap:
+                    key = (int(doc[k]), item)
+                    best[key] = max(best.get(key, (0.0, 0.0, 0.0)), (got, q, a))
+    return best
+
+
 def _searcher(shared, names: list[int], score: float, overlap: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        indexes, parts, whole = shared.value
         for b in tx.blocks(batches):
-            buf, off = tx.buffers(b.column("text"))
-            w = tx.Words(buf, off)
-            h = w.hashes(lower=True)
-            best: dict[tuple[int, int], tuple[float, float, float]] = {}
-            place = np.arange(len(h)) - w.first[w.doc]
-            for n, (sequences, where) in whole.items():
-                g = tx.grams(h, n)
-                lo, hi = np.searchsorted(sequences, g), np.searchsorted(sequences, g, "right")
-                for k in np.flatnonzero((hi > lo) & (w.doc[n - 1 :] == w.doc[: len(g)])) if len(g) else ():
-                    best.update({(int(w.doc[k]), int(item)): (1.0, 1.0, 1.0) for item in where[lo[k] : hi[k]]})
-            for index in indexes:
-                at = np.searchsorted(index.vocabulary, h)
-                at[at == len(index.vocabulary)] = 0
-                known = np.flatnonzero(index.vocabulary[at] == h)
-                doc, begin = _stretches(w.first, index.span)
-                bound = index.reach(begin[w.doc[known]] + place[known] // index.span, at[known], len(doc))
-                last = np.append(doc[1:] != doc[:-1], True) if len(doc) else np.zeros(0, bool)
-                both = bound.copy()
-                both[:-1] += np.where(last[:-1, None], 0, bound[1:])
-                for k in np.flatnonzero((both.max(1, initial=0) >= score - 1e-4) & (~last | (doc != np.roll(doc, 1)) | (len(doc) == 1))):
-                    lo = w.first[doc[k]] + (k - begin[doc[k]]) * index.span
-                    hi = min(lo + 2 * index.span, w.first[doc[k] + 1])
-                    terms = at[lo:hi][index.vocabulary[at[lo:hi]] == h[lo:hi]]
-                    found = index.search(np.unique(terms).tolist(), score)
-                    grams = _trigrams(h[lo:hi]) if found else None
-                    for which, got in found:
-                        item = index.names[which]
-                        q, a = (_share(x, grams) for x in parts[item])
-                        if q >= overlap and a >= overlap:
-                            key = (int(doc[k]), item)
-                            best[key] = max(best.get(key, (0.0, 0.0, 0.0)), (got, q, a))
-            docs = b.column("doc_id")
-            rows = sorted(best.items())
+            rows = sorted(_matches(b, shared.value, score, overlap).items())
             yield pa.RecordBatch.from_arrays(
-                [docs.take(pa.array([d for (d, _), _ in rows], pa.int64())), pa.array([names[i] for (_, i), _ in rows], pa.int64()), *(pa.array([round(x[k], 6) for _, x in rows], pa.float64()) for k in range(3))],
+                [b.column("doc_id").take(pa.array([d for (d, _), _ in rows], pa.int64())), pa.array([names[i] for (_, i), _ in rows], pa.int64()), *(pa.array([round(x[k], 6) for _, x in rows], pa.float64()) for k in range(3))],
                 ["doc_id", "item_id", "score", "question_overlap", "answer_overlap"],
             )
 
     return run
 
 
-def _item_blocks(benchmark: DataFrame) -> Iterator[list[tuple[int, str]]]:
-    """Items in blocks of bounded size, read one block at a time."""
-    items = benchmark.select("item_id", F.col("text").cast("string").alias("text")).where(F.col("text").isNotNull())
+def _leaver(shared, score: float, overlap: float):
+    """Rows without a match, all columns as they are."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in tx.blocks(batches):
+            stay = np.ones(b.num_rows, bool)
+            stay[[row for row, _ in _matches(b, shared.value, score, overlap)]] = False
+            yield b.filter(pa.array(stay))
+
+    return run
+
+
+def _hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Items to part, their length and their distinct terms; only those that are indexed."""
+    for b in batches:
+        got = [(p, h) for p, t in zip(b.column("part").to_pylist(), b.column("text").to_pylist(), strict=True) if len(h := _hashes(t)) >= MIN_WORDS]
+        yield pa.RecordBatch.from_arrays([pa.array([p for p, _ in got], pa.int32()), pa.array([len(h) for _, h in got], pa.int64()), pa.array([tx.signed(np.unique(h)) for _, h in got], pa.list_(pa.int64()))], ["part", "n", "terms"])
+
+
+def _indexes(benchmark: DataFrame) -> Iterator[tuple[list[tuple[int, str]], tuple]]:
+    """Items in blocks of bounded size, read one block at a time, with what ``build`` makes of each; counts are over all blocks."""
+    from blockgraph.llm.shared import cut
+
+    items = benchmark.select("item_id", F.col("text").cast("string").alias("text")).where(F.col("text").isNotNull()).distinct()
     size = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     blocks = -(-size // BLOCK_BYTES)
+    if blocks > 1:
+        items = cut(items.withColumn("part", F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)).cast("int")), "benchmark")
+        terms = cut(items.mapInArrow(_hashed, "part int, n long, terms array<long>"), "benchmark-terms")
+        many, words = terms.agg(F.count(F.lit(1)), F.coalesce(F.sum("n"), F.lit(0))).first()
+        each = terms.select("part", F.explode("terms").alias("t")).groupBy("t").agg(F.count(F.lit(1)).alias("df"), F.collect_set("part").alias("parts"))
+        each = cut(each, "benchmark-df")
     for k in range(blocks):
-        part = items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == k) if blocks > 1 else items
-        yield sorted((tuple(r) for r in part.distinct().collect()), key=lambda r: (r[0] is None, r[0] or 0, r[1]))
+        told = None
+        part = items
+        if blocks > 1:
+            part = items.where(F.col("part") == k).drop("part")
+            rows = each.where(F.array_contains("parts", k)).select("t", "df").toArrow()  # terms of one block
+            t, df = rows["t"].to_numpy().view(np.uint64), rows["df"].to_numpy()
+            order = np.argsort(t)
+            told = Counts(many, words, t[order], df[order])
+        got = sorted((tuple(r) for r in part.collect()), key=lambda r: (r[0] is None, r[0] or 0, r[1]))
+        built = build(got, told)
+        if built[0] or built[2]:
+            yield got, built
 
 
 def find(docs: DataFrame, benchmark: DataFrame, score: float = SCORE, overlap: float = OVERLAP) -> DataFrame:
@@ -258,19 +340,17 @@ def find(docs: DataFrame, benchmark: DataFrame, score: float = SCORE, overlap: f
     text) count once. Empty tables give an empty result."""
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), docs["text"].cast("string").alias("text"))
     out = None
-    for items in _item_blocks(benchmark):
-        built = build(items)
-        if built[0] or built[2]:
-            shared = docs.sparkSession.sparkContext.broadcast(built)
-            hits = texts.mapInArrow(_searcher(shared, [i for i, _ in items], score, overlap), SCHEMA)
-            out = hits if out is None else out.unionByName(hits)
+    for items, built in _indexes(benchmark):
+        shared = docs.sparkSession.sparkContext.broadcast(built)
+        hits = texts.mapInArrow(_searcher(shared, [i for i, _ in items], score, overlap), SCHEMA)
+        out = hits if out is None else out.unionByName(hits)
     return docs.sparkSession.createDataFrame([], SCHEMA) if out is None else out
 
 
 def remove(docs: DataFrame, benchmark: DataFrame, score: float = SCORE, overlap: float = OVERLAP) -> DataFrame:
-    """docs without the rows that hold an item; all their columns and, by key, null doc_ids too are judged alike."""
-    from blockgraph.llm.shared import cut, fresh, small
+    """docs without the rows that hold an item; all their columns stay. Each row is judged by its own text, whatever its doc_id.
 
-    key = fresh("doc_key", docs.columns)
-    held = cut(find(docs, benchmark, score, overlap).select(F.coalesce("doc_id", F.lit(-(2**63))).alias(key)).distinct(), "leaks")
-    return docs.join(small(held), F.coalesce(docs["doc_id"].cast("long"), F.lit(-(2**63))) == F.col(key), "left_anti")
+    Null and empty texts stay; repeated rows go or stay alike; an empty table of items takes nothing."""
+    for _, built in _indexes(benchmark):
+        docs = docs.mapInArrow(_leaver(docs.sparkSession.sparkContext.broadcast(built), score, overlap), docs.schema)
+    return docs

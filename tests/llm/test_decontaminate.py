@@ -37,12 +37,12 @@ def brute(items, rows):
             seen.add((i, t))
             classes.setdefault(max(16, 2 ** math.ceil(math.log2(len(w)))), []).append((i, t, w))
     trigrams = lambda w: {tuple(w[k : k + min(3, len(w))]) for k in range(len(w) - min(3, len(w)) + 1)}
+    every = [x for group in classes.values() for _, _, x in group]
+    df, mean = Counter(t for x in every for t in set(x)), sum(map(len, every)) / len(every)
     for row, (_, text) in enumerate(rows):
         w = words(lower(text))
         for span, group in classes.items():
-            df = Counter(t for _, _, x in group for t in set(x))
-            mean = sum(len(x) for _, _, x in group) / len(group)
-            weight = lambda t, x: math.log(1 + (len(group) - df[t] + 0.5) / (df[t] + 0.5)) * x.count(t) * 2.2 / (x.count(t) + 1.2 * (0.25 + 0.75 * len(x) / mean))  # noqa: B023, E731
+            weight = lambda t, x: math.log(1 + (len(every) - df[t] + 0.5) / (df[t] + 0.5)) * x.count(t) * 2.2 / (x.count(t) + 1.2 * (0.25 + 0.75 * len(x) / mean))
             for at in range(0, max(1, len(w) - span), span):
                 piece = w[at : at + 2 * span]
                 for i, t, x in group:
@@ -56,14 +56,30 @@ def brute(items, rows):
     return Counter((rows[row][0], i, *(round(v, 4) for v in x)) for (row, i), x in out.items())
 
 
-@pytest.mark.parametrize("block", [4, 16 << 20])
-def test_equals_brute_force(spark, monkeypatch, block):
-    monkeypatch.setattr(dc, "POSTINGS_BLOCK", min(block, 16))
+@pytest.mark.parametrize(("postings", "block", "cells"), [(4, 16 << 20, 100), (16, 2000, 4_000_000)])
+def test_equals_brute_force(spark, monkeypatch, postings, block, cells):
+    for name, value in (("POSTINGS_BLOCK", postings), ("BLOCK_BYTES", block), ("CELLS", cells)):
+        monkeypatch.setattr(dc, name, value)
     items, rows = items_and_rows()
     benchmark = spark.createDataFrame(items, "item_id long, text string")
     got = Counter((r[0], r[1], *(round(v, 4) for v in r[2:])) for r in dc.find(frame(spark, rows, ("item_id", "score")), benchmark).collect())
     assert got == brute(items, rows) and sum(got.values()) > 20
-    assert {r.doc_id for r in dc.remove(frame(spark, rows, ("doc_key",)), benchmark).collect()} == {d for d, _ in rows} - {d for d, *_ in got}
+    leaks = {t for d, t in rows for x in got if x[0] == d and d != 0 and d is not None} | {items[3][1]} | {t for d, t in rows if d == 0 and any(x[0] == 0 for x in got)}
+    kept = dc.remove(frame(spark, [*rows, (None, "clean words only")], ("doc_key",)), benchmark)
+    assert Counter((r.doc_id, r.text) for r in kept.collect()) == Counter((d, t) for d, t in [*rows, (None, "clean words only")] if t not in leaks)
+    assert kept.columns[-1] == "doc_key"
+
+
+def test_index_grows_with_the_postings():
+    r = random.Random(5)
+    sizes = []
+    for n in (500, 1000, 2000):
+        items = [(i, dc._hashes(" ".join(f"t{int(r.paretovariate(0.7)) % 20_000}" for _ in range(20)))) for i in range(n)]
+        index = dc.Index(items, 32)
+        postings = sum(len(set(h.tolist())) for _, h in items)
+        assert len(index.range_most) == len(index.range_of) <= postings == len(index.items)
+        sizes.append(sum(x.nbytes for x in (index.item, index.weight, index.range_most, index.range_of, index.range_start, index.vocabulary)) / postings)
+    assert max(sizes) < 1.5 * min(sizes)
 
 
 def test_items_of_few_words_count_as_whole_sequences(spark):
