@@ -56,12 +56,15 @@ def water_fill(sources: DataFrame, epochs: int = EPOCHS) -> DataFrame:
     return left.select("source", "source_size", "weight", F.coalesce(kept, F.col("first_free.level") * F.col("weight")).alias("target"))
 
 
-def mix(docs: DataFrame, epochs: int = EPOCHS, seed: str = SEED, weights=cyclic_weights) -> DataFrame:
-    """doc_id, source, size, source_size, target, taken of each row of docs (doc_id, source, text).
+def mix(docs: DataFrame, epochs: int = EPOCHS, seed: str = SEED, weights=cyclic_weights, carry: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id, source, size, source_size, target, taken of each row of docs (doc_id, source, text), and its columns named in carry.
 
     Null texts have size 0 and null sources form one source; a null doc_id draws like an empty one. Repeated rows are taken
     like any others. Each source's taken words add up to its target rounded; none exceeds epochs times its size."""
-    sized = docs.select("doc_id", "source", word_count(docs["text"]).alias("size"), draw(docs["doc_id"], seed).alias("u"))
+    if clash := {c.lower() for c in carry} & {"doc_id", "source", "size", "source_size", "target", "taken"}:
+        raise ValueError(f"{sorted(clash)} are columns of the result")
+    row = F.struct(*(docs[c] for c in carry)) if carry else F.lit(None).cast("string")
+    sized = docs.select("doc_id", "source", word_count(docs["text"]).alias("size"), draw(docs["doc_id"], seed).alias("u"), row.alias("row"))
     sized = cut(sized.withColumn("bin", F.shiftright("u", 60 - BIN_BITS).cast("int")), "mix-sizes")
     bins = sized.groupBy("source", "bin").agg(F.sum("size").alias("words"))
     goals = water_fill(weights(bins.groupBy("source").agg(F.sum("words").alias("source_size"))), epochs)
@@ -73,14 +76,14 @@ def mix(docs: DataFrame, epochs: int = EPOCHS, seed: str = SEED, weights=cyclic_
     reached = reached.where((F.col("below") <= F.col("more")) & (F.col("more") < F.col("below") + F.col("words")))
     plan = goals.alias("a").join(reached.select("b.source", F.col("bin").alias("last_bin"), "below").alias("b"), same, "left")
     plan = cut(plan.select(F.col("a.source").alias("source"), "source_size", "target", "whole", "more", F.coalesce("last_bin", F.lit(2**BIN_BITS)).alias("last_bin"), F.coalesce("below", F.lit(0)).alias("below")), "mix-plan")
-    each = sized.alias("a").join(small(plan.alias("b"), width=64), same).select("a.doc_id", "a.source", "size", "u", "bin", "source_size", "target", "whole", "more", "last_bin", "below")
+    each = sized.alias("a").join(small(plan.alias("b"), width=64), same).select("a.doc_id", "a.source", "size", "u", "bin", "source_size", "target", "whole", "more", "last_bin", "below", "row")
     plain = each.where(F.col("bin") != F.col("last_bin")).withColumn("extra", F.when(F.col("bin") < F.col("last_bin"), F.col("size")).otherwise(0))
     run = Window.partitionBy("source").orderBy("u", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
     edge = each.where(F.col("bin") == F.col("last_bin"))
     at = F.col("below") + F.coalesce(F.sum("size").over(run), F.lit(0))
     edge = edge.withColumn("extra", F.least("size", F.greatest(F.col("more") - at, F.lit(0))))
     out = plain.unionByName(edge)
-    return out.select("doc_id", "source", "size", "source_size", "target", (F.col("whole") * F.col("size") + F.col("extra")).cast("long").alias("taken"))
+    return out.select("doc_id", "source", "size", "source_size", "target", (F.col("whole") * F.col("size") + F.col("extra")).cast("long").alias("taken"), *(F.col(f"row.{c}").alias(c) for c in carry))
 
 
 #: The same rows by one plain window, for DuckDB; {docs} is the relation.

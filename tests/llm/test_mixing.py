@@ -49,6 +49,14 @@ def test_equals_sql(spark):
     assert sorted((tuple(r) for r in con.sql(mixing.MIX_SQL.format(docs="docs")).fetchall()), key=str) == got
 
 
+def test_carried_columns_stay_with_their_rows(spark):
+    data = corpus(5) + odd()
+    got = mixing.mix(frame(spark, data), carry=("text", "n_chars"))
+    assert sorted(((r.doc_id, r.text, r.n_chars) for r in got.collect()), key=str) == sorted(((d, t, None if t is None else len(t)) for d, t in data), key=str)
+    with pytest.raises(ValueError, match="size"):
+        mixing.mix(frame(spark, data, ("size",)), carry=("size",))
+
+
 def test_empty_and_wordless(spark):
     assert mixing.mix(frame(spark, [])).count() == 0
     assert [(r.target, r.taken) for r in mixing.mix(frame(spark, [(1, ""), (2, None)])).collect()] == [(0.0, 0)] * 2
