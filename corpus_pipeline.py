@@ -10,8 +10,7 @@ from blockgraph.llm.shared import cut, table
 
 def classified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps the documents that the quality classifier (operator 8) does not reject."""
-    weights = quality.fit(docs, table(spark, sf_dir, "labels"))
-    return quality.score(docs, weights).where("predicted = 1").select(*docs.columns)
+    return quality.keep_good(docs, quality.fit(docs, table(spark, sf_dir, "labels")))
 
 
 def without_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -25,13 +24,13 @@ def without_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def without_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents that hold a benchmark item (operator 5)."""
+    """Drops documents that hold a benchmark item (operator 5); each row is judged by its own text."""
     return decontaminate.remove(docs, table(spark, sf_dir, "benchmark"))
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """How many words of each document the mix of sources takes (operator 2)."""
-    return mixing.mix(docs)
+    """The documents with how many of their words the mix of sources takes (operator 2): taken of size, repetitions counted."""
+    return mixing.mix(docs, carry=tuple(c for c in docs.columns if c not in ("doc_id", "source")))
 
 
 STAGES = [("quality", classified), ("near-duplicates", without_near_duplicates), ("repeats", without_repeats), ("leaks", without_leaks), ("mix", mixed)]
@@ -40,7 +39,8 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages in turn; each stage's rows are written to the shared folder and read by the next."""
+    """The corpus after all stages in turn, texts included, for the caller to write; each stage's rows are written to the shared folder
+    and read by the next, and those folders go when the application ends."""
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
         docs = cut(stage(spark, docs, sf_dir), f"stage-{name}", free=True)
