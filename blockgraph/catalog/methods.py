@@ -11,7 +11,7 @@ from blockgraph.plans import costmodel as cm
 from blockgraph.plans import engine, layout as lay, metrics, schemes, simulate
 from blockgraph.registry import add, key
 from blockgraph.sources.graphs import GRAPHS, edges_cte
-from blockgraph.storage import cut, table
+from blockgraph.storage import cut, settings, table
 
 BETA = {"hetero": 128, "copart_thin": 16, "placed": 64, "weblinks": 64, "supply": 16, "copart": 16, "purchase": 16, "rmat": 32, "turns": 8, "dupdocs": 8, "transitions": 1, "usage": 8, "knn": 8}
 _graphs: dict = {}
@@ -148,6 +148,8 @@ def _rank(run: engine.Run) -> DataFrame:
 
 for _mode, _label in (("dense", "dense"), ("stream", "stream"), ("two_mode", "twomode")):
     add(f"pagerank_supply_{_label}", lambda spark, sf, m=_mode: _rank(alg.pagerank(graph(spark, sf, "supply"), 10, beta=16, scheme=m)), pagerank_sql("supply", 10))
+add("pagerank_mass_rmat", lambda spark, sf: _rank(alg.pagerank(graph(spark, sf, "rmat"), 3, beta=32, how="mass")), pagerank_sql("rmat", 3))
+add("pagerank_rmat_12", lambda spark, sf: _rank(alg.pagerank(graph(spark, sf, "rmat_12"), 1, beta=64)), pagerank_sql("rmat_12", 1))
 for _name in ("copart", "purchase", "rmat"):
     add(f"pagerank_{_name}", lambda spark, sf, n=_name: _rank(alg.pagerank(graph(spark, sf, n), 10, beta=BETA[n])), pagerank_sql(_name, 10))
 add("pagerank_hetero", lambda spark, sf: _rank(alg.pagerank(graph(spark, sf, "hetero"), 1, beta=128)), pagerank_sql("hetero", 1))
@@ -208,6 +210,24 @@ add("degrees_hetero", lambda spark, sf: alg.degrees(graph(spark, sf, "hetero")),
 _CLOSURE = f"WITH RECURSIVE {edges_cte('turns')}, r(a, b, hops) AS (SELECT id, id, 0 FROM v UNION ALL SELECT r.a, e.dst, r.hops + 1 FROM r JOIN e ON e.src = r.b)"
 add("diameter_turns", lambda spark, sf: alg.neighbourhood_exact(graph(spark, sf, "turns")).select("hops", "pairs"), _CLOSURE + ", h AS (SELECT hops, count(*) AS c FROM r GROUP BY 1) SELECT hops, (sum(c) OVER (ORDER BY hops))::BIGINT AS pairs FROM h")
 add("neighbourhood_fn", lambda spark, sf: spark.createDataFrame(alg.neighbourhood_sketch(graph(spark, sf, "turns"), beta=8), "hops int, pairs double"))
+@key("diameter_effective_turns", _CLOSURE + """, h AS (SELECT hops, count(*) AS c FROM r GROUP BY 1), m AS (SELECT hops, sum(c) OVER (ORDER BY hops) AS pairs, sum(c) OVER () AS whole FROM h),
+f AS (SELECT min(hops) AS hops FROM m WHERE pairs >= 0.9::DOUBLE * whole)
+SELECT round(CASE WHEN f.hops = 0 THEN 0 ELSE f.hops - 1 + (0.9::DOUBLE * a.whole - b.pairs) / (a.pairs - b.pairs) END, 9)::DOUBLE AS effective, (SELECT max(hops) FROM m)::BIGINT AS diameter
+FROM f JOIN m a ON a.hops = f.hops LEFT JOIN m b ON b.hops = f.hops - 1""")
+def diameter_effective(spark, sf):
+    return spark.createDataFrame([alg.diameter(graph(spark, sf, "turns"), exact=True)], "effective double, diameter long").withColumn("effective", F.round("effective", 9))
+
+
+@key("diameter_sketch_turns", "SELECT true AS diameter_ok, true AS effective_ok, true AS pairs_ok")
+def diameter_sketch(spark, sf):
+    """The sketched neighbourhood function against the exact one: same diameter, effective diameter within one hop, pairs within 30 %."""
+    g = graph(spark, sf, "turns")
+    exact = [float(r.pairs) for r in alg.neighbourhood_exact(g).orderBy("hops").collect()]
+    grown = alg.neighbourhood_sketch(g, registers=32, beta=8)
+    (effective, last), (about, reach) = alg.effective_diameter(list(enumerate(exact))), alg.effective_diameter(grown)
+    return spark.createDataFrame([(reach == last, abs(about - effective) <= 1, all(abs(m / exact[min(h, len(exact) - 1)] - 1) < 0.3 for h, m in grown))], "diameter_ok boolean, effective_ok boolean, pairs_ok boolean")
+
+
 add("triangles_exact", lambda spark, sf: alg.triangles(graph(spark, sf, "copart_thin")), f"WITH {edges_cte('copart_thin', True)}, u AS (SELECT src, dst FROM e WHERE src < dst) SELECT count(*)::BIGINT AS triangles FROM u a JOIN u b ON a.src = b.src JOIN u c ON c.src = a.dst AND c.dst = b.dst")
 
 add("triangles_copart", lambda spark, sf: alg.triangles(graph(spark, sf, "copart")), f"WITH {edges_cte('copart', True)}, u AS (SELECT src, dst FROM e WHERE src < dst) SELECT count(*)::BIGINT AS triangles FROM u a JOIN u b ON a.src = b.src JOIN u c ON c.src = a.dst AND c.dst = b.dst")
@@ -223,19 +243,23 @@ def power_sql(name: str, iters: int) -> str:
 
 
 add("power_iteration_copart", lambda spark, sf: spark.createDataFrame([(lanczos.power_iteration(graph(spark, sf, "copart"), 6),)], "v double").select(F.round("v", 4).alias("lambda1")), power_sql("copart", 6))
-add("lanczos_copart_top", lambda spark, sf: spark.createDataFrame([(i + 1, round(float(v), 3)) for i, v in enumerate(lanczos.eigenpairs(graph(spark, sf, "copart"), 20, 30).values[:20])], "rank int, eigenvalue double"))
+@key("lanczos_copart_top")
+def lanczos_copart_top(spark, sf):
+    """The 20 eigenvalues of largest magnitude after 30 steps, and whether each has converged by its residual bound. All 20 do with
+    ``tol`` in place of a number of steps, which takes some hundreds of them on this graph."""
+    found = lanczos.eigenpairs(graph(spark, sf, "copart"), 20, 30)
+    return spark.createDataFrame([(i + 1, round(float(v), 3), bool(r <= 1e-6 * abs(v))) for i, (v, r) in enumerate(zip(found.values, found.residuals, strict=True))], "rank int, eigenvalue double, converged boolean")
 
 
 @key("lanczos_residual_ok", "SELECT unnest(['selective', 'full']) AS reorth, true AS top_residual_ok, true AS basis_ok")
 def lanczos_residual_ok(spark, sf):
-    g, rows = graph(spark, sf, "transitions"), []
-    from blockgraph.sources.graphs import Graph
-
-    both = Graph("t", g.n, cut(g.edges.select("src", "dst", "w").union(g.edges.select("dst", "src", "w")).groupBy("src", "dst").agg(F.sum("w").alias("w")), "symmetric"), True)
+    """The leading pair and the basis of the co-purchase graph after a few steps, by both ways of keeping vectors apart."""
+    g, rows = graph(spark, sf, "copart"), []
+    matrix = lanczos.Matrix(g)
     for reorth in ("selective", "full"):
-        found = lanczos.eigenpairs(both, 1, 5, reorth)
-        apply = lanczos.product(both.edges, True)
-        rows.append((reorth, metrics.residual(apply, found.vectors()[0], float(found.values[0])) < 1e-6, metrics.ortho_loss(found.basis) < 1e-6))
+        found = lanczos.eigenpairs(g, 1, reorth=reorth, tol=1e-6, matrix=matrix)
+        rows.append((reorth, lanczos.residuals(matrix, found)[0] < 2e-6, metrics.ortho_loss(found.basis) < 1e-6))
+    matrix.drop()
     return spark.createDataFrame(rows, "reorth string, top_residual_ok boolean, basis_ok boolean")
 
 
@@ -252,8 +276,10 @@ add("triangles_spectral", lambda spark, sf: spark.createDataFrame([(lanczos.tria
 
 @key("tensor_cp_als")
 def tensor_cp_als(spark, sf):
-    counts = table(spark, sf, "orders").join(table(spark, sf, "lineitem"), F.col("o_orderkey") == F.col("l_orderkey")).groupBy((F.col("o_custkey") % 40).alias("i"), (F.col("l_partkey") % 40).alias("j"), (F.col("l_suppkey") % 10).alias("k")).agg(F.count(F.lit(1)).cast("double").alias("x"))
-    return spark.createDataFrame([(alg.cp_als(cut(counts, "tensor"), 2, 2)[1],)], "explained double")
+    """Customers, parts and suppliers of all lines: rank 2, explained share and rows of the factors."""
+    counts = table(spark, sf, "orders").join(table(spark, sf, "lineitem"), F.col("o_orderkey") == F.col("l_orderkey")).groupBy(F.col("o_custkey").alias("i"), F.col("l_partkey").alias("j"), F.col("l_suppkey").alias("k")).agg(F.count(F.lit(1)).cast("double").alias("x"))
+    factors, told = alg.cp_als(cut(counts, "tensor"), 2, 2)
+    return spark.createDataFrame([(m, f.count(), told) for m, f in factors.items()], "mode string, rows long, explained double")
 
 
 def _balances(spark, sf):
@@ -271,6 +297,31 @@ add("vec_gram", lambda spark, sf: vo.gram([*_balances(spark, sf)]).select("i", "
 for _name in ("sorted_shards", "scatter_gather", "adjacency_index", "cached_dedicated", "uniform_grid", "naive"):
     add(f"baseline_{_name}", lambda spark, sf, n=_name: getattr(baselines, n)(graph(spark, sf, "supply"), 3).select("id", F.round(F.col("rank") + 1e-9, 6).alias("rank")), pagerank_sql("supply", 3))
 
+@key("wcc_scatter_gather_placed", wcc_sql("placed", 3))
+def wcc_scatter(spark, sf):
+    """Components by the stand-in that scans, writes and reads all updates in every iteration."""
+    return baselines.wcc_scatter_gather(graph(spark, sf, "placed"))
+
+
+add("wcc_dedicated_placed", lambda spark, sf: baselines.wcc_dedicated(graph(spark, sf, "placed")), wcc_sql("placed", 3))
+
+
+@key("plan_scans", "SELECT plan, scans::INT AS scans FROM (VALUES ('dense', 2), ('stream', 2), ('scatter_gather', 3)) t(plan, scans)")
+def plan_scans(spark, sf):
+    """File scans of vertex values and edges in one iteration: of the two paths once each, of the stand-in that writes its updates three."""
+    g = graph(spark, sf, "supply")
+    rows = []
+    with settings(spark, **engine.PLAN):
+        for mode in ("dense", "stream"):
+            layout = lay.build(g, 16, mode)
+            prog = alg.pagerank_program(g.n)
+            values, _ = engine.generation(layout, engine.start(layout, prog))
+            path = schemes.dense(layout, values, prog) if mode == "dense" else schemes.emit(layout, values, prog)
+            rows.append((mode, metrics.scans(path.drop("p"), ("edges", "generation"))))
+    rows.append(("scatter_gather", baselines.scatter_gather_scans(g)))
+    return spark.createDataFrame(rows, "plan string, scans int")
+
+
 # --- cost, simulation -------------------------------------------------------------------------------------------------
 _PAPER = "(VALUES " + ", ".join(f"('{g}', {v}::DOUBLE, {e}::DOUBLE)" for g, v, e in simulate.PAPER_GRAPHS) + ") t(graph, v, e)"
 add("cost_graph_dense", lambda spark, sf: simulate.paper_graphs(spark).crossJoin(F.broadcast(spark.createDataFrame([(float(b),) for b in (1, 4, 23, 64)], "beta double"))).select("graph", "beta", cm.dense_graph(F.col("v"), F.col("e"), F.col("beta")).alias("cost")), f"SELECT graph, beta, (beta * v + v + e) + beta * beta AS cost FROM {_PAPER}, (SELECT unnest([1.0::DOUBLE, 4, 23, 64]) AS beta)")
@@ -291,6 +342,18 @@ def cost_twomode(spark, sf):
     return cm.two_mode_cost(modes(spark, sf, "hetero"), 128, lay.width_of(g.n, 128)).select(F.lit("hetero").alias("graph"), F.lit(128).alias("beta"), *(F.round(c, 3).alias(c) for c in ("dense", "stream", "two_mode")))
 
 
+@key("cost_transfers_seeks", "SELECT graph, scheme, CASE scheme WHEN 'dense' THEN (24 * v + e) / 4096 ELSE (2 * v + 3 * e) / 4096 END AS transfers, CASE scheme WHEN 'dense' THEN 529.0::DOUBLE ELSE 23.0::DOUBLE END AS seeks FROM (VALUES " + ", ".join(f"('{g}', {v}::DOUBLE, {e}::DOUBLE)" for g, v, e in simulate.PAPER_GRAPHS) + ") t(graph, v, e), (SELECT unnest(['dense', 'stream']) AS scheme)")
+def cost_transfers(spark, sf):
+    """Transferred blocks of 4096 elements and jumps, apart, for 23 intervals."""
+    rows = [(g, s, cm.graph_io(s, v, e, 23, 4096)) for g, v, e in simulate.PAPER_GRAPHS for s in ("dense", "stream")]
+    return spark.createDataFrame([(g, s, float(c.transfers), float(c.seeks)) for g, s, c in rows], "graph string, scheme string, transfers double, seeks double")
+
+
+@key("layout_beta_cluster", "SELECT v, greatest(1, ceil(4.0::DOUBLE * 5 * v / (gib * 1073741824::DOUBLE * 0.5)))::BIGINT AS beta FROM (SELECT unnest([1000000000, 100000000000])::BIGINT AS v), (SELECT 32 AS gib)")
+def layout_beta_cluster(spark, sf):
+    return spark.createDataFrame([(v, cm.num_intervals_cluster(v, 4, 4, 32 * 2**30)) for v in (10**9, 10**11)], "v long, beta long")
+
+
 @key("criterion_equivalence", "SELECT 0::BIGINT AS disagreements")
 def criterion_equivalence(spark, sf):
     """Over a grid, in whole numbers: criterion < 1 exactly where the streamed block costs less."""
@@ -310,13 +373,16 @@ add("tcost_memory_paper", lambda spark, sf: simulate.memory_curve(simulate.paper
     f"WITH g AS (SELECT graph, gib, v, e, greatest(1, ceil(20 * v / (gib * 1073741824))) AS beta FROM {_PAPER}, (SELECT unnest({_GIB}::DOUBLE[]) AS gib)), c AS (SELECT graph, gib, ((beta + 1) * v + e) / (2 * v + e) AS d, (2 * v + 3 * e) / (2 * v + e) AS s FROM g) SELECT graph, gib, scheme, round({_TCOST}, 6) AS tcost FROM c, (SELECT unnest(['dense', 'stream', 'two_mode']) AS scheme)")
 
 
-@key("tcost_memory_ours", " UNION ALL ".join(
-    f"(WITH {blocks_sql(n, b)}, c AS (SELECT width::DOUBLE * 4 * (1 + 1.0::DOUBLE / {b}) + xi * 8 AS d, 2 * width::DOUBLE * 4 / {b} + 2 * xi * 12 + xi * 8 AS s FROM b, k), t AS (SELECT sum(d) AS dense, sum(s) AS stream, sum(least(d, s)) AS two_mode FROM c) SELECT '{n}' AS graph, {b} AS beta, scheme, round(CASE scheme WHEN 'dense' THEN dense WHEN 'stream' THEN stream ELSE two_mode END, 3) AS tcost FROM t, (SELECT unnest(['dense', 'stream', 'two_mode']) AS scheme))"
-    for n in ("hetero", "copart_thin") for b in (4, 16, 64)))
-def tcost_ours(spark, sf):
+def _ours(graphs, betas):
+    return " UNION ALL ".join(
+        f"(WITH {blocks_sql(n, b)}, c AS (SELECT width::DOUBLE * 4 * (1 + 1.0::DOUBLE / {b}) + xi * 8 AS d, 2 * width::DOUBLE * 4 / {b} + 2 * xi * 12 + xi * 8 AS s FROM b, k), t AS (SELECT sum(d) AS dense, sum(s) AS stream, sum(least(d, s)) AS two_mode FROM c) SELECT '{n}' AS graph, {b} AS beta, scheme, round(CASE scheme WHEN 'dense' THEN dense WHEN 'stream' THEN stream ELSE two_mode END, 3) AS tcost FROM t, (SELECT unnest(['dense', 'stream', 'two_mode']) AS scheme))"
+        for n in graphs for b in betas)
+
+
+def _ours_rows(spark, sf, graphs, betas):
     out = None
-    for n in ("hetero", "copart_thin"):
-        for b in (4, 16, 64):
+    for n in graphs:
+        for b in betas:
             g = graph(spark, sf, n)
             one = cm.two_mode_cost(modes(spark, sf, n, b), b, lay.width_of(g.n, b)).unpivot([], ["dense", "stream", "two_mode"], "scheme", "cost")
             one = one.select(F.lit(n).alias("graph"), F.lit(b).alias("beta"), "scheme", F.round("cost", 3).alias("tcost"))
@@ -324,6 +390,8 @@ def tcost_ours(spark, sf):
     return out
 
 
+add("tcost_memory_ours", lambda spark, sf: _ours_rows(spark, sf, ("hetero", "copart_thin"), (4, 16, 64)), _ours(("hetero", "copart_thin"), (4, 16, 64)))
+add("tcost_density_ours", lambda spark, sf: _ours_rows(spark, sf, ("copart_thin", "weblinks", "knn", "usage"), (2, 8, 16)), _ours(("copart_thin", "weblinks", "knn", "usage"), (2, 8, 16)))
 add("tcost_density", lambda spark, sf: simulate.density_curve(spark, [3, 5, 10, 30], [1, 2, 5, 10, 20, 50, 100, 150]).select("k", "beta", "scheme", F.round("tcost", 6).alias("tcost"), "chosen"),
     "WITH g AS (SELECT k, beta, (beta + 1 + k) / (2 + k) AS d, (2 + 3 * k) / (2 + k) AS s FROM (SELECT unnest([3, 5, 10, 30]::DOUBLE[]) AS k), (SELECT unnest([1, 2, 5, 10, 20, 50, 100, 150]::DOUBLE[]) AS beta)) SELECT k, beta, scheme, round(CASE scheme WHEN 'dense' THEN d WHEN 'stream' THEN s ELSE least(d, s) END, 6) AS tcost, CASE WHEN s < d THEN 'stream' ELSE 'dense' END AS chosen FROM g, (SELECT unnest(['dense', 'stream', 'two_mode']) AS scheme)")
 add("crossover", lambda spark, sf: simulate.grid(spark, k=[3, 5, 10, 30], psi=[4, 8]).select("k", "psi", cm.crossover(F.col("k"), 4, F.col("psi")).cast("double").alias("beta_star"), cm.crossover_elements(F.col("k")).cast("double").alias("beta_star_elements")), "SELECT k, psi, (1 + 2 * k * (1 + psi / 4.0))::DOUBLE AS beta_star, (1 + 2 * k)::DOUBLE AS beta_star_elements FROM (SELECT unnest([3, 5, 10, 30])::BIGINT AS k), (SELECT unnest([4, 8])::BIGINT AS psi)")

@@ -72,7 +72,7 @@ def wcc(g: Graph, method: str = "auto", max_iter: int = 10_000, memory: float =
     if method == "unionfind":
         return _unionfind(g)
     if method == "contract":
-        found = components(g.edges, "src", "dst")
+        found = components(g.edges, "src", "dst", small=0)
         return g.vertices.join(found.withColumnRenamed("node", "id"), "id", "left").select("id", F.coalesce("component", "id").alias("label"))
     raise ValueError(method)
 
@@ -91,11 +91,12 @@ def _unionfind(g: Graph, fan: int = 8) -> DataFrame:
     """One pass over the edges: every task keeps a forest of at most n edges; forests meet in a tree of ``fan`` at a time.
 
     For graphs whose vertices fit one task (``fits``); larger ones take the iterative or the contracting way."""
-    now = g.edges.select("src", "dst").mapInArrow(_forests, "src long, dst long")
-    parts = g.edges.rdd.getNumPartitions()
-    while parts > 1:
+    spark = g.edges.sparkSession
+    parts = max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    now = g.edges.select("src", "dst").repartition(parts).mapInArrow(_forests, "src long, dst long")
+    while parts > 1:  # an exchange at every level, so that its forests are made by as many tasks
         parts = -(-parts // fan)
-        now = now.coalesce(parts).mapInArrow(_forests, "src long, dst long")
+        now = now.repartition(parts).mapInArrow(_forests, "src long, dst long")
     return g.vertices.join(now.withColumnRenamed("src", "id"), "id", "left").select("id", F.coalesce("dst", "id").alias("label"))
 
 
@@ -173,6 +174,11 @@ def neighbourhood_sketch(g: Graph, registers: int = 16, max_hops: int = 10_000,
 def diameter(g: Graph, quantile: float = 0.9, exact: bool = False, max_hops: int = 10_000, **options) -> tuple[float, int]:
     """Effective diameter (hops within which ``quantile`` of all reachable pairs lie, interpolated) and the largest hop count."""
     grown = [(r.hops, float(r.pairs)) for r in neighbourhood_exact(g, max_hops).orderBy("hops").collect()] if exact else neighbourhood_sketch(g, max_hops=max_hops, **options)
+    return effective_diameter(grown, quantile)
+
+
+def effective_diameter(grown: list[tuple[int, float]], quantile: float = 0.9) -> tuple[float, int]:
+    """The same from a neighbourhood function."""
     goal = quantile * grown[-1][1]
     last = next(h for h, m in grown if m >= grown[-1][1])
     h, m = next((h, m) for h, m in grown if m >= goal)
@@ -190,27 +196,36 @@ def triangles(g: Graph) -> DataFrame:
     return a.join(b, "src").join(c, ["x", "y"]).agg(F.count(F.lit(1)).alias("triangles"))
 
 
-def cp_als(counts: DataFrame, rank: int = 2, iters: int = 5, seed: int = 1) -> tuple[list[np.ndarray], float]:
-    """Rank-``rank`` canonical decomposition of counts(i, j, k, x) by alternating least squares: factor matrices and the share of
-    the norm that is explained. Each half-step is one join with the two other factors and a grouped sum; normal equations are rank x rank."""
-    spark, modes = counts.sparkSession, ["i", "j", "k"]
-    sizes = [r + 1 for r in counts.agg(*(F.max(m) for m in modes)).first()]
-    rng = np.random.default_rng(seed)
-    factors = [rng.random((s, rank)) for s in sizes]
+def cp_als(counts: DataFrame, rank: int = 2, iters: int = 5, seed: int = 1) -> tuple[dict[str, DataFrame], float]:
+    """Rank-``rank`` canonical decomposition of counts(i, j, k, x) over ids of any size by alternating least squares: factor tables
+    (id, f0, f1 ...) by mode, and the share of the norm that is explained.
+
+    Each half-step is one join with the two other factors and a grouped sum; rows times the inverse of a rank x rank matrix are the new
+    factor, so only rank * rank numbers are ever on the driver. Ids without an entry have factors of zero and no row."""
+    modes, names = ["i", "j", "k"], [f"f{c}" for c in range(rank)]
     total = counts.agg(F.sum(F.col("x") * F.col("x"))).first()[0]
-    told = 0.0
+    if not total:
+        return {m: counts.select(F.col(m).alias("id"), *(F.lit(0.0).alias(f) for f in names)) for m in modes}, 0.0
+
+    def gram(table: DataFrame) -> np.ndarray:
+        return np.array(table.agg(*(F.sum(F.col(a) * F.col(b)) for a in names for b in names)).first(), float).reshape(rank, rank)
+
+    unit = lambda m, c: F.pmod(F.xxhash64("id", F.lit(f"{seed}:{m}:{c}")), F.lit(2**30)) / 2.0**30
+    factors = {m: cut(counts.select(F.col(m).alias("id")).distinct().select("id", *(unit(m, c).alias(f) for c, f in enumerate(names))), f"factor-{m}") for m in modes}
+    grams, told = {m: gram(factors[m]) for m in modes}, 0.0
     for _ in range(iters):
-        for m in range(3):
-            others = [o for o in range(3) if o != m]
-            joined = counts
-            for o in others:
-                rows = spark.createDataFrame([(int(r), *map(float, f)) for r, f in enumerate(factors[o])], f"{modes[o]} long, " + ", ".join(f"{modes[o]}{c} double" for c in range(rank)))
-                joined = joined.join(rows, modes[o])
-            sums = joined.groupBy(modes[m]).agg(*(F.sum(F.col("x") * F.col(f"{modes[others[0]]}{c}") * F.col(f"{modes[others[1]]}{c}")).alias(f"s{c}") for c in range(rank)))
-            right = np.zeros((sizes[m], rank))
-            for row in sums.toLocalIterator():
-                right[row[0]] = row[1:]
-            left = (factors[others[0]].T @ factors[others[0]]) * (factors[others[1]].T @ factors[others[1]])
-            factors[m] = right @ np.linalg.pinv(left)
-            told = (2 * (right * factors[m]).sum() - (left * (factors[m].T @ factors[m])).sum()) / total
+        for m in modes:
+            a, b = (o for o in modes if o != m)
+            met = counts
+            for o in (a, b):
+                met = met.join(factors[o].select(F.col("id").alias(o), *(F.col(f).alias(f"{o}{f}") for f in names)), o)
+            sums = met.groupBy(F.col(m).alias("id")).agg(*(F.sum(F.col("x") * F.col(f"{a}{f}") * F.col(f"{b}{f}")).alias(f"s{c}") for c, f in enumerate(names)))
+            left = grams[a] * grams[b]
+            inverse = np.linalg.pinv(left)
+            new = sums.select("id", *(sum((float(inverse[r, c]) * F.col(f"s{r}") for r in range(rank)), F.lit(0.0)).alias(f) for c, f in enumerate(names)), *(f"s{c}" for c in range(rank)))
+            new = cut(new, f"factor-{m}")
+            both = new.agg(F.sum(sum((F.col(f"s{c}") * F.col(f) for c, f in enumerate(names)), F.lit(0.0)))).first()[0]
+            factors[m] = new.select("id", *names)
+            grams[m] = gram(factors[m])
+            told = (2 * both - float((left * grams[m]).sum())) / total
     return factors, float(told)

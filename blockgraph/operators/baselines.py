@@ -1,4 +1,4 @@
-"""Stand-ins for the systems compared with: the same PageRank result from different physical plans.
+"""Stand-ins for the systems compared with: the same PageRank or components from different physical plans.
 
 What is known of the systems is little (properties only); each stand-in keeps its stated property and nothing else."""
 
@@ -7,8 +7,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockgraph.operators.algorithms import pagerank
 from blockgraph.plans import layout as lay
+from blockgraph.plans import metrics
 from blockgraph.sources.graphs import Graph
 from blockgraph.storage import cut
 
@@ -41,13 +41,52 @@ def sorted_shards(g: Graph, iters: int, beta: int = 16) -> DataFrame:
     return v
 
 
+def _scattered(e: DataFrame, v: DataFrame) -> DataFrame:
+    return e.join(v.withColumnRenamed("id", "src"), "src").select(F.col("dst").alias("id"), (F.col("rank") / F.col("outdeg")).alias("u"))
+
+
 def scatter_gather(g: Graph, iters: int) -> DataFrame:
     """B2: every iteration reads all edges, writes one update per edge, reads all updates; nothing is combined before."""
     e = cut(g.edges.join(_degrees(g), "src").select("src", "dst", "outdeg"), "edges")
     v = g.vertices.withColumn("rank", F.lit(1.0))
     for _ in range(iters):
-        updates = cut(e.join(v.withColumnRenamed("id", "src"), "src").select(F.col("dst").alias("id"), (F.col("rank") / F.col("outdeg")).alias("u")), "updates")
-        v = cut(_finish(g, updates.groupBy("id").agg(F.sum("u").alias("acc"))), "gathered")
+        v = cut(_finish(g, cut(_scattered(e, v), "updates").groupBy("id").agg(F.sum("u").alias("acc"))), "gathered")
+    return v
+
+
+def scatter_gather_scans(g: Graph) -> int:
+    """File scans of one iteration of B2: edges and values to scatter, updates to gather."""
+    e = cut(g.edges.join(_degrees(g), "src").select("src", "dst", "outdeg"), "edges")
+    sent = _scattered(e, cut(g.vertices.withColumn("rank", F.lit(1.0)), "gathered"))
+    return metrics.scans(sent) + metrics.scans(cut(sent, "updates").groupBy("id").agg(F.sum("u").alias("acc")))
+
+
+def _symmetric(g: Graph) -> DataFrame:
+    return g.symmetric().edges.select("src", "dst")
+
+
+def wcc_scatter_gather(g: Graph) -> DataFrame:
+    """B2's components: smallest labels, iterated; every iteration writes and reads one update per edge."""
+    e, v, moved = cut(_symmetric(g), "edges"), cut(g.vertices.withColumn("label", F.col("id")), "labels"), 1
+    while moved:
+        updates = cut(e.join(v.withColumnRenamed("id", "src"), "src").select(F.col("dst").alias("id"), F.col("label").alias("u")), "updates")
+        new = v.join(updates.groupBy("id").agg(F.min("u").alias("u")), "id", "left").select("id", F.least("label", "u").alias("label"), F.col("label").alias("old"))
+        new = cut(new, "labels")
+        moved = new.where("label <> old").limit(1).count()
+        v = new.drop("old")
+    return v
+
+
+def wcc_dedicated(g: Graph) -> DataFrame:
+    """B4's components: a plan for this algorithm alone, edges kept in memory as far as it goes."""
+    e = _symmetric(g).persist()
+    v, moved = cut(g.vertices.withColumn("label", F.col("id")), "labels"), 1
+    while moved:
+        least = e.join(v.withColumnRenamed("id", "src"), "src").groupBy(F.col("dst").alias("id")).agg(F.min("label").alias("u"))
+        new = cut(v.join(least, "id", "left").select("id", F.least("label", "u").alias("label"), F.col("label").alias("old")), "labels")
+        moved = new.where("label <> old").limit(1).count()
+        v = new.drop("old")
+    e.unpersist()
     return v
 
 
@@ -74,5 +113,11 @@ def cached_dedicated(g: Graph, iters: int) -> DataFrame:
 
 
 def uniform_grid(g: Graph, iters: int, beta: int = 16) -> DataFrame:
-    """B5: a two-dimensional grid, every block that is not empty treated as dense."""
-    return pagerank(g, iters, beta=beta, scheme="dense").values
+    """B5: a two-dimensional grid of blocks, each folded by itself; the parts of a column are then added up. No block is classified."""
+    e = cut(lay.blocked(g.edges.join(_degrees(g), "src"), g.n, beta).repartition("p", "q"), "grid")
+    v = g.vertices.withColumn("rank", F.lit(1.0))
+    for _ in range(iters):
+        here = lay.assign_intervals(v, "id", g.n, beta).withColumnRenamed("id", "src")
+        blocks = e.join(here, ["p", "src"]).groupBy("p", "q", "dst").agg(F.sum(F.col("rank") / F.col("outdeg")).alias("part"))
+        v = cut(_finish(g, blocks.groupBy(F.col("dst").alias("id")).agg(F.sum("part").alias("acc"))), "grid-values")
+    return v

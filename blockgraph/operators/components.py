@@ -1,7 +1,7 @@
 """Connected components of an edge table by alternating large and small stars; every step is a grouped minimum and a join.
 
-An edge table of at most ``SMALL`` rows (counted first) is settled by one task that holds a forest of its vertices instead: the
-same labels in one step."""
+An edge table of at most ``small`` rows (counted first; ``SMALL`` unless the caller says otherwise, 0 for never) is settled by one task
+that holds a forest of its vertices instead: the same labels in one step."""
 
 from __future__ import annotations
 
@@ -61,10 +61,13 @@ def _is_stars(edges: DataFrame) -> bool:
     return not ends.groupBy("x").agg(F.sum("leaf").alias("leaf"), F.max("middle").alias("middle")).where("leaf + middle > 1").limit(1).count()
 
 
-def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
-    """node, component (its smallest node) for every node with an edge to another one."""
+def components(edges: DataFrame, a: str = "a", b: str = "b", small: int | None = None) -> DataFrame:
+    """node, component (its smallest node) for every node with an edge to another one.
+
+    Null ends are no edges; an empty table gives an empty one."""
+    small = SMALL if small is None else small
     now = cut(edges.select(F.greatest(a, b).alias("a"), F.least(a, b).alias("b")).where("a > b").distinct(), "stars")
-    if now.limit(SMALL + 1).count() <= SMALL:
+    if small and now.limit(small + 1).count() <= small:
         return cut(now.coalesce(1).mapInArrow(_forest, "node long, component long"), "components")
     while not _is_stars(now):
         now = cut(_stars(_stars(now, True), False), "stars")

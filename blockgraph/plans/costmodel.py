@@ -91,16 +91,17 @@ def zigzag_loads(beta):
     return beta * beta - beta + 1
 
 
-def classify(blocks: DataFrame, beta: int, width: int, phi: int = PHI, psi: int = PSI, rule: str = "printed") -> DataFrame:
+def classify(blocks: DataFrame, beta: int, width: int | Column, phi: int = PHI, psi: int = PSI, rule: str = "printed") -> DataFrame:
     """blocks(p, q, xi[, s, d]) with ``crit`` and ``mode``.
 
     printed: the paper's test. argmin: the cheaper of the two block costs (the same decision). network: the fewer bytes to
     exchange, from the distinct sources s and destinations d of a block."""
-    crit = criterion(F.col("xi"), F.lit(float(width)), F.lit(float(beta)), phi, psi)
+    theta = width if isinstance(width, Column) else F.lit(float(width))
+    crit = criterion(F.col("xi"), theta, F.lit(float(beta)), phi, psi)
     if rule == "printed":
         sparse = crit < 1
     elif rule == "argmin":
-        sparse = stream_block(F.col("xi"), float(width), float(beta), phi, psi) < dense_block(F.col("xi"), float(width), float(beta), phi, psi)
+        sparse = stream_block(F.col("xi"), theta, float(beta), phi, psi) < dense_block(F.col("xi"), theta, float(beta), phi, psi)
     elif rule == "network":
         sparse = F.col("d") <= F.col("s")
     else:

@@ -14,7 +14,8 @@ from blockgraph.sources.graphs import Graph
 from blockgraph.storage import cut, drop_path, own_path, settings
 
 #: Edges and slices of one interval share their partitioning by q or p alone; nothing of the size of the graph is broadcast by guess.
-PLAN = {"spark__sql__requireAllClusterKeysForCoPartition": "false", "spark__sql__autoBroadcastJoinThreshold": "-1"}
+#: Dense buckets are written sorted, and read as such.
+PLAN = {"spark__sql__requireAllClusterKeysForCoPartition": "false", "spark__sql__autoBroadcastJoinThreshold": "-1", "spark__sql__legacy__bucketedTableScan__outputOrdering": "true"}
 
 
 class Run:
@@ -74,10 +75,23 @@ def iterate(layout: Layout, prog: VertexProgram, iters: int, stop_when_stable: b
     return Run(values.select("id", *prog.init), done, changed)
 
 
-def run(graph: Graph, prog: VertexProgram, iters: int, beta: int | None = None, scheme: str = "two_mode", memory: float = 2**30, threads: int = 4, rule: str = "printed", **options) -> Run:
-    """Lays the graph out in beta intervals (from the memory if not given) and iterates."""
-    beta = beta or costmodel.num_intervals(graph.n, costmodel.PHI, threads, memory)
-    layout = lay.build(graph, beta, scheme, rule)
+def intervals_for(graph: Graph, memory: float, threads: int) -> int:
+    """The number of intervals: by the executors' memory and cores where Spark names them, else by memory and threads."""
+    conf = graph.edges.sparkSession.sparkContext.getConf()
+    said = conf.get("spark.executor.memory", None)
+    if not said or conf.get("spark.master", "").startswith("local["):
+        return costmodel.num_intervals(graph.n, costmodel.PHI, threads, memory)
+    number, unit = said.rstrip("bB"), 2**20
+    if number[-1].lower() in "kmgt":
+        number, unit = number[:-1], 1024 ** ("kmgt".index(number[-1].lower()) + 1)
+    return costmodel.num_intervals_cluster(graph.n, costmodel.PHI, int(conf.get("spark.executor.cores", "1")), int(number) * unit)
+
+
+def run(graph: Graph, prog: VertexProgram, iters: int, beta: int | None = None, scheme: str = "two_mode", memory: float = 2**30, threads: int = 4, rule: str = "printed", how: str = "width", **options) -> Run:
+    """Lays the graph out in beta intervals and iterates. Without beta: as many as a machine of ``memory`` bytes and ``threads`` needs,
+    on a cluster (spark.executor.memory is set) as many as its executors need."""
+    beta = beta or intervals_for(graph, memory, threads)
+    layout = lay.build(graph, beta, scheme, rule, how=how)
     done = iterate(layout, prog, iters, **options)
     layout.drop()
     return done

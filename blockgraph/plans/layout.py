@@ -4,6 +4,8 @@ Preprocessing as two passes over the edges: the first deals them to source parti
 writes the edges of dense blocks by destination partition and leaves those of sparse blocks by source partition; edges are
 never sorted globally. ``fused`` counts first and writes once. With ``bucketed`` the two tables are hash-bucketed by q and by p, so
 that no iteration moves an edge; small graphs are written as plain files, whose edges a plan may move.
+
+Intervals are of equal width, or of about equal numbers of incoming edges (``how="mass"``), so that a few hubs make no task larger than others.
 """
 
 from __future__ import annotations
@@ -60,11 +62,48 @@ def block_stats(edges: DataFrame, distinct: bool = False) -> DataFrame:
     return edges.groupBy("p", "q").agg(F.count(F.lit(1)).alias("xi"), *more)
 
 
+class Intervals:
+    """Which interval an id lies in: by width, or by the first ids of intervals."""
+
+    def __init__(self, n: int, beta: int, firsts: list[int] | None = None):
+        self.n, self.beta, self.width, self.firsts = n, beta, width_of(n, beta), firsts
+
+    def place(self, df: DataFrame, column: str, name: str) -> DataFrame:
+        """df with the interval of a column of ids. Bounds are met by cells of equal width, a broadcast of 5 * beta narrow rows."""
+        if self.firsts is None:
+            return df.withColumn(name, interval(column, self.width))
+        cell = max(1, self.n // (4 * self.beta))
+        ends = [*(f - 1 for f in self.firsts[1:]), self.n - 1]
+        rows = [(c, f, e, p) for p, (f, e) in enumerate(zip(self.firsts, ends, strict=True)) for c in range(f // cell, e // cell + 1)]
+        cells = df.sparkSession.createDataFrame(rows, f"_cell long, _first long, _last long, `{name}` int")
+        met = df.join(F.broadcast(cells), (F.expr(f"{column} div {cell}") == F.col("_cell")) & F.col(column).between(F.col("_first"), F.col("_last")))
+        return met.drop("_cell", "_first", "_last")
+
+    def blocked(self, edges: DataFrame) -> DataFrame:
+        return self.place(self.place(edges, "src", "p"), "dst", "q")
+
+    def theta(self):
+        """Vertices of interval p, as a Column over p."""
+        if self.firsts is None:
+            return F.lit(float(self.width))
+        sizes = [b - a for a, b in zip(self.firsts, [*self.firsts[1:], self.n], strict=True)]
+        return F.element_at(F.array(*(F.lit(float(x)) for x in sizes)), F.col("p") + 1)
+
+
+def intervals(graph: Graph, beta: int, how: str = "width") -> Intervals:
+    if how == "width":
+        return Intervals(graph.n, beta)
+    if how != "mass":
+        raise ValueError(how)
+    firsts = sorted(r.first_id for r in mass_intervals(graph.edges, beta).collect())  # beta rows
+    return Intervals(graph.n, beta, [0, *firsts[1:]] if firsts else [0])
+
+
 @dataclass
 class Layout:
     graph: Graph
     beta: int
-    width: int
+    intervals: Intervals
     blocks: DataFrame
     dense: DataFrame | None
     sparse: DataFrame | None
@@ -88,7 +127,7 @@ class Layout:
         return parts[0] if len(parts) == 1 else parts[0].unionByName(parts[1])
 
     def vertices(self, by: str = "q") -> DataFrame:
-        return self.graph.vertices.withColumn(by, interval("id", self.width))
+        return self.intervals.place(self.graph.vertices, "id", by)
 
     def drop(self) -> None:
         """Takes the tables away, their files too."""
@@ -103,19 +142,20 @@ def drop_tables(spark, tables: list[str]) -> None:
     tables.clear()
 
 
-def partition_pass(edges: DataFrame, n: int, beta: int, buckets: int) -> tuple[DataFrame, DataFrame]:
+def partition_pass(edges: DataFrame, where: Intervals, buckets: int) -> tuple[DataFrame, DataFrame]:
     """First pass: edges by source partition, written; and the block counts."""
-    parts = cut(blocked(edges, n, beta).repartition(buckets, "p"), "source-partitions")
+    parts = cut(where.blocked(edges).repartition(buckets, "p"), "source-partitions")
     return parts, cut(block_stats(parts), "blocks")
 
 
-def save(df: DataFrame, name: str, by: str, buckets: int, bucketed: bool, tables: list[str]) -> DataFrame:
-    """df written as a table of ``buckets`` buckets by a column, or as plain files."""
+def save(df: DataFrame, name: str, by: str, buckets: int, bucketed: bool, tables: list[str], order: str | None = None) -> DataFrame:
+    """df written as a table of ``buckets`` buckets by a column, sorted inside by it and ``order`` if that is given, or as plain files."""
     spark = df.sparkSession
     if not bucketed:
         return cut(df, name)
     path, table = own_path(spark, name), f"{name}_{uuid.uuid4().hex}"
-    df.repartition(buckets, by).write.bucketBy(buckets, by).option("path", path).saveAsTable(table)
+    out = df.repartition(buckets, by).write.bucketBy(buckets, by)
+    (out.sortBy(by, order) if order else out).option("path", path).saveAsTable(table)
     tables.append(f"{table}|{path}")
     return spark.table(table)
 
@@ -126,22 +166,22 @@ def extract_pass(parts: DataFrame, modes: DataFrame, buckets: int, bucketed: boo
     named = parts.join(F.broadcast(modes.select("p", "q", "mode")), ["p", "q"])  # at most beta ** 2 narrow rows
     out = []
     for mode, by in (("dense", "q"), ("sparse", "p")):
-        out.append(save(named.where(F.col("mode") == mode).drop("mode"), f"edges_{mode}", by, buckets, bucketed, tables) if mode in kinds else None)
+        out.append(save(named.where(F.col("mode") == mode).drop("mode"), f"edges_{mode}", by, buckets, bucketed, tables, "src" if mode == "dense" else None) if mode in kinds else None)
     return out[0], out[1]
 
 
-def build(graph: Graph, beta: int, mode: str = "two_mode", rule: str = "printed", phi: int = costmodel.PHI, psi: int = costmodel.PSI, fused: bool = True, bucketed: bool | None = None, buckets: int | None = None) -> Layout:
-    """The layout of a graph. mode: two_mode by the rule, or all blocks dense or streamed."""
+def build(graph: Graph, beta: int, mode: str = "two_mode", rule: str = "printed", phi: int = costmodel.PHI, psi: int = costmodel.PSI, fused: bool = True, bucketed: bool | None = None, buckets: int | None = None, how: str = "width") -> Layout:
+    """The layout of a graph. mode: two_mode by the rule, or all blocks dense or streamed. how: intervals by width or by mass."""
     spark = graph.edges.sparkSession
     buckets = buckets or int(spark.conf.get("spark.sql.shuffle.partitions"))
-    width = width_of(graph.n, beta)
+    where = intervals(graph, beta, how)
     if fused:
-        parts = cut(blocked(graph.edges, graph.n, beta), "edges")
+        parts = cut(where.blocked(graph.edges), "edges")
         stats = block_stats(parts, distinct=rule == "network")
     else:
-        parts, stats = partition_pass(graph.edges, graph.n, beta, buckets)
+        parts, stats = partition_pass(graph.edges, where, buckets)
         stats = block_stats(parts, distinct=True) if rule == "network" else stats
-    modes = costmodel.classify(stats, beta, width, phi, psi, rule)
+    modes = costmodel.classify(stats, beta, where.theta(), phi, psi, rule)
     if mode != "two_mode":
         modes = modes.withColumn("mode", F.lit("dense" if mode == "dense" else "sparse"))
     modes = cut(modes.select("p", "q", "xi", "crit", "mode"), "blocks")
@@ -150,4 +190,4 @@ def build(graph: Graph, beta: int, mode: str = "two_mode", rule: str = "printed"
     tables: list[str] = []
     dense, sparse = extract_pass(parts, modes, buckets, bucketed, tables)
     degrees = cut(parts.groupBy("src").agg(F.count(F.lit(1)).alias("outdeg")), "degrees")
-    return Layout(graph, beta, width, modes, dense, sparse, degrees, buckets, bucketed, tables)
+    return Layout(graph, beta, where, modes, dense, sparse, degrees, buckets, bucketed, tables)

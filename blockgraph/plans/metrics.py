@@ -34,9 +34,10 @@ def ortho_loss(basis: list[DataFrame]) -> float:
     return max(abs(r.value - (r.i == r.j)) for r in vo.gram(basis).collect())  # a few vectors' products
 
 
-def scans(df: DataFrame) -> int:
-    """File scans of a plan."""
-    return df._jdf.queryExecution().executedPlan().toString().count("FileScan")
+def scans(df: DataFrame, names: tuple[str, ...] = ("",)) -> int:
+    """File scans of a plan, of folders whose names start with one of ``names``."""
+    text = df._jdf.queryExecution().executedPlan().toString()
+    return sum(any(f"/{n}" in line if n else True for n in names) for line in text.splitlines() if "FileScan" in line)
 
 
 def exchanges(df: DataFrame) -> int:

@@ -1,7 +1,8 @@
 """One iteration over a layout: the dense path, the streamed path, and both by block.
 
 Dense path. The destination interval stays; copies of source intervals (slices) go to the dense blocks that exist, by q, and
-meet the edges that lie there already; the fold by destination needs no further exchange.
+meet the edges that lie there already, both sides sorted by source, so that no task holds all slices of an interval in memory;
+the fold by destination needs no further exchange.
 Streamed path. Edges meet their source interval where they lie, by p; messages are folded by destination before they move,
 then go to q and are folded again.
 The two folds are gathered at the destination vertices, which lie by q as well.
@@ -45,7 +46,7 @@ def dense(layout: Layout, values: DataFrame, prog: VertexProgram) -> DataFrame |
         return None
     moved = slices(layout, values).withColumnRenamed("id", "src").drop("p").repartition(layout.buckets, "q")
     edges = by(layout.dense.drop("p"), layout, "q")
-    met = edges.join(moved.hint("shuffle_hash"), ["q", "src"])
+    met = edges.hint("merge").join(moved, ["q", "src"])
     return _messages(met, prog, "q", "dst").groupBy("q", "dst").agg(*prog.fold(prog.accumulators))
 
 

@@ -190,17 +190,19 @@ EDGES_SQL: dict[str, str] = {
         round(list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) / sqrt(list_dot_product(a.embedding::DOUBLE[], a.embedding::DOUBLE[]) * list_dot_product(b.embedding::DOUBLE[], b.embedding::DOUBLE[])), 9) AS w
         FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id)) WHERE rk <= 10""",
     "rmat": rmat_sql(10, 3),
+    "rmat_12": rmat_sql(12, 3),
 }
 #: DuckDB SQL of each graph's number of vertices.
 N_SQL: dict[str, str] = {
     "supply": f"{_N['supplier']} + {_N['part']}", "copart": _N["part"], "copart_thin": _N["part"], "hetero": f"{_OFF['orders']} + {_N['orders']}", "purchase": f"{_N['customer']} + {_N['part']}",
     "placed": f"{_N['customer']} + {_N['orders']}", "usage": "(SELECT max(user_id) + 1 + max(json_extract_string(props, '$.k')::BIGINT) + 1 FROM events)",
     "weblinks": f"""{_N["pages"]} + (SELECT count(DISTINCT href) FROM (SELECT unnest(regexp_extract_all(html, 'href="([^"]+)', 1)) AS href FROM pages))""",
-    "transitions": "(SELECT count(DISTINCT event_type) FROM events)", "turns": _N["conversations"], "dupdocs": _N["documents"], "knn": _N["embeddings"], "rmat": str(2**10),
+    "transitions": "(SELECT count(DISTINCT event_type) FROM events)", "turns": _N["conversations"], "dupdocs": _N["documents"], "knn": _N["embeddings"], "rmat": str(2**10), "rmat_12": str(2**12),
 }
 
 GRAPHS: dict[str, Callable[[SparkSession, str], Graph]] = {f.__name__: f for f in (supply, copart, copart_thin, hetero, purchase, placed, usage, weblinks, transitions, turns, dupdocs, knn)}
 GRAPHS["rmat"] = lambda spark, sf: rmat(spark, 10, 3)
+GRAPHS["rmat_12"] = lambda spark, sf: rmat(spark, 12, 3)
 
 
 def edges_cte(name: str, symmetric: bool = False) -> str:

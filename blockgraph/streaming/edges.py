@@ -7,25 +7,36 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from blockgraph.storage import own_path, table
+from blockgraph.sources.graphs import dense_ids
+from blockgraph.storage import cut, own_path, table
 
 
-def event_stream(spark: SparkSession, sf: str, files_per_trigger: int = 1) -> DataFrame:
-    """events as a stream of files, ts as a timestamp."""
-    schema = table(spark, sf, "events").schema
-    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(f"{sf}/event[s].parquet").withColumn("ts", F.col("ts").cast("timestamp"))
+FILE_ROWS = 1_000_000
+
+
+def event_stream(spark: SparkSession, sf: str, batches: int = 4) -> DataFrame:
+    """events in the order of their times, as a stream of several micro-batches, ts as a timestamp."""
+    events = table(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    return dealt_stream(spark, events, batches)
 
 
 def dealt_stream(spark: SparkSession, events: DataFrame, batches: int, order: str = "ts") -> DataFrame:
-    """A table as a stream of ``batches`` files in the order of a column: one micro-batch each."""
+    """A table as a stream of ``batches`` micro-batches of equal size in the order of a column, each of as many files as it needs.
+
+    Rows are numbered by ranges, so no task sees them all."""
     path = own_path(spark, "stream-input")
-    ranged = events.withColumn("_b", F.ntile(batches).over(Window.orderBy(order)))
-    for b in range(1, batches + 1):  # files get ascending times, which the file source goes by
-        ranged.where(F.col("_b") == b).drop("_b").coalesce(1).write.mode("append").parquet(path)
-    return spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(path)
+    numbered = cut(dense_ids(events, [order], "_row"), "stream-rows")
+    rows = numbered.count()
+    small, more = divmod(rows, batches)  # the first ones have one row more
+    edge = more * (small + 1)
+    batch = F.when(F.col("_row") < edge, F.floor(F.col("_row") / (small + 1))).otherwise(more + F.floor((F.col("_row") - edge) / max(small, 1)))
+    files = max(1, -(-(small + 1) // FILE_ROWS))
+    for b in range(batches):  # files get ascending times, which the file source goes by
+        numbered.where(batch == b).drop("_row").repartition(files).write.mode("append").parquet(path)
+    return spark.readStream.schema(events.schema).option("maxFilesPerTrigger", files).parquet(path)
 
 
 def finish(stream: DataFrame, mode: str = "append", collect: Callable[[DataFrame, int], None] | None = None) -> DataFrame:
@@ -67,9 +78,3 @@ def count_states(key: str, rows: Iterator[pd.DataFrame], state) -> Iterator[pd.D
         n, total = n + len(part), total + float(part["value"].sum())
     state.update((n, total))
     yield pd.DataFrame({"event_type": [key[0]], "n": [n], "total": [total]})
-
-
-def reclassified(previous: DataFrame, counts: DataFrame, threshold: float) -> DataFrame:
-    """Blocks whose running count crossed the dense threshold since before: p, q, xi."""
-    before = previous.select("p", "q", F.col("xi").alias("was"))
-    return counts.join(before, ["p", "q"], "left").where((F.col("xi") >= threshold) & (F.coalesce("was", F.lit(0)) < threshold)).select("p", "q", "xi")

@@ -117,14 +117,13 @@ def test_preprocessing_in_two_passes_and_rules(spark, sf):
 EDGE_CASES = {"empty": (4, []), "one": (1, []), "loop": (1, [(0, 0)]), "isolated": (5, [(0, 1)]), "chain": (6, [(i, i + 1) for i in range(5)]), "two": (7, [(0, 1), (1, 2), (4, 5), (5, 4), (4, 5)])}
 
 
-def test_components_of_large_tables_go_another_way(spark, monkeypatch):
+def test_components_of_large_tables_go_another_way(spark):
     from blockgraph.operators import components as comp
 
     r = np.random.default_rng(3)
     edges = spark.createDataFrame([tuple(map(int, e)) for e in r.integers(0, 300, (220, 2))], "a long, b long")
     small = {tuple(x) for x in comp.components(edges).collect()}
-    monkeypatch.setattr(comp, "SMALL", 0)
-    assert {tuple(x) for x in comp.components(edges).collect()} == small
+    assert {tuple(x) for x in comp.components(edges, small=0).collect()} == small
 
 
 @pytest.mark.parametrize("name", EDGE_CASES)
@@ -151,6 +150,66 @@ def test_spectrum_of_known_graphs(spark):
     assert alg.triangles(clique).first()[0] == 20
 
 
+@pytest.mark.parametrize("block", [1, 4])
+def test_all_wanted_pairs_converge(spark, block):
+    """Against numpy, on a graph with weights: values, true residuals; and a step's vectors are taken away."""
+    r = np.random.default_rng(2)
+    a = np.triu(r.random((24, 24)) * (r.random((24, 24)) < 0.4), 1)
+    a = a + a.T
+    g = Graph("random", 24, spark.createDataFrame([(i, j, float(a[i, j])) for i in range(24) for j in range(24) if a[i, j]], "src long, dst long, w double"), True)
+    matrix = lanczos.Matrix(g, beta=3)
+    found = lanczos.eigenpairs(g, 4, tol=1e-7, matrix=matrix, block=block)
+    want = np.linalg.eigvalsh(a)
+    assert np.allclose(found.values, want[np.argsort(-np.abs(want))][:4], rtol=1e-8)
+    assert max(lanczos.residuals(matrix, found)) < 1e-6 and len(found.seconds) < 24
+
+
+def test_singular_values(spark):
+    r = np.random.default_rng(3)
+    a = (r.random((9, 9)) < 0.4) * 1.0
+    g = Graph("random", 9, spark.createDataFrame([(i, j, 1.0) for i in range(9) for j in range(9) if a[i, j]], "src long, dst long, w double"), True)
+    assert np.allclose(lanczos.svd(g, 2, 9), np.linalg.svd(a, compute_uv=False)[:2], atol=1e-6)
+
+
+def test_tensor_over_ids_of_any_size(spark):
+    """A tensor of rank one is explained whole; ids are far apart."""
+    u, v, w = {10**12: 1.0, 5: 2.0}, {7: 3.0, -4: 1.0, 10**15: 2.0}, {0: 1.0, 9: 5.0}
+    counts = spark.createDataFrame([(i, j, k, u[i] * v[j] * w[k]) for i in u for j in v for k in w], "i long, j long, k long, x double")
+    factors, told = alg.cp_als(counts, 1, 3)
+    assert abs(told - 1) < 1e-9 and {m: f.count() for m, f in factors.items()} == {"i": 2, "j": 3, "k": 2}
+
+
+def test_intervals_by_mass_and_a_hub(spark):
+    """A third of all edges end in one vertex: intervals by mass are smaller there, results are the same."""
+    from blockgraph.sources.graphs import rmat
+
+    base = rmat(spark, 8, 3)
+    g = Graph("hub", 256, base.edges.union(spark.range(256).selectExpr("id as src", "3L as dst")).distinct())
+    width, mass = lay.build(g, 16), lay.build(g, 16, how="mass")
+    most = lambda x: x.blocks.groupBy("q").agg(F.sum("xi").alias("m")).agg(F.max("m")).first()[0]
+    assert most(mass) <= most(width) and mass.intervals.firsts[0] == 0
+    runs = [engine.iterate(x, alg.pagerank_program(g.n), 2).values for x in (width, mass)]
+    assert metrics.max_abs_diff(*runs, "rank") < 1e-12 and runs[1].count() == 256
+
+
+def test_union_find_has_an_exchange_at_every_level(spark):
+    g = Graph("chain", 500, spark.range(499).selectExpr("id as src", "id + 1 as dst"))
+    found = alg.wcc(g, "unionfind")
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("MapInArrow") == plan.count("RoundRobinPartitioning") + plan.count("SinglePartition") > 1 and found.where("label <> 0").count() == 0
+
+
+def test_dense_path_builds_no_hash_table(spark, sf):
+    g = hetero(spark, sf)
+    layout, prog = lay.build(g, 64, bucketed=True), alg.pagerank_program(g.n)
+    with settings(spark, **engine.PLAN, spark__sql__adaptive__enabled="false"):
+        values, _ = engine.generation(layout, engine.start(layout, prog))
+        plan = schemes.dense(layout, values, prog)._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "ShuffledHashJoin" not in plan
+    assert plan.count("Sort [") <= 1  # of the slices alone: buckets are read as they were sorted
+    layout.drop()
+
+
 def test_two_mode_cost_is_never_above_either(spark):
     rows = simulate.memory_curve(simulate.paper_graphs(spark), [0.25, 1, 4, 8, 16]).collect()
     by = {(r.graph, r.gib, r.scheme): r.tcost for r in rows}

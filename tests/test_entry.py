@@ -30,4 +30,14 @@ def test_key_equals_sql(spark, sf, key):
 def test_without_llm(tmp_path):
     shutil.copytree(ROOT, tmp_path / "r", ignore=shutil.ignore_patterns(".git", "__pycache__", "llm", "corpus_pipeline.py", "spark-warehouse"))
     code = "import __spark_entry__ as e; q = e.queries(); assert 'pagerank_hetero' in q and not any(k.startswith('op') for k in q)"
-    subprocess.run([sys.executable, "-c", code], cwd=tmp_path / "r", check=True, timeout=120, env=os.environ | {"PYTHONPATH": str(tmp_path / "r")})
+    there = os.environ | {"PYTHONPATH": str(tmp_path / "r")}
+    subprocess.run([sys.executable, "-c", code], cwd=tmp_path / "r", check=True, timeout=120, env=there)
+    some = ["tests/test_core.py::test_toy_blocks_and_zigzag", "tests/test_hops.py", "tests/test_entry.py::test_every_sql_has_a_query", "tests/test_entry.py::test_entry"]
+    subprocess.run([sys.executable, "-m", "pytest", "-q", "-x", "-p", "no:cacheprovider", *some], cwd=tmp_path / "r", check=True, timeout=400, env=there)
+
+
+def test_a_missing_dependency_is_an_error(tmp_path):
+    shutil.copytree(ROOT, tmp_path / "r", ignore=shutil.ignore_patterns(".git", "__pycache__", "spark-warehouse"))
+    code = "import sys; sys.modules['pyarrow.ipc'] = None; sys.modules['hashlib'] = sys.modules['hashlib']; sys.modules['zlib'] = None; import __spark_entry__"
+    done = subprocess.run([sys.executable, "-c", code], cwd=tmp_path / "r", timeout=120, env=os.environ | {"PYTHONPATH": str(tmp_path / "r")}, capture_output=True)
+    assert done.returncode and b"ModuleNotFoundError" in done.stderr
