@@ -32,7 +32,7 @@ from blockgraph.llm.shared import cut, fresh, small
 from blockgraph.llm.text import U
 
 HOT = 500
-SAMPLE_ROWS, SAMPLE_HOT, HOT_ANCHORS = 20_000, 100, 4096
+SAMPLE_ROWS, SAMPLE_HOT, HOT_ANCHORS = 5_000, 50, 4096
 PRE_ROWS = 1_000_000
 PIECE = 2 << 20
 _POS = 30
@@ -144,9 +144,10 @@ def _contents(rule: Rule) -> Callable:
         got = []
         for b in tx.blocks(batches):
             h, g, *_ = segments(*rule.units(b.column("text")), rule.span, rule.gram)
-            got.append(np.stack([h, g], 1))
+            got.append((h, g))
         if got:
-            h, n = np.unique(np.unique(np.concatenate(got), axis=0)[:, 0], return_counts=True)
+            h, g = (np.concatenate(c) for c in zip(*got, strict=True))
+            h, n = np.unique(h[np.unique(tx.mix(h, 8) ^ g, return_index=True)[1]], return_counts=True)
             yield pa.RecordBatch.from_arrays([pa.array(tx.signed(h[n > 1])), pa.array(n[n > 1])], ["h", "n"])
 
     return run
@@ -209,7 +210,7 @@ def _cut_out(rule: Rule) -> Callable:
     return run
 
 
-def _resolved(rule: Rule, resolve: Callable, limit: int = 2 << 20) -> Callable:
+def _resolved(rule: Rule, resolve: Callable, limit: int = 1 << 20) -> Callable:
     """Rows sorted by h to removed runs; whole groups of h are gathered up to about ``limit`` bytes at a time."""
 
     def settle(part: pa.Table) -> pa.RecordBatch:
@@ -245,9 +246,25 @@ def _resolved(rule: Rule, resolve: Callable, limit: int = 2 << 20) -> Callable:
 
 
 def _windows(rule: Rule) -> Callable:
-    """Segments to one row for each window: w (content hash), doc, row, s."""
+    """Segments to one row for each window that may be a first one: w (content hash), doc, row, a, b; and, with a null w, merged
+    runs of those that start later than another one of the task."""
+
+    def emit(got: list[tuple]) -> Iterator[pa.RecordBatch]:
+        w, doc, row, s = (np.concatenate(c) for c in zip(*got, strict=True))
+        order = np.lexsort((row, s, doc, w))
+        w, doc, row, s = w[order], doc[order], row[order], s[order]
+        head = np.append(True, w[1:] != w[:-1])
+        lead = np.flatnonzero(head)[np.cumsum(head) - 1]
+        later = doc != doc[lead]
+        if not rule.across:
+            later |= (s != s[lead]) | (row != row[lead])
+        known = _runs(doc[later], row[later], s[later].astype(np.int64), s[later].astype(np.int64) + rule.span)
+        yield pa.RecordBatch.from_arrays([pa.nulls(known.num_rows, pa.int64()), *known.columns], ["w", *known.schema.names])
+        w, doc, row, s = (x[~later] for x in (w, doc, row, s))
+        yield pa.RecordBatch.from_arrays([pa.array(tx.signed(w)), pa.array(doc), pa.array(row), pa.array(s.astype(np.int32)), pa.array((s + rule.span).astype(np.int32))], ["w", "doc", "row", "a", "b"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        got, rows = [], 0
         for b in tx.blocks(batches, "seg"):
             seg, off = tx.buffers(b.column("seg"))
             x, off = (np.frombuffer(seg.tobytes(), np.uint64), off // 8) if rule.words else (tx._CODE[seg], off)
@@ -256,8 +273,13 @@ def _windows(rule: Rule) -> Callable:
             at = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
             sums, inverse = _prefix(x)
             lo = off[of] + at
-            w = tx.mix((sums[lo + rule.span] - sums[lo]) * inverse[lo], 10)
-            yield pa.RecordBatch.from_arrays([pa.array(tx.signed(w)), pa.array(tx.ids(b.column("doc"))[of]), pa.array(tx.ids(b.column("row"))[of]), pa.array((b.column("s").to_numpy()[of] + at).astype(np.int32))], ["w", "doc", "row", "s"])
+            got.append((tx.mix((sums[lo + rule.span] - sums[lo]) * inverse[lo], 10), tx.ids(b.column("doc"))[of], tx.ids(b.column("row"))[of], b.column("s").to_numpy()[of] + at))
+            rows += len(of)
+            if rows >= PRE_ROWS:
+                yield from emit(got)
+                got, rows = [], 0
+        if got:
+            yield from emit(got)
 
     return run
 
@@ -317,9 +339,11 @@ def repeated_runs(rows: Rows, rule: Rule, resolve: Callable, hot: int | None = N
     runs = plain.mapInArrow(_resolved(rule, resolve), "doc long, row long, a int, b int")
     runs = runs.unionByName(verdict.where("h is null").select("doc", "row", F.col("s").alias("a"), (F.col("s") + F.col("n") + (rule.span - 1)).alias("b")))
     if seg.where("hot").limit(1).count():
-        each = cut(seg.where("hot").mapInArrow(_windows(rule), "w long, doc long, row long, s int"), "repeats-windows")
-        least = each.groupBy("w").agg(F.min(F.struct("doc", "s", "row")).alias("low"), F.count(F.lit(1)).alias("times")).where("times > 1")
-        later = F.col("low.doc") < F.col("doc") if rule.across else F.col("low") < F.struct("doc", "s", "row")
-        runs = runs.unionByName(each.join(least, "w").where(later).select("doc", "row", F.col("s").alias("a"), (F.col("s") + rule.span).alias("b")))
+        each = cut(seg.where("hot").mapInArrow(_windows(rule), "w long, doc long, row long, a int, b int"), "repeats-windows")
+        runs = runs.unionByName(each.where("w is null").drop("w"))
+        each = each.where("w is not null")
+        least = each.groupBy("w").agg(F.min(F.struct("doc", "a", "row")).alias("low"), F.count(F.lit(1)).alias("times")).where("times > 1")
+        later = F.col("low.doc") < F.col("doc") if rule.across else F.col("low") < F.struct("doc", "a", "row")
+        runs = runs.unionByName(each.join(least, "w").where(later).select("doc", "row", "a", "b"))
     runs = runs.groupBy("doc", "row").agg(F.collect_list(F.struct("a", "b")).alias("runs")).mapInArrow(_per_row, "doc long, row long, runs array<int>")
     return cut(runs, "repeats-runs", free=True)
