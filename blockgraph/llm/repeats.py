@@ -31,8 +31,8 @@ from blockgraph.llm import text as tx
 from blockgraph.llm.shared import cut, fresh, small
 from blockgraph.llm.text import U
 
-HOT = 500
-SAMPLE_ROWS, SAMPLE_HOT, HOT_ANCHORS = 5_000, 50, 4096
+HOT = 10_000
+SAMPLE_ROWS, SAMPLE_HOT, HOT_ANCHORS = 5_000, 250, 4096
 PRE_ROWS = 1_000_000
 PIECE = 2 << 20
 _POS = 30
