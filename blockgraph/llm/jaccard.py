@@ -12,12 +12,15 @@
   the distance to the leader is only bounded) and a bitmap filter (sets differ in no fewer
   shingles than their parity bitmaps of 64 * WORDS bits in bits). Lists of the same rows count once, and further leaders are
   taken while very many pairs remain and the last leaders have settled a good part of them. Nothing is dropped: a pair is left out only if a filter rules it out or both are in one component already.
+* No list is held by one task: lists of over ``PIECE`` rows are dealt into pieces, what is needed of a whole list (length, leader, components)
+  is a grouped aggregate, and pairs of long lists are formed between one piece and those rows of the list whose length band is near.
 * A pair is verified once, on whole sets that meet by host node (salted, so a host of very many pairs is spread), after a
   suffix filter (halving both sets at pivots bounds their overlap).
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -37,6 +40,7 @@ SKETCH_BITS = 20
 CHUNKS = 64
 SHORT = 64
 SALT = 500
+PIECE = 1000
 LEADERS = 6
 MANY = 250
 FEWER = 0.7
@@ -203,6 +207,11 @@ def _verify(percent: int) -> Callable:
     return run
 
 
+def pieces(m: str = "m"):
+    """Number of pieces of a list of m rows."""
+    return F.ceil(F.col(m) / PIECE)
+
+
 class Join:
     """The join of one table; ``labels`` gives every node's component, ``documents`` every document's."""
 
@@ -219,11 +228,23 @@ class Join:
         self.sketch = docs.sparkSession.sparkContext.broadcast(b"".join(bytes(counts.get(i, zero)) for i in range(CHUNKS)))
 
     def lists(self) -> DataFrame:
-        """t, node, n, pos, m: prefix rows of shingles that at least two nodes have in their prefixes; m is the list's length."""
+        """t, node, n, pos, m, piece: prefix rows of shingles that at least two nodes have in their prefixes; m is the list's length.
+
+        Lengths over PIECE come from a grouped count; such lists are dealt by node into pieces before any task sees them whole."""
         rows = self.base.join(small(self.nodes), "doc").mapInArrow(_prefixes(self.size, self.percent, self.sketch), "t long, node long, n int, pos int")
-        rows = rows.withColumn("m", F.count(F.lit(1)).over(Window.partitionBy("t"))).where("m > 1")
+        rows = cut(rows, "jaccard-prefixes")
+        hot = cut(rows.groupBy("t").agg(F.count(F.lit(1)).alias("m")).where(F.col("m") > PIECE), "jaccard-hot", free=True)
+        rows = rows.join(small(hot), "t", "left").withColumn("piece", F.coalesce(F.pmod(F.xxhash64("node"), pieces()), F.lit(0)).cast("int"))
+        rows = rows.withColumn("m", F.coalesce("m", F.count(F.lit(1)).over(Window.partitionBy("t", "piece")))).where("m > 1")
         return cut(rows, "jaccard-lists", free=True)
 
+    @staticmethod
+    def of_lists(rows: DataFrame, name: str, keep: str | None = None, **aggregates) -> DataFrame:
+        """rows (t, piece, m) with aggregates over each whole list; of lists for which keep does not hold, none."""
+        got = rows.groupBy("t").agg(F.first("m").alias("m"), *(a.alias(k) for k, a in aggregates.items()))
+        got = cut(got.where(keep) if keep else got, name)
+        return rows.join(small(got.select("t", F.explode(F.sequence(F.lit(0), (pieces() - 1).cast("int"))).alias("piece"), *aggregates), width=48), ["t", "piece"])
+
     def fits(self, a: str, b: str):
         """The length filter."""
         return (F.least(a, b) * 100 >= F.greatest(a, b) * self.percent)
@@ -259,7 +280,7 @@ class Join:
         ends = pairs.select(F.col("a").alias("node"), F.struct("shared", "a", "b").alias("p")).unionByName(pairs.select(F.col("b").alias("node"), F.struct("shared", "a", "b").alias("p")))
         best = ends.groupBy("node").agg(F.max("p").alias("p")).select(F.col("p.a").alias("host"), F.col("p.b").alias("node"))
         long = lists.where(F.col("m") > SHORT)
-        long = cut(long.withColumn("lead", F.min(F.struct("node", "n")).over(Window.partitionBy("t"))), "jaccard-long-lists")
+        long = cut(self.of_lists(long, "jaccard-leads", lead=F.min(F.struct("node", "n"))), "jaccard-long-lists")
         led = long.where((F.col("node") != F.col("lead.node")) & self.fits("n", "lead.n")).select(F.col("lead.node").alias("host"), "node")
         done = self.verified(best.unionByName(led).distinct())
         label = components(done.where("linked"), "host", "node")
@@ -288,22 +309,21 @@ class Join:
         far = done.select(F.col("host").alias("lead_node"), "node", least.alias("near"), F.when(F.col("exact"), least).otherwise(1.0).alias("far"))
         long = long.withColumn("lead_node", F.col("lead.node")).join(far, ["lead_node", "node"], "left")
         own = F.col("node") == F.col("lead_node")
-        long = long.select("t", "node", "n", F.coalesce("near", F.lit(0.0)).alias("near"), F.when(own, 0.0).otherwise(F.coalesce("far", F.lit(1.0))).alias("far"))
+        long = long.select("t", "piece", "m", "node", "n", F.coalesce("near", F.lit(0.0)).alias("near"), F.when(own, 0.0).otherwise(F.coalesce("far", F.lit(1.0))).alias("far"))
         long = cut(long, "jaccard-far")
-        same = long.groupBy("t").agg(F.count(F.lit(1)).alias("m"), F.sum(F.xxhash64("node", "near", "far").cast("decimal(38,0)")).alias("s")).groupBy("m", "s").agg(F.min("t").alias("t"))
-        long = cut(long.join(same.select("t"), "t"), "jaccard-far-once")
+        same = long.groupBy("t").agg(F.first("m").alias("m"), F.sum(F.xxhash64("node", "near", "far").cast("decimal(38,0)")).alias("s")).groupBy("m", "s").agg(F.min("t").alias("t"))
+        same = cut(same.select("t", F.explode(F.sequence(F.lit(0), (pieces() - 1).cast("int"))).alias("piece")), "jaccard-same")
+        long = cut(long.join(small(same), ["t", "piece"]), "jaccard-far-once")
         seen, before = done.select("host", "node"), float("inf")
         for turn in range(LEADERS + 1):
             here = long.join(label, "node", "left").withColumn("component", F.coalesce("component", "node"))
-            whole = Window.partitionBy("t")
-            here = cut(here.withColumns({"low": F.min("component").over(whole), "high": F.max("component").over(whole)}).where("low <> high").drop("low", "high"), "jaccard-open")
+            here = cut(self.of_lists(here, "jaccard-ends", "low <> high", low=F.min("component"), high=F.max("component")).drop("low", "high"), "jaccard-open")
             sizes = here.groupBy("t", "component").agg(F.count(F.lit(1)).alias("k")).groupBy("t").agg(F.sum("k").alias("m"), F.sum(F.col("k") * F.col("k")).alias("k2"))
             rows, left = sizes.agg(F.coalesce(F.sum("m"), F.lit(0)), F.coalesce(F.sum(F.col("m") * F.col("m") - F.col("k2")), F.lit(0))).first()
             if left <= 2 * MANY * rows or left > FEWER * before or turn == LEADERS:
                 break
             before = left
-            lead = F.min(F.struct(F.xxhash64("node", F.lit(turn)), "node", "n", "component")).over(whole)
-            led = here.withColumn("lead", lead).where((F.col("component") != F.col("lead.component")) & self.fits("n", "lead.n"))
+            led = self.of_lists(here, "jaccard-next-leads", lead=F.min(F.struct(F.xxhash64("node", F.lit(turn)), "node", "n", "component"))).where((F.col("component") != F.col("lead.component")) & self.fits("n", "lead.n"))
             new = led.select(F.col("lead.node").alias("host"), "node").distinct().join(seen, ["host", "node"], "left_anti")
             new = self.verified(new)
             seen = seen.unionByName(new.select("host", "node"))
@@ -312,13 +332,17 @@ class Join:
         here = cut(here.join(small(self.full.drop("doc"), width=16 + 8 * WORDS), "node"), "jaccard-marked", free=True)
         own = cut(here.groupBy("node").agg(F.collect_set("t").alias("ts")), "jaccard-own-lists")
         here = here.join(small(own, payload="ts"), "node")
-        a, b = (here.select("t", *(F.col(c).alias(f"{c}_{k}") for c in ("node", "n", "near", "far", "component", "ts", *marks))) for k in "ab")
+        # a is the shorter set of a pair, so b is of the same length band or the next; every piece of a list meets those rows of the whole list
+        band = F.floor(F.log("n") / (max(math.log(100 / self.percent), 0.01) * 1.000001))
+        here = here.withColumn("band", band)
+        a, b = (here.select("t", "piece", "m", "band", *(F.col(c).alias(f"{c}_{k}") for c in ("node", "n", "near", "far", "component", "ts", *marks))) for k in "ab")
         close = F.greatest(F.col("near_a") - F.col("far_b"), F.col("near_b") - F.col("far_a")) <= 1 - self.percent / 100 + 1e-9
         differ = sum((F.bit_count(F.col(f"{m}_a").bitwiseXOR(F.col(f"{m}_b"))) for m in marks), F.lit(0))
         alike = differ * (100 + self.percent) <= (F.col("n_a") + F.col("n_b")) * (100 - self.percent)
-        rest = a.join(b, "t").where((F.col("node_a") < F.col("node_b")) & (F.col("component_a") != F.col("component_b")) & self.fits("n_a", "n_b") & close & alike)
+        b = b.withColumn("piece", F.explode(F.sequence(F.lit(0), (pieces() - 1).cast("int")))).withColumn("band", F.explode(F.array("band", F.col("band") - 1)))
+        rest = a.drop("m").join(b.drop("m"), ["t", "piece", "band"]).where((F.struct("n_a", "node_a") < F.struct("n_b", "node_b")) & (F.col("component_a") != F.col("component_b")) & self.fits("n_a", "n_b") & close & alike)
         rest = rest.where(F.array_min(F.array_intersect("ts_a", "ts_b")) == F.col("t"))  # each pair in the first of its common lists alone
-        return rest.select(F.col("node_a").alias("host"), F.col("node_b").alias("node")), label
+        return rest.select(F.least("node_a", "node_b").alias("host"), F.greatest("node_a", "node_b").alias("node")), label
 
     def documents(self) -> DataFrame:
         """doc, n, node, component: the smallest doc of the node's component (its own for empty sets)."""

@@ -23,11 +23,12 @@ def near_copies(seed, n):
     return rows
 
 
-@pytest.mark.parametrize(("short", "many", "salt"), [(64, 20, 500), (3, 20, 2), (3, 0, 500)])
-def test_join_equals_brute_force(spark, monkeypatch, short, many, salt):
+@pytest.mark.parametrize(("short", "many", "salt", "piece"), [(64, 20, 500, 1000), (3, 20, 2, 1000), (3, 20, 500, 4), (3, 0, 500, 1000)])
+def test_join_equals_brute_force(spark, monkeypatch, short, many, salt, piece):
     monkeypatch.setattr(jaccard, "SHORT", short)
     monkeypatch.setattr(jaccard, "MANY", many)
     monkeypatch.setattr(jaccard, "SALT", salt)
+    monkeypatch.setattr(jaccard, "PIECE", piece)
     rows = corpus(3) + [(d + 1000, t) for d, t in near_copies(4, 90)]
     got = [tuple(r) for r in jaccard.join(frame(spark, rows, CLASH)).collect()]
     assert Counter(got) == Counter(brute.jaccard_components(rows))
@@ -47,9 +48,10 @@ def shared_passages(seed, n=70, pool=14, each=6, length=14):
     return rows
 
 
-@pytest.mark.parametrize("seed", [1, 2])
-def test_bounded_distances_to_a_leader_rule_out_no_link(spark, monkeypatch, seed):
+@pytest.mark.parametrize(("seed", "piece"), [(1, 1000), (2, 5)])
+def test_bounded_distances_to_a_leader_rule_out_no_link(spark, monkeypatch, seed, piece):
     monkeypatch.setattr(jaccard, "SHORT", 3)
+    monkeypatch.setattr(jaccard, "PIECE", piece)
     rows = shared_passages(seed)
     got = [tuple(r) for r in jaccard.join(frame(spark, rows)).collect()]
     assert Counter(got) == Counter(brute.jaccard_components(rows))
