@@ -20,7 +20,7 @@ from blockgraph.llm.shared import fresh
 from blockgraph.llm.text import U, Words, blocks, buffers, grams, mix
 
 BITS = 18
-TRAIN_ROWS = 4_000
+TRAIN_ROWS = 6_000
 PASSES = 3
 HELD_OUT_FOLD, FOLDS = 0, 5
 THRESHOLD = 0.3
@@ -116,8 +116,8 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", rows: int =
     texts = docs.select("doc_id", docs["text"].cast("string").alias("text"))
     chosen = texts.join(F.broadcast(known), "doc_id").groupBy("k", "y").agg(F.min("text").alias("text"))  # one text for a repeated id
     got = chosen.select("k", "y", "text").mapInArrow(_featurise, "k string, y int, f array<int>, c array<int>").toArrow()
-    got = got.sort_by([("k", "ascending")]).combine_chunks()
-    examples = [(f.values.to_numpy(), c.values.to_numpy(), y.as_py()) for f, c, y in zip(got["f"], got["c"], got["y"], strict=True) if len(f.values)]
+    examples = [(k, f.values.to_numpy(), c.values.to_numpy(), y) for b in got.to_batches() for k, y, f, c in zip(b["k"].to_pylist(), b["y"].to_pylist(), b["f"], b["c"], strict=True)]
+    examples = [x[1:] for x in sorted(examples, key=lambda x: x[0]) if len(x[1])]  # views of the batches: the features lie in memory once
     weights = train(examples[:rows])
     del got, examples
     pa.default_memory_pool().release_unused()
