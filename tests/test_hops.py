@@ -21,3 +21,10 @@ def test_a_reached_limit_is_an_error(spark):
         alg.neighbourhood_exact(path(spark, 6), 3)
     with pytest.raises(RuntimeError):
         alg.neighbourhood_sketch(path(spark, 40), max_hops=2, beta=2)
+
+
+def test_sketches_of_few_ids_are_not_biased(spark):
+    assert [alg.estimated_ids(z) for z in (0, 0.5, 1)] == [0, 1, 2]
+    assert all(abs(alg.estimated_ids(alg._ZEROS[-1] + d) / alg.estimated_ids(alg._ZEROS[-1] - d) - 1) < 0.01 for d in (1e-6, 1e-3))
+    g = Graph("alone", 3000, spark.createDataFrame([(0, 1)], "src long, dst long"))
+    assert abs(alg.neighbourhood_sketch(g, registers=32)[0][1] / 3000 - 1) < 0.05
