@@ -127,7 +127,7 @@ def triangles(g: Graph) -> DataFrame:
     c, d = colour("src"), colour("dst")
     ends = once.select(F.least(c, d).alias("i"), F.greatest(c, d).alias("j"), F.when(c <= d, F.col("src")).otherwise(F.col("dst")).alias("a"), F.when(c <= d, F.col("dst")).otherwise(F.col("src")).alias("b"))
     at = own_path(spark, "packed")
-    ends.mapInArrow(_chunks, "i int, j int, edges binary").repartition("i", "j").write.partitionBy("i", "j").parquet(at)
+    ends.mapInArrow(_chunks, "i int, j int, edges binary").repartition("i", "j").write.partitionBy("i", "j").option("compression", "zstd").parquet(at)
     if own:
         drop_path(spark, own)
     packed = spark.read.schema("edges binary, i int, j int").parquet(at)
